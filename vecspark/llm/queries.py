@@ -5,10 +5,19 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vecspark.llm import chat, html_text, minhash, mpeg_audio, packing, token_tree
+from vecspark.llm import chat, decontaminate, html_text, language_id, minhash, mpeg_audio, packing, quality, token_tree, toxicity
 from vecspark.llm.common import table
 
 
+def op1_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(spark, table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    model = language_id.train(spark, table(spark, sf_dir, "documents"))
+    return language_id.identify(spark, table(spark, sf_dir, "pages"), model)
+
+
 def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mpeg_audio.media_columns(table(spark, sf_dir, "documents"))
 
@@ -59,9 +68,35 @@ FROM safe GROUP BY conv_id
 """
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.train(spark, docs, table(spark, sf_dir, "labels"))
+    return toxicity.with_folds(toxicity.score(docs, model), toxicity.PARTS, toxicity.HELD)
+
+
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(spark, table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op3_media_columns, op4_minhash_near_dedup, op5_html_extraction, op6_token_counts, op7_chat_formatting, op9_packing)}
+def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = quality.train(spark, docs, table(spark, sf_dir, "labels"))
+    return toxicity.with_folds(quality.score(docs, model), quality.PARTS, quality.HELD)
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_benchmark_decontamination,
+        op2_language_id,
+        op3_media_columns,
+        op4_minhash_near_dedup,
+        op5_html_extraction,
+        op6_token_counts,
+        op7_chat_formatting,
+        op8_toxicity,
+        op9_packing,
+        op10_quality_classifier,
+    )
+}
 ORACLES = {"op7_chat_formatting": OP7_SQL}
