@@ -6,16 +6,17 @@ Inverted lists of the sketch values generate candidates, the k least values of a
 pair's union estimate its similarity and filter, and the full sets, shingled anew
 from the texts, decide.
 
-Lists are never expanded into all their pairs. First each list pairs its members
-with its least one, and the links found so far give components; a list within one
-component is done. Then lists that still hold several components give the pairs
-across them, unless that would be more than ``partners`` for each member (a passage
-that many documents share). Such values are left out: members have other values, and
-an ``anchored`` share of a sketch decides whether those suffice; the few documents
-that have too few are compared with each other through the values left out.
-
-A pair of similarity 0.8 fails to share any of m values with probability below
-0.2^m, and the filter keeps it but for a chance of 1e-9 (``least_overlap``).
+Lists are never expanded into all their pairs. Of its values, a document is listed
+under the rarest only: so many that two similar documents cannot share all they must
+share among the others (the prefix filter). Each list pairs its members with its least
+one, and the links found so far give components; a list within one component is done.
+Lists that still hold several components give the pairs across them, unless that would
+be more than ``partners`` for each member. The members of those few lists are taken
+again with their full sets, where the rarest fifth suffices, so that documents that are
+alike in a shared passage alone, or not quite alike enough, no longer meet.
+
+Sketches of a pair of similarity 0.8 overlap less than the filter asks with a chance
+of 1e-9 (``least_overlap``); sets smaller than a sketch are known in full.
 
 Defined cases: null, empty or blank text has no shingles and links with nothing;
 fewer words than a shingle make one shingle; a repeated row is a row of its own;
@@ -167,13 +168,45 @@ def components(scratch: Scratch, links: DataFrame) -> DataFrame:
         state = tuple(now)
 
 
-def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, percent: int = 80, k: int = SKETCH, partners: int = 48, anchored: float = 0.3) -> DataFrame:
+def _full_sets(width: int):
+    schema = pa.schema([("doc", pa.int64()), ("n", pa.int64()), ("value", pa.int64())])
+
+    def make():
+        shingler = Shingler(width)
+
+        def each(batch: pa.RecordBatch):
+            for part in slices(batch, 64):
+                ids = part.column(0).to_pylist()
+                sets = [shingler(raw) for raw in part.column(1).to_pylist()]
+                sizes = [len(x) for x in sets]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, sizes), pa.int64()), pa.array(np.repeat(sizes, sizes), pa.int64()), pa.array(np.concatenate(sets).view(np.int64))], schema=schema)
+
+        return each
+
+    return make
+
+
+def rare_first(index: DataFrame, scratch: Scratch, needed: str, name: str) -> DataFrame:
+    """(doc, n, held, value) -> (value, doc, n): each document's rarest values that others share too.
+
+    ``held``: the values that the document has in the index; ``needed``: of these, the SQL
+    expression for how many it must share with a similar document. Among the
+    held - needed + 1 rarest, a similar pair shares one.
+    """
+    shared = scratch.keep(index.groupBy("value").agg(F.count("*").alias("members")).where("members > 1"), f"{name}-shared")
+    ranked = index.join(shared, "value").groupBy("doc", "n", "held").agg(F.array_sort(F.collect_list(F.struct("members", "value"))).alias("values"))
+    # Values that no other document has are the rarest; they use up places and meet nobody.
+    places = F.expr(f"cast(held - ({needed}) + 1 - (held - size(values)) as int)")
+    kept = ranked.withColumn("places", places).where("places > 0").select("doc", "n", F.explode(F.slice("values", F.lit(1), F.col("places"))).alias("x"))
+    return scratch.keep(kept.select("x.value", "doc", "n"), f"{name}-keys")
+
+
+def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, percent: int = 80, k: int = SKETCH, partners: int = 8) -> DataFrame:
     """(doc_id, text) -> (doc_id, n_shingles, component_id, kept), a row per row.
 
     ``width``: words of a shingle; ``percent``: least similarity of a link;
     ``k``: values of a sketch; ``partners``: cross-component pairs for each member
-    above which a list's value is left out; ``anchored``: share of a sketch that must
-    not be left out for a document to do without the values left out.
+    above which a list's members are compared by their full sets.
     """
     scratch = Scratch(spark, "minhash")
     raw = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("text"))
@@ -182,15 +215,16 @@ def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, p
     # One representative for each distinct set; its sketch is that of any member.
     classes = scratch.keep(sets.where("n_shingles > 0").groupBy(*prints).agg(F.min("doc_id").alias("rep"), F.first("sketch").alias("sketch")), "classes")
     named = classes.where("rep is not null")
-    index = named.select(F.col("rep").alias("doc"), F.col("n_shingles").alias("n"), F.explode("sketch").alias("value"))
-    lists = scratch.keep(index.groupBy("value").agg(F.min(F.struct("doc", "n")).alias("first"), F.count("*").alias("members")).where("members > 1"), "lists")
-    members = scratch.keep(index.join(lists, "value"), "members")
+    floor = least_overlap(k, percent / 100)
 
     def alike(a: str, b: str) -> F.Column:
         return F.expr(f"100 * least({a}, {b}) >= {percent} * greatest({a}, {b})")
 
     sketches = named.select("rep", "sketch")
-    floor = least_overlap(k, percent / 100)
+
+    def texts_of(ids: DataFrame, name: str) -> DataFrame:
+        """(doc_id, text) of the documents named, once each."""
+        return scratch.keep(raw.where("doc_id is not null").join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]), f"{name}-texts")
 
     def confirmed(pairs: DataFrame, name: str) -> DataFrame:
         """Pairs (a, b) whose union sketch, then whose full sets are similar enough."""
@@ -200,31 +234,40 @@ def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, p
         # A union smaller than a sketch is known in full.
         likely = scratch.keep(likely.where(f"(u >= {k} and o >= {floor}) or (u < {k} and 100 * o >= {percent} * u)").select("a", "b"), f"{name}-likely")
         ids = scratch.keep(likely.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"{name}-ids")
-        texts = scratch.keep(raw.where("doc_id is not null").join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"]), f"{name}-texts")
+        texts = texts_of(ids, name)
         wide = likely.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a").join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
         return scratch.keep(arrow_rows(wide, _verify(width, percent), "a long, b long"), f"{name}-links")
 
-    star = members.where("doc <> first.doc").where(alike("n", "first.n")).select(F.col("first.doc").alias("a"), F.col("doc").alias("b")).groupBy("a", "b").agg(F.count("*").alias("overlap"))
-    tried = scratch.keep(star.select("a", "b"), "stars")
+    # A sketch holds n values or k; a set of fewer than k may face one cut to k.
+    needed = f"case when n >= {k} then {floor} else least(ceil({percent} * n / 100), {k} - ceil((100 - {percent}) * n / {percent})) end"
+    index = named.select(F.col("rep").alias("doc"), F.col("n_shingles").alias("n"), F.size("sketch").alias("held"), F.explode("sketch").alias("value"))
+    keys = rare_first(index, scratch, needed, "sketch")
+    lists = scratch.keep(keys.groupBy("value").agg(F.min(F.struct("doc", "n")).alias("first"), F.count("*").alias("members")).where("members > 1"), "lists")
+    members = scratch.keep(keys.join(lists, "value"), "members")
+    star = members.where("doc <> first.doc").where(alike("n", "first.n")).select(F.col("first.doc").alias("a"), F.col("doc").alias("b"))
+    tried = scratch.keep(star.distinct(), "stars")
     links = confirmed(tried, "star")
     linked = components(scratch, links)
 
-    # Second round: what lists hold beside one component.
-    owned = scratch.keep(members.select("value", "doc", "n", "members").join(linked.select(F.col("node").alias("doc"), "component"), "doc", "left").withColumn("component", F.coalesce("component", "doc")), "owned")
+    # What lists hold beside one component.
+    owned = members.select("value", "doc", "n").join(linked.select(F.col("node").alias("doc"), "component"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
+    owned = scratch.keep(owned, "owned")
     parts = owned.groupBy("value", "component").agg(F.count("*").alias("c")).groupBy("value").agg(F.sum("c").alias("all"), F.sum(F.col("c") * F.col("c")).alias("within"), F.count("*").alias("parts"))
-    open_lists = scratch.keep(parts.where("parts > 1").select("value", ((F.col("all") * F.col("all") - F.col("within")) / F.col("all") > partners).alias("hot")), "open")
-    cold = scratch.keep(owned.join(open_lists.where("not hot"), "value").select("value", "doc", "n", "component"), "cold")
+    mixed = scratch.keep(parts.where("parts > 1").select("value", ((F.col("all") * F.col("all") - F.col("within")) / F.col("all") > partners).alias("hot")), "mixed")
 
     def across(frame: DataFrame) -> DataFrame:
+        """Pairs of a list's members in different components."""
         x, y = (frame.select("value", *[F.col(c).alias(f"{c}_{s}") for c in ("doc", "n", "component")]) for s in "ab")
         met = x.join(y, "value").where("doc_a < doc_b and component_a <> component_b").where(alike("n_a", "n_b"))
-        return met.select(F.col("doc_a").alias("a"), F.col("doc_b").alias("b")).distinct()
-
-    pairs = across(cold)
-    hot = scratch.keep(owned.join(open_lists.where("hot"), "value").select("value", "doc", "n", "component"), "hot")
-    loose = scratch.keep(hot.groupBy("doc").agg(F.count("*").alias("left_out")).join(named.select(F.col("rep").alias("doc"), F.size("sketch").alias("size")), "doc").where(F.col("left_out") > (1 - anchored) * F.col("size")).select("doc"), "loose")
-    few = hot.join(loose, "doc", "left_semi")
-    pairs = scratch.keep(pairs.unionByName(across(few)).distinct().join(tried, ["a", "b"], "left_anti"), "across")
+        return met.select(F.col("doc_a").alias("a"), F.col("doc_b").alias("b"))
+
+    pairs = across(scratch.keep(owned.join(mixed.where("not hot"), "value").select("value", "doc", "n", "component"), "cold"))
+    crowded = scratch.keep(owned.join(mixed.where("hot"), "value").select("doc", "component").distinct(), "crowded")
+    if not crowded.isEmpty():
+        full = scratch.keep(arrow_rows(texts_of(crowded.select(F.col("doc").alias("doc_id")), "crowded"), _full_sets(width), "doc long, n long, value long"), "full").withColumn("held", F.col("n"))
+        rare = rare_first(full, scratch, f"ceil({percent} * n / 100)", "full")
+        pairs = pairs.unionByName(across(scratch.keep(rare.join(crowded, "doc"), "crowded-keys")))
+    pairs = scratch.keep(pairs.distinct().join(tried, ["a", "b"], "left_anti"), "across")
     more = confirmed(pairs, "across")
     final = linked if more.isEmpty() else components(scratch, links.unionByName(more))
 
