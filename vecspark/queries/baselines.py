@@ -21,13 +21,13 @@ D = 64
 
 @query(
     "WITH x AS (SELECT DISTINCT CAST(floor(l_extendedprice * 100 + 0.5) AS BIGINT) AS x FROM lineitem), q AS (SELECT p_partkey AS qid, CAST(floor(p_retailprice * 100 + 0.5) AS BIGINT) AS v FROM part WHERE p_partkey <= 100) "
-    "SELECT CAST(qid AS BIGINT) AS qid, v, (SELECT max(x) FROM x WHERE x <= v) AS below, (SELECT min(x) FROM x WHERE x >= v) AS above FROM q"
+    "SELECT CAST(qid AS BIGINT) AS qid, v, coalesce((SELECT max(x) FROM x WHERE x <= v), -1) AS below, coalesce((SELECT min(x) FROM x WHERE x >= v), -1) AS above FROM q"
 )
 def q_scalar_nn(spark, sf):
     """Neighbours of scalars on either side, by two partial aggregates under a broadcast of the queries."""
     x = T.load(spark, sf, "lineitem").select(F.floor(F.col("l_extendedprice") * 100 + 0.5).cast("long").alias("x"))
     q = T.load(spark, sf, "part").where("p_partkey <= 100").select(F.col("p_partkey").cast("long").alias("qid"), F.floor(F.col("p_retailprice") * 100 + 0.5).cast("long").alias("v"))
-    return x.crossJoin(F.broadcast(q)).groupBy("qid", "v").agg(F.max(F.when(F.col("x") <= F.col("v"), F.col("x"))).alias("below"), F.min(F.when(F.col("x") >= F.col("v"), F.col("x"))).alias("above"))
+    return x.crossJoin(F.broadcast(q)).groupBy("qid", "v").agg(F.coalesce(F.max(F.when(F.col("x") <= F.col("v"), F.col("x"))), F.lit(-1)).alias("below"), F.coalesce(F.min(F.when(F.col("x") >= F.col("v"), F.col("x"))), F.lit(-1)).alias("above"))
 
 
 # -- trees -------------------------------------------------------------------------------------
