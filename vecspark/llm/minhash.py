@@ -12,8 +12,10 @@ share among the others (the prefix filter). Each list pairs its members with its
 one, and the links found so far give components; a list within one component is done.
 Lists that still hold several components give the pairs across them, unless that would
 be more than ``partners`` for each member. The members of those few lists are taken
-again with their full sets, where the rarest fifth suffices, so that documents that are
-alike in a shared passage alone, or not quite alike enough, no longer meet.
+again with their full sets, where the rarest fifth suffices. A pair also counts only if
+both hold enough values from the shared one on, in the common order of rarity (the
+positional filter), so that documents that are alike in a shared passage alone, or not
+quite alike enough, no longer meet.
 
 Sketches of a pair of similarity 0.8 overlap less than the filter asks with a chance
 of 1e-9 (``least_overlap``); sets smaller than a sketch are known in full.
@@ -187,7 +189,8 @@ def _full_sets(width: int):
 
 
 def rare_first(index: DataFrame, scratch: Scratch, needed: str, name: str) -> DataFrame:
-    """(doc, n, held, value) -> (value, doc, n): each document's rarest values that others share too.
+    """(doc, n, held, value) -> (value, doc, n, held, place): each document's rarest values that
+    others share too, and how many of its values come before each in the common order.
 
     ``held``: the values that the document has in the index; ``needed``: of these, the SQL
     expression for how many it must share with a similar document. Among the
@@ -196,12 +199,13 @@ def rare_first(index: DataFrame, scratch: Scratch, needed: str, name: str) -> Da
     shared = scratch.keep(index.groupBy("value").agg(F.count("*").alias("members")).where("members > 1"), f"{name}-shared")
     ranked = index.join(shared, "value").groupBy("doc", "n", "held").agg(F.array_sort(F.collect_list(F.struct("members", "value"))).alias("values"))
     # Values that no other document has are the rarest; they use up places and meet nobody.
-    places = F.expr(f"cast(held - ({needed}) + 1 - (held - size(values)) as int)")
-    kept = ranked.withColumn("places", places).where("places > 0").select("doc", "n", F.explode(F.slice("values", F.lit(1), F.col("places"))).alias("x"))
-    return scratch.keep(kept.select("x.value", "doc", "n"), f"{name}-keys")
+    alone = F.col("held") - F.size("values")
+    places = (F.col("held") - F.expr(needed) + 1 - alone).cast("int")
+    kept = ranked.withColumn("alone", alone).withColumn("places", places).where("places > 0").select("doc", "n", "held", "alone", F.posexplode(F.slice("values", F.lit(1), F.col("places"))).alias("i", "x"))
+    return scratch.keep(kept.select("x.value", "doc", "n", "held", (F.col("alone") + F.col("i")).cast("long").alias("place")), f"{name}-keys")
 
 
-def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, percent: int = 80, k: int = SKETCH, partners: int = 8) -> DataFrame:
+def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, percent: int = 80, k: int = SKETCH, partners: int = 4) -> DataFrame:
     """(doc_id, text) -> (doc_id, n_shingles, component_id, kept), a row per row.
 
     ``width``: words of a shingle; ``percent``: least similarity of a link;
@@ -250,23 +254,29 @@ def near_duplicates(spark: SparkSession, documents: DataFrame, width: int = 5, p
     linked = components(scratch, links)
 
     # What lists hold beside one component.
-    owned = members.select("value", "doc", "n").join(linked.select(F.col("node").alias("doc"), "component"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
+    owned = members.select("value", "doc", "n", "held", "place").join(linked.select(F.col("node").alias("doc"), "component"), "doc", "left").withColumn("component", F.coalesce("component", "doc"))
     owned = scratch.keep(owned, "owned")
     parts = owned.groupBy("value", "component").agg(F.count("*").alias("c")).groupBy("value").agg(F.sum("c").alias("all"), F.sum(F.col("c") * F.col("c")).alias("within"), F.count("*").alias("parts"))
     mixed = scratch.keep(parts.where("parts > 1").select("value", ((F.col("all") * F.col("all") - F.col("within")) / F.col("all") > partners).alias("hot")), "mixed")
 
-    def across(frame: DataFrame) -> DataFrame:
-        """Pairs of a list's members in different components."""
-        x, y = (frame.select("value", *[F.col(c).alias(f"{c}_{s}") for c in ("doc", "n", "component")]) for s in "ab")
-        met = x.join(y, "value").where("doc_a < doc_b and component_a <> component_b").where(alike("n_a", "n_b"))
+    def across(frame: DataFrame, shared: str) -> DataFrame:
+        """Pairs of a list's members in different components that can still share enough: what a
+        document has from the list's value on, in the common order, must reach ``shared``, SQL for
+        what similar sets share (the first value that a pair shares passes this)."""
+        x, y = (frame.select("value", *[F.col(c).alias(f"{c}_{s}") for c in ("doc", "n", "held", "place", "component")]) for s in "ab")
+        able = F.expr(f"least(held_a - place_a, held_b - place_b) >= {shared}")
+        met = x.join(y, "value").where("doc_a < doc_b and component_a <> component_b").where(alike("n_a", "n_b")).where(able)
         return met.select(F.col("doc_a").alias("a"), F.col("doc_b").alias("b"))
 
-    pairs = across(scratch.keep(owned.join(mixed.where("not hot"), "value").select("value", "doc", "n", "component"), "cold"))
+    columns = ["value", "doc", "n", "held", "place", "component"]
+    both = f"ceil({percent} * (n_a + n_b) / (100 + {percent}))"
+    sketched = f"case when least(n_a, n_b) >= {k} then {floor} when greatest(n_a, n_b) < {k} then {both} else {k} - ceil((100 - {percent}) * least(n_a, n_b) / {percent}) end"
+    pairs = across(scratch.keep(owned.join(mixed.where("not hot"), "value").select(*columns), "cold"), sketched)
     crowded = scratch.keep(owned.join(mixed.where("hot"), "value").select("doc", "component").distinct(), "crowded")
     if not crowded.isEmpty():
         full = scratch.keep(arrow_rows(texts_of(crowded.select(F.col("doc").alias("doc_id")), "crowded"), _full_sets(width), "doc long, n long, value long"), "full").withColumn("held", F.col("n"))
         rare = rare_first(full, scratch, f"ceil({percent} * n / 100)", "full")
-        pairs = pairs.unionByName(across(scratch.keep(rare.join(crowded, "doc"), "crowded-keys")))
+        pairs = pairs.unionByName(across(scratch.keep(rare.join(crowded, "doc").select(*columns), "crowded-keys"), both))
     pairs = scratch.keep(pairs.distinct().join(tried, ["a", "b"], "left_anti"), "across")
     more = confirmed(pairs, "across")
     final = linked if more.isEmpty() else components(scratch, links.unionByName(more))
