@@ -28,7 +28,7 @@ def choose(n: int, lists: int, queries: int, m: int = 8, b: int = 8, ma: int = 1
         scan = "nibble"
     elif b == 16:
         scan = "nested"
-    elif n < 50_000 or g == 0:
+    elif g < 2:  # lists too small for groups to pay
         scan = "plain"
     else:
         scan = "bounded"
