@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from vecspark.operators.codebook import PQModel
 
@@ -31,13 +32,13 @@ def adc_udf(model: PQModel, table: np.ndarray):
     return distance
 
 
-@F.pandas_udf("array<long>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def vector_mean(e: pd.Series) -> list:
     """Grouped aggregate: floored component means."""
     return np.floor(np.array(e.tolist(), float).mean(axis=0)).astype(int).tolist()
 
 
-@F.udtf(returnType="pos int, x long")
+@F.udtf(returnType=T.StructType([T.StructField("pos", T.IntegerType()), T.StructField("x", T.LongType())]))
 class Components:
     """Table function: one row for each component of a vector."""
 
