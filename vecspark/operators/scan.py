@@ -16,7 +16,7 @@ from vecspark.functions.vectors import total
 from vecspark.operators.encode import code_columns
 from vecspark.operators.index import lookup_tables
 from vecspark.operators.codebook import PQModel
-from vecspark.plans.kernels import least_rows, map_batches
+from vecspark.plans.kernels import joined, least_rows, map_batches
 
 BROADCAST_BYTES = 256 << 20
 
@@ -94,7 +94,7 @@ def kernel_topk(codes: DataFrame, table_rows: list, m: int, r: int, variant: str
                 out["qid"].append(np.full(len(kept), q))
                 out["vec_id"].append(who[kept])
                 out["dist"].append(d[kept])
-            return {k: np.concatenate(v) if v else np.zeros(0, np.int64) for k, v in out.items()}
+            return joined(out)
 
         return each
 
@@ -240,7 +240,7 @@ def bounded_kernel(codes: DataFrame, table_rows: list, thresholds: dict, m: int,
                 out["qid"].append(np.full(len(kept), q))
                 out["vec_id"].append(ids[near][kept])
                 out["dist"].append(d[kept])
-            return {k: np.concatenate(v) for k, v in out.items()}
+            return joined(out)
 
         return each
 
@@ -286,7 +286,7 @@ def nibble_kernel(codes: DataFrame, small_rows: list, m: int, r: int, rows_per_s
                 out["qid"].append(np.full(len(kept), q))
                 out["vec_id"].append(ids[kept])
                 out["dist"].append(d[kept])
-            return {k: np.concatenate(v) for k, v in out.items()}
+            return joined(out)
 
         return each
 
@@ -349,7 +349,7 @@ def capped_kernel(codes: DataFrame, small_rows: list, m: int, b_coarse: int, r2:
                 out["qid"].append(np.full(len(kept), q))
                 out["vec_id"].append(ids[kept])
                 out["bucket"].append(acc[kept])
-            return {k: np.concatenate(v) for k, v in out.items()}
+            return joined(out)
 
         return each
 

@@ -60,3 +60,8 @@ def least_rows(distance: np.ndarray, ids: np.ndarray, r: int) -> np.ndarray:
         kept = np.flatnonzero(distance <= bound)
         return kept[np.lexsort((ids[kept], distance[kept]))[:r]]
     return np.lexsort((ids, distance))[:r]
+
+
+def joined(out: dict[str, list]) -> dict[str, np.ndarray]:
+    """Columns gathered piece by piece; empty where there was no piece."""
+    return {k: np.concatenate(v) if v else np.zeros(0, np.int64) for k, v in out.items()}
