@@ -312,6 +312,18 @@ def test_leaks_paraphrase_and_odd(spark):
     assert decontaminate.leaks(spark, docs, bench.limit(0)).count() == 0
 
 
+def test_leaks_in_a_third_of_the_rows(spark):
+    """The production defaults where the leaking copies make all of the item's words common."""
+    rng = random.Random(8)
+    item = " ".join(f"w{rng.randint(0, 400)}" for _ in range(30)) + ". forty two copper coins."
+    words = item.split()
+    for i in (3, 9, 17):
+        words[i] = "other"
+    rows = [(i, " ".join(f"v{rng.randint(0, 3000)}" for _ in range(80)) + (f" {' '.join(words)} end" if i % 3 == 0 else "")) for i in range(120)]
+    docs, bench = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame([(0, item)], "item_id long, text string")
+    assert {r["doc_id"] for r in decontaminate.leaks(spark, docs, bench).collect()} == {i for i in range(120) if i % 3 == 0}
+
+
 def test_language(spark, sf):
     docs, pages = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/pages.parquet")
     model = language_id.train(spark, docs)
