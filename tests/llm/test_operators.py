@@ -324,6 +324,25 @@ def test_leaks_in_a_third_of_the_rows(spark):
     assert {r["doc_id"] for r in decontaminate.leaks(spark, docs, bench).collect()} == {i for i in range(120) if i % 3 == 0}
 
 
+def test_leaks_at_the_stated_shares_are_all_found(spark):
+    """Planted items at 80 % of their words, or at 60 % with the answer whole, in long documents."""
+    rng, bench, rows, want = random.Random(9), [], [], set()
+    for i in range(60):
+        body = [f"w{int(rng.paretovariate(0.6)) % 3000}" for _ in range(rng.randint(12, 45))]
+        answer = [f"w{rng.randint(0, 3000)}" for _ in range(3)]
+        bench.append((i, " ".join(body) + ". " + " ".join(answer) + "."))
+        n = len(body) + 3
+        for k, kept in enumerate((n, -(-n * 4 // 5), -(-n * 3 // 5))):
+            lost = set(rng.sample(range(len(body)), min(len(body), n - kept)))
+            words = [f"z{rng.randint(0, 3000)}" if j in lost else w for j, w in enumerate(body)] + answer
+            around = [[f"w{int(rng.paretovariate(0.6)) % 3000}" for _ in range(rng.randint(100, 300))] for _ in range(2)]
+            rows.append((i * 3 + k, " ".join(around[0] + words + around[1])))
+            want.add((i * 3 + k, i))
+    docs, items = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(bench, "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]) for r in decontaminate.leaks(spark, docs, items).collect()}
+    assert want <= got
+
+
 def test_language(spark, sf):
     docs, pages = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/pages.parquet")
     model = language_id.train(spark, docs)
