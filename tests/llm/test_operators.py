@@ -343,6 +343,17 @@ def test_leaks_at_the_stated_shares_are_all_found(spark):
     assert want <= got
 
 
+def test_leaks_of_long_items_by_paraphrase(spark):
+    rng = random.Random(10)
+    body = [f"w{rng.randint(0, 900)}" for _ in range(250)]
+    item = " ".join(body) + ". forty two copper coins."
+    near = [w if i % 3 else "other" for i, w in enumerate(body)]
+    rows = [(0, " ".join(near) + ". forty two copper coins"), (1, " ".join(near) + ". nine tin spoons"), (2, " ".join(rng.sample(body, 250)) + ". forty two copper coins")]
+    docs, bench = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame([(0, item)], "item_id long, text string")
+    got = decontaminate.leaks(spark, docs, bench).collect()
+    assert [(r["doc_id"], r["answered"]) for r in got] == [(0, True)] and got[0]["common"] < 0.8
+
+
 def test_language(spark, sf):
     docs, pages = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/pages.parquet")
     model = language_id.train(spark, docs)
