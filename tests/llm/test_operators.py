@@ -139,6 +139,29 @@ def test_ids_are_those_of_the_json_tokenizer(spark, sf):
     assert [x.ids for x in slow.encode_batch(texts, add_special_tokens=False)] == [t.ids(x).tolist() for x in texts]
 
 
+def test_added_tokens_are_those_of_the_json_tokenizer(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    slow, end = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")), "<|endoftext|>"
+    texts = [f"a {end} b", end, f"{end}{end}", f"x  {end}\n\n {end}y <|endof text|>", "plain 12", f" {end} {end}  "]
+    want = [x.ids for x in slow.encode_batch(texts, add_special_tokens=False)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    t = tokens.PieceTokenizer(added=True)
+    assert [t.ids(x).tolist() for x in texts] == want
+    assert {r["doc_id"]: r["tokens"][1] for r in token_tree.token_trees(docs).collect()} == {i: len(x) for i, x in enumerate(want)}
+    sums = Counter()
+    for r in packing.pack_documents(spark, docs).collect():
+        sums[r["doc_id"]] += r["length"]
+    assert sums == {i: len(x) + 1 for i, x in enumerate(want)}
+    rng = random.Random(4)
+    for _ in range(200):
+        text = "".join(rng.choice(["a", " ", "b\n", end, "<|endof", "text|>"]) for _ in range(rng.choice([1, 9, 300])))
+        tree = token_tree.build(t, text)
+        tree, text, _ = token_tree.apply_edit(t, tree, text, rng.randint(0, len(text)), rng.choice([0, 1, 9]), rng.choice(["", "x y", end, "text|> "]))
+        assert tree.total == len(slow.encode(text, add_special_tokens=False).ids)
+
+
 def test_token_trees_follow_edits():
     t, rng = tokens.PieceTokenizer(), random.Random(2)
     for _ in range(400):

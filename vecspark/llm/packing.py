@@ -142,7 +142,7 @@ def _tokenize(path: str | None, capacity: int, end_id: int):
     schema = pa.schema([(c.split()[0], kinds[c.split()[1]]) for c in ITEMS.split(", ")])
 
     def make():
-        tokenizer, seen, task = PieceTokenizer(path), [0] * (capacity + 1), TaskContext.get().partitionId()
+        tokenizer, seen, task = PieceTokenizer(path, added=True), [0] * (capacity + 1), TaskContext.get().partitionId()
 
         def each(batch: pa.RecordBatch):
             for part in slices(batch, 1024):
@@ -168,7 +168,7 @@ def _cut_crc(path: str | None, end_id: int):
     schema = pa.schema([("task", pa.int32()), ("length", pa.int32()), ("rank", pa.int64()), ("cut_start", pa.int32()), ("cut_crc32", pa.int64())])
 
     def make():
-        tokenizer = PieceTokenizer(path)
+        tokenizer = PieceTokenizer(path, added=True)
 
         def each(batch: pa.RecordBatch):
             crc = []

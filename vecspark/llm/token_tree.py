@@ -131,7 +131,7 @@ def _build(path: str | None):
     schema = pa.schema([("doc_id", pa.int64()), ("text", pa.string()), ("tokens", pa.list_(pa.int32())), ("chars", pa.list_(pa.int32()))])
 
     def make():
-        tokenizer = PieceTokenizer(path)
+        tokenizer = PieceTokenizer(path, added=True)
 
         def each(batch: pa.RecordBatch):
             for part in slices(batch):
@@ -156,7 +156,7 @@ def _edit(path: str | None):
     schema = pa.schema([(n, pa.int64()) for n in names])
 
     def make():
-        tokenizer = PieceTokenizer(path)
+        tokenizer = PieceTokenizer(path, added=True)
 
         def each(batch: pa.RecordBatch):
             for part in slices(batch):
