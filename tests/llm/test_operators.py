@@ -221,6 +221,16 @@ def test_html():
     assert html_text.main_text("plain text") == "plain text"
 
 
+def test_html_keeps_all_content():
+    long, lead = "Many words of the body text stand here in a row. " * 12, "The lead tells what happened yesterday in the town and why it did. " * 2
+    assert html_text.main_text(f"<body><div><div><p>{lead}</div><div><p>{long}<p>{long}</div></div>").split() == (lead + long * 2).split()
+    assert html_text.main_text(f"<body><nav>Menu</nav><article><p>{long}<p>{long}</article><article><p>{lead}</article><footer>F</footer>").split() == (long * 2 + lead).split()
+    assert html_text.main_text(f"<head><title>T</title></head><body><form><p>{long}</form><script>x()</script>").split() == long.split()
+    assert html_text.main_text(f"<body><div><p>{long}<p>{long}</div><article><p>{lead}</article>").split() == (long * 2 + lead).split()
+    side = "<div class=sidebar><p>Side words</div>"
+    assert html_text.main_text(f"<body><div class='layout with-sidebar'><div><p>{long}</div>{side}</div>").split() == long.split()
+
+
 def test_html_pages_keep_their_articles(spark, sf):
     import re
 

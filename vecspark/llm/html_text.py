@@ -26,6 +26,7 @@ VOID = frozenset("area base br col embed hr img input link meta param source tra
 BLOCKS = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 HOLDERS = frozenset("html body main article section div td center".split())
 DROPPED = frozenset("head script style noscript template nav footer aside form button select option textarea iframe svg canvas object menu dialog title audio video".split())
+UNSEEN = frozenset("head script style noscript template title option".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form alert alertdialog dialog menu menubar toolbar".split())
 WORDS = frozenset(
     "ad ads adv advert adverts advertisement advertising adsense sponsor sponsored promo promotion cookie cookies consent gdpr banner notice notices "
@@ -46,9 +47,15 @@ class Lines(HTMLParser):
         self.stack: list[tuple[str, int, bool]] = []  # name, holder, inside something dropped
         self.lines: list[tuple[str, int, int, bool]] = []
         self.holders: list[tuple[str, int]] = [("", -1)]  # name, parent
+        self.suspects: set[int] = set()  # holders with a class word
+        self.body: list[tuple[str, int, int, bool]] = []  # lines that a reader can see
         self.text: list[str] = []
         self.tags = 0
 
+    def named(self, tag: str, attrs) -> bool:
+        """Whether a class or id has one of the words of what is not content."""
+        return tag not in EXEMPT and any(v and n in ("class", "id") and not WORDS.isdisjoint(PART.split(v.lower())) for n, v in attrs)
+
     def state(self) -> tuple[int, bool]:
         return (self.stack[-1][1], self.stack[-1][2]) if self.stack else (0, False)
 
@@ -57,6 +64,8 @@ class Lines(HTMLParser):
         if text:
             holder, dropped = self.state()
             self.lines.append((text, self.tags, holder, dropped))
+            if not dropped or UNSEEN.isdisjoint(name for name, _, _ in self.stack):
+                self.body.append((text, self.tags, holder, False))
         self.text, self.tags = [], 0
 
     def unwanted(self, tag: str, attrs) -> bool:
@@ -69,7 +78,7 @@ class Lines(HTMLParser):
         for name, value in attrs:
             if name == "hidden" or name == "aria-hidden" and value == "true":
                 return True
-            if value and (name == "role" and value.lower() in ROLES or name in ("class", "id") and not WORDS.isdisjoint(PART.split(value.lower()))):
+            if value and name == "role" and value.lower() in ROLES:
                 return True
             if value and name == "style" and "display:none" in value.replace(" ", "").lower():
                 return True
@@ -93,13 +102,15 @@ class Lines(HTMLParser):
         if tag in VOID:
             return
         holder, dropped = self.state()
-        bad = self.unwanted(tag, attrs)
-        if tag in BLOCKS or bad:
-            if bad and tag not in BLOCKS:
+        bad, suspect = self.unwanted(tag, attrs), self.named(tag, attrs)
+        if tag in BLOCKS or bad or suspect:
+            if tag not in BLOCKS:
                 self.flush()
-            if tag in HOLDERS:
+            if tag in HOLDERS or suspect:
                 self.holders.append((tag, holder))
                 holder = len(self.holders) - 1
+                if suspect:
+                    self.suspects.add(holder)
             self.stack.append((tag, holder, dropped or bad))
 
     def handle_startendtag(self, tag, attrs):
@@ -140,8 +151,34 @@ def smooth(values: list[float], sigma: float = 1.0, reach: int = 2) -> list[floa
     return out
 
 
-def main_text(html: str | None, share: float = 0.8) -> str:
-    """The article's blocks, joined by newlines. ``share``: of the content that its element must hold."""
+def held_by(lines: list[tuple[str, int, int, bool]], holders: list[tuple[str, int]]) -> list[int]:
+    """Characters of the lines inside each holder."""
+    held = [0] * len(holders)
+    for text, _, holder, _ in lines:
+        while holder >= 0:
+            held[holder] += len(text)
+            holder = holders[holder][1]
+    return held
+
+
+def within(holders: list[tuple[str, int]], roots: set[int]) -> list[bool]:
+    inside = [False] * len(holders)
+    for i in range(len(holders)):
+        inside[i] = i in roots or holders[i][1] >= 0 and inside[holders[i][1]]
+    return inside
+
+
+def apart(holders: list[tuple[str, int]], a: int, b: int) -> bool:
+    """Whether neither holder is inside the other."""
+    low, high = max(a, b), min(a, b)
+    while low > high:
+        low = holders[low][1]
+    return low != high
+
+
+def main_text(html: str | None, small: float = 0.5) -> str:
+    """The article's blocks, joined by newlines. ``small``: share of the page's text up to which an
+    element is excluded for a word in its class or id."""
     if not html:
         return ""
     parser = Lines()
@@ -149,19 +186,20 @@ def main_text(html: str | None, share: float = 0.8) -> str:
     parser.close()
     parser.flush()
     lines, holders = parser.lines, parser.holders
+    held = held_by([x for x in lines if not x[3]], holders)
+    marked = [i for i in range(len(holders)) if held[i] and holders[i][0] in ("article", "main")]
+    # A large element goes for its name only where an article stands apart from it.
+    out = within(holders, {i for i in parser.suspects if held[i] <= small * held[0] or any(apart(holders, i, j) for j in marked)})
+    lines = [(text, tags, holder, dropped or out[holder]) for text, tags, holder, dropped in lines]
     wanted = [x for x in lines if not x[3]]
     if not wanted:
-        return ""
+        return "\n".join(text for text, _, _, _ in parser.body)
     ratios = smooth([0.0 if dropped else len(text) / max(1, tags) for text, tags, _, dropped in lines])
     mean = sum(ratios) / len(ratios)
     spread = math.sqrt(sum((r - mean) ** 2 for r in ratios) / len(ratios))
     content = [x for x, r in zip(lines, ratios, strict=True) if not x[3] and r >= min(spread, mean)] or wanted
-    held = [0] * len(holders)
-    for text, _, holder, _ in content:
-        while holder >= 0:
-            held[holder] += len(text)
-            holder = holders[holder][1]
-    best = max(i for i in range(len(holders)) if held[i] >= share * held[0])
+    held = held_by(content, holders)
+    best = max(i for i in range(len(holders)) if held[i] == held[0])
     # The largest element of an article's kind above the choice, if any, is the article.
     top, up = best, best
     while up >= 0:
@@ -170,9 +208,12 @@ def main_text(html: str | None, share: float = 0.8) -> str:
             if holders[up][0] == "article":
                 break
         up = holders[up][1]
-    inside = [False] * len(holders)
-    for i in range(len(holders)):
-        inside[i] = i == top or holders[i][1] >= 0 and inside[holders[i][1]]
+    inside = within(holders, {top})
+    if holders[top][0] not in ("article", "main"):
+        # Where article and main elements hold most of the content, all of them are the article.
+        articles = within(holders, {i for i in range(len(holders)) if inside[i] and holders[i][0] in ("article", "main")})
+        if 2 * sum(len(text) for text, _, holder, _ in content if articles[holder]) > held[0]:
+            inside = articles
     return "\n".join(text for text, _, holder, _ in wanted if inside[holder])
 
 
