@@ -302,6 +302,16 @@ def test_classifiers_hold_out(spark):
         assert np.mean([r[0] == r[1] for r in got]) >= least
 
 
+def test_quality_trains_on_every_passage(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(quality.Attention, "fit", lambda self, x, starts, y: seen.append(len(x)))
+    docs = spark.createDataFrame([(i, "some words here now " * 16 * 40) for i in range(1, 9)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2, 0) for i in range(1, 9)], "doc_id long, quality int, toxic int")
+    quality.train(spark, docs, labels)
+    assert seen and seen[0] and seen[0] % 40 == 0
+    assert seen[0] == 40 * sum(zlib.crc32(str(i).encode()) % quality.PARTS != quality.HELD for i in range(1, 9))
+
+
 def test_classifiers_odd(spark):
     labels = spark.createDataFrame([(5, 0, 1), (4, 1, 0), (5, 0, 1), (None, 1, 1), (7, None, None)], "doc_id long, quality int, toxic int")
     for m in (toxicity, quality):

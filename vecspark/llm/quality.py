@@ -131,30 +131,22 @@ class Attention:
         return self
 
 
-def _encode_sample(per_document: int):
+def _encode_sample():
     schema = pa.schema([("doc_id", pa.int64()), ("label", pa.int32()), ("passages", pa.binary())])
 
-    def make():
-        def each(batch: pa.RecordBatch):
-            out = []
-            for text in batch["text"].to_pylist():
-                x = encode(text)
-                if len(x) > per_document:
-                    x = x[np.linspace(0, len(x) - 1, per_document).astype(int)]
-                out.append(x.astype("<f4").tobytes())
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["label"].cast(pa.int32()), pa.array(out, pa.binary())], schema=schema)
+    def each(batch: pa.RecordBatch):
+        for part in slices(batch, 128):
+            out = [encode(text).astype("<f4").tobytes() for text in part["text"].to_pylist()]
+            yield pa.RecordBatch.from_arrays([part["doc_id"], part["label"].cast(pa.int32()), pa.array(out, pa.binary())], schema=schema)
 
-        return each
-
-    return make
+    return each
 
 
-def train(spark: SparkSession, documents: DataFrame, labels: DataFrame, limit: int = 4000, per_document: int = 24, hidden: int = 12, seed: int = 7) -> Attention:
-    """``limit``: labelled documents at most; ``per_document``: passages of each that training
-    (not scoring) uses at most, evenly spaced. So the driver holds a bounded matrix."""
+def train(spark: SparkSession, documents: DataFrame, labels: DataFrame, limit: int = 4000, hidden: int = 12, seed: int = 7) -> Attention:
+    """``limit``: labelled documents at most; training uses every passage of each."""
     scratch = Scratch(spark, "quality")
     sample = labelled_sample(scratch, documents, labels, "quality", PARTS, HELD, limit)
-    rows = arrow_rows(sample, _encode_sample(per_document), "doc_id long, label int, passages binary").collect()
+    rows = arrow_rows(sample, _encode_sample, "doc_id long, label int, passages binary").collect()
     rows.sort(key=lambda r: r["doc_id"])
     bags = [np.frombuffer(r["passages"], "<f4").reshape(-1, WIDTH) for r in rows] or [np.zeros((1, WIDTH), "<f4")]
     x = np.concatenate(bags).astype(float)
