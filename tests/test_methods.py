@@ -185,3 +185,16 @@ def test_entry(spark):
 
     assert e.entry(spark).count() > 0
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_encoding_errors_cover_the_whole_base(spark):
+    from vecspark.operators import additive
+    from vecspark.queries import baselines
+
+    x = np.random.default_rng(3).integers(0, 4096, (700, 64))
+    x[400:] *= 3
+    model, _ = additive.train_composite(x[:400].astype(float), 4, 8)
+    codes = model.encode(x.astype(float))
+    want = ((x - sum(model.books[j][codes[:, j]] for j in range(4))) ** 2).sum(axis=1).mean()
+    base = spark.createDataFrame([(v.tolist(),) for v in x], "e array<long>")
+    assert abs(baselines.encoding_error(base, model) / want - 1) < 1e-9

@@ -420,25 +420,37 @@ def q_cq_distance(spark, sf):
     return top_k(additive.additive_scan(encode.encode_pq(b, pq), rows, model), 10, ["qid"], ["dist", "vec_id"])
 
 
+def encoding_error(base, model, *beam):
+    """Mean squared error of all the base's codes, encoded on the executors."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                x = np.array(batch.slice(at, 512).column(0).to_pylist(), float)
+                codes = model.encode(x, *beam)
+                whole = sum(model.books[j][codes[:, j]] for j in range(codes.shape[1]))
+                yield pa.RecordBatch.from_pydict({"total": pa.array([float(((x - whole) ** 2).sum())]), "n": pa.array([len(x)], pa.int64())})
+
+    r = base.select("e").mapInArrow(run, "total double, n long").agg(F.sum("total").alias("total"), F.sum("n").alias("n")).first()
+    return r["total"] / r["n"] if r["n"] else 0.0
+
+
 @query()
 def q_cq_trained(spark, sf):
-    """Trained composite quantizer: error and spread of its cross products, on a bounded sample."""
-    rows = models.v0(spark, sf)[1].orderBy("vec_id").limit(400).collect()
+    """Trained composite quantizer (on a bounded sample): error over the whole base and spread of its cross products."""
+    b = models.v0(spark, sf)[1]
+    rows = b.orderBy("vec_id").limit(400).collect()
     x = np.array([r["e"] for r in rows], float)
     model, constant = additive.train_composite(x, 4, 8)
-    codes = model.encode(x)
-    whole = sum(model.books[j][codes[:, j]] for j in range(4))
-    return spark.createDataFrame([(float(((x - whole) ** 2).sum(axis=1).mean()), float(constant))], "error double, constant double")
+    return spark.createDataFrame([(encoding_error(b, model), float(constant))], "error double, constant double")
 
 
 @query()
 def q_aq_beam(spark, sf):
-    """Error of greedy and beam encoding with the same codebooks."""
+    """Error of greedy and beam encoding of the whole base with the same codebooks."""
     q, b = models.v0(spark, sf)
     model = models.once(spark, (sf, "chain", False), lambda: additive.train_residual_chain(b, 3, 8, D, 3, False))
-    x = np.array([r["e"] for r in b.orderBy("vec_id").limit(200).collect()], float)
-    rows = []
-    for beam in (1, 4, 8):
-        codes = model.encode(x, beam)
-        rows.append((beam, float(((x - sum(model.books[j][codes[:, j]] for j in range(3))) ** 2).sum(axis=1).mean())))
+    rows = [(beam, encoding_error(b, model, beam)) for beam in (1, 4, 8)]
     return spark.createDataFrame(rows, "beam long, error double")
