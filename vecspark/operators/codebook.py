@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecspark.functions.ranking import global_rank
+from vecspark.functions.ranking import value_of_rank
 from vecspark.plans.kernels import map_batches, matrix, nearest, squared
 
 
@@ -60,12 +60,12 @@ def _means(sums: np.ndarray, counts: np.ndarray, old: np.ndarray) -> np.ndarray:
 
 
 def stride_start(training: DataFrame, k: int, key: str = "vec_id") -> np.ndarray:
-    """The vectors of rank floor(i * n / k) by id."""
-    ranked = global_rank(training.select(key, "e"), key)
+    """The vectors of rank floor(i * n / k) by id: k rows at most reach the driver."""
     n = training.count()
-    wanted = sorted({i * n // k for i in range(k)})
-    rows = {r["rank"]: r["e"] for r in ranked.where(F.col("rank").isin(wanted)).select("rank", "e").collect()}
-    return np.array([rows[i * n // k] for i in range(k)])
+    ids = value_of_rank(training, key, [i * n // k for i in range(k)], n)
+    wanted = training.sparkSession.createDataFrame([(i,) for i in sorted(set(ids))], f"{key} long")
+    rows = {r[key]: r["e"] for r in training.select(key, "e").join(F.broadcast(wanted), key).collect()}
+    return np.array([rows[i] for i in ids])
 
 
 def plusplus_start(training: DataFrame, k: int, seed: int, pool: int = 5000) -> np.ndarray:

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import numpy as np
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vecspark.functions.bits import interleave
-from vecspark.functions.ranking import top_k
+from vecspark.functions.ranking import global_rank, top_k
 from vecspark.functions.vectors import l2sq, total
+from vecspark.plans.kernels import map_batches, matrix
 
 SCALE = 4096
 
@@ -32,8 +34,18 @@ def hash_columns(d: int, count: int, w: int, seed: int = 42) -> list[Column]:
 
 
 def hashed(vectors: DataFrame, key: str, d: int, count: int, w: int, seed: int = 42) -> DataFrame:
-    """(key, e, h0 .. h{count-1})."""
-    return vectors.select(key, "e", *[h.alias(f"h{i}") for i, h in enumerate(hash_columns(d, count, w, seed))])
+    """(key, e, h0 .. h{count-1}) of fixed-point vectors; one matrix product for each Arrow batch
+    (its sums stay below 2^53, so they equal ``hash_columns``)."""
+    a, b = np.array(normals(count, d, seed), float), np.array(offsets(count, w, seed + 1), float)
+
+    def make():
+        def each(batch):
+            h = np.floor((matrix(batch) @ a.T + b) / float(w * SCALE)).astype(np.int64)
+            return {key: batch[key], "e": batch["e"]} | {f"h{i}": h[:, i] for i in range(count)}
+
+        return each
+
+    return map_batches(vectors.select(key, "e"), make, f"{key} long, e array<long>, " + ", ".join(f"h{i} long" for i in range(count)))
 
 
 def compound(m: int, tables: int) -> Column:
@@ -77,8 +89,24 @@ def common_prefix(a: Column, b: Column, width: int) -> Column:
 
 
 def lsb_candidates(base: DataFrame, queries: DataFrame, width: int, budget: int) -> DataFrame:
-    """(qid, vec_id): entries by longest common prefix with the query, a budget for each tree."""
-    pairs = base.crossJoin(F.broadcast(queries.withColumnRenamed("z", "zq"))).select("qid", "vec_id", common_prefix(F.col("z"), F.col("zq"), width).alias("llcp"))
+    """(qid, vec_id): entries by longest common prefix with the query, a budget for each tree.
+
+    The prefix shortens as one walks away from a query in Z-order, so the ``budget`` neighbours on
+    either side tell the length that the last of the budget has; entries with that prefix are
+    fetched by an equi-join on (length, prefix) and ranked.
+    """
+    base, queries = base.persist(), queries.persist()
+    near = sk_candidates(base.withColumnRenamed("z", "k"), queries.withColumnRenamed("z", "k"), budget)
+    keyed = near.join(base, "vec_id").join(F.broadcast(queries.withColumnRenamed("z", "zq")), "qid")
+    lengths = top_k(keyed.withColumn("llcp", common_prefix(F.col("z"), F.col("zq"), width)), budget, ["qid"], [F.col("llcp").desc(), F.col("vec_id")]).groupBy("qid").agg(F.min("llcp").alias("length"))
+
+    def prefix(z: str) -> Column:
+        return F.expr(f"shiftright({z}, cast({width} - length as int))")
+
+    wanted = lengths.join(queries.withColumnRenamed("z", "zq"), "qid").withColumn("prefix", prefix("zq"))
+    present = [r["length"] for r in lengths.select("length").distinct().collect()]  # at most width + 1
+    entries = base.withColumn("length", F.explode(F.array(*[F.lit(x) for x in present or [0]]))).withColumn("prefix", prefix("z"))
+    pairs = entries.join(F.broadcast(wanted), ["length", "prefix"]).select("qid", "vec_id", common_prefix(F.col("z"), F.col("zq"), width).alias("llcp"))
     return top_k(pairs, budget, ["qid"], [F.col("llcp").desc(), F.col("vec_id")]).select("qid", "vec_id")
 
 
@@ -97,11 +125,17 @@ def sk_keys(vectors: DataFrame, key: str, d: int, m: int, w: int, seed: int) ->
 
 
 def sk_candidates(base: DataFrame, queries: DataFrame, budget: int) -> DataFrame:
-    """(qid, vec_id): entries within ``budget`` places of the query's place in the linear order."""
-    from vecspark.functions.ranking import global_rank
-
-    ordered = base.withColumn("place", F.struct("k", "vec_id"))
-    ranked = global_rank(ordered, "place", "rank").select("vec_id", "k", "rank")
-    at = base.crossJoin(F.broadcast(queries.withColumnRenamed("k", "kq"))).groupBy("qid").agg(F.count_if(F.col("k") < F.col("kq")).alias("at"))
-    near = ranked.crossJoin(F.broadcast(at)).where("rank >= at - %d and rank < at + %d" % (budget, budget))
-    return near.select("qid", "vec_id")
+    """(qid, vec_id): entries within ``budget`` places of the query's place in the linear order.
+
+    Base and queries are ranked together (a query before the entries of its own key); a query then
+    names the places that it looks at, and an equi-join on places fetches them.
+    """
+    base, queries = base.persist(), queries.persist()  # two narrow columns, read by each ranking
+    both = base.select("vec_id", F.lit(1).alias("_kind"), "k").unionByName(queries.select(F.col("qid").alias("vec_id"), F.lit(0).alias("_kind"), "k"))
+    ranked = global_rank(both, "k", "_at", ("_kind", "vec_id"))
+    asked = ranked.where("_kind = 0").select(F.col("vec_id").alias("qid"), "_at")
+    # A query's place among the entries alone: its place less the queries before it.
+    spots = asked.withColumn("_at", F.col("_at") - (F.row_number().over(W.orderBy("_at")) - 1))
+    places = spots.select("qid", F.explode(F.sequence(F.col("_at") - budget, F.col("_at") + budget - 1)).alias("_at"))
+    entries = global_rank(base, "k", "_at", ("vec_id",)).select("vec_id", "_at")
+    return entries.join(F.broadcast(places), "_at").select("qid", "vec_id")

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vecspark.functions.ranking import top_k
+from vecspark.functions.ranking import prefix_ends, top_k
 from vecspark.functions.vectors import total
 from vecspark.operators.encode import code_columns
 from vecspark.operators.index import lookup_tables
@@ -159,18 +159,16 @@ def lower_bound(m: int, g: int, low_bits: int = 4, top: int = 127, mode: str = "
 def with_prefix(codes: DataFrame, share: float | None, count: int | None = None, r: int = 1, keys: tuple[str, ...] = ()) -> DataFrame:
     """Marks the prefix: the first ceil(share * n) codes of each list in id order (or ``count``), r at least.
 
-    The order within a list is the storage order; here it is taken from the ids.
+    Only the id that closes each prefix is looked for, so the codes stay where they are: the
+    mark is a comparison of ids, a filter that a scan of stored codes can push down.
     """
-    if keys:
-        w = W.partitionBy(*keys)
-        pos, n = F.row_number().over(w.orderBy("vec_id")), F.count("*").over(w)
-        placed = codes.withColumn("pos", pos.cast("long")).withColumn("n_list", n)
-    else:
-        from vecspark.functions.ranking import global_rank
-
-        placed = global_rank(codes, "vec_id", "pos").withColumn("pos", F.col("pos") + 1).withColumn("n_list", F.lit(codes.count()))
-    limit = F.greatest(F.lit(r), F.lit(count) if count is not None else F.ceil(F.col("n_list") * F.lit(share)))
-    return placed.withColumn("prefix", F.col("pos") <= limit)
+    limit = F.greatest(F.lit(r), F.lit(count) if count is not None else F.ceil(F.col("_total") * F.lit(share))).cast("long")
+    ends = prefix_ends(codes, "vec_id", limit, keys)
+    if not keys:
+        end = ends.first()
+        return codes.withColumn("prefix", F.lit(False) if end is None else F.col("vec_id") <= F.lit(end["_end"]))
+    joined = codes.join(F.broadcast(ends), list(keys))  # a row for each list
+    return joined.withColumn("prefix", F.col("vec_id") <= F.col("_end")).drop("_end")
 
 
 def bounded_marks(placed: DataFrame, tables: DataFrame, m: int, r: int, g: int, keys: tuple[str, ...] = (), mode: str = "full", low_bits: int = 4, qmax: str = "prefix") -> DataFrame:
