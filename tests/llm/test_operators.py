@@ -231,6 +231,41 @@ def test_html_keeps_all_content():
     assert html_text.main_text(f"<body><div class='layout with-sidebar'><div><p>{long}</div>{side}</div>").split() == long.split()
 
 
+def test_html_ratios_decide(spark, sf):
+    """Without elements that say what they are, the clustered ratios find most of the given articles;
+    with constant ratios none is found."""
+    from vecspark.llm.common import table
+
+    right = other = 0
+    pages = [r["html"] for r in table(spark, sf, "pages").collect()]
+    for html in pages:
+        want = html_text.main_text(html)
+        bare = html.replace("<article>", "<div>").replace("</article>", "</div>").replace(' class="ad"', "")
+        right += html_text.main_text(bare) == want
+        other += html_text.main_text(bare, ratio=lambda x: 1.0) == want
+    assert right >= 0.8 * len(pages) and other == 0
+
+
+def test_html_places(spark):
+    long, said = "Many words of the body text stand here in a row. " * 12, "I do not agree with a word of what is said up there. " * 6
+    page = f"<body><div><a href=1>Home</a> <a href=2>News</a></div><div>Sunny, 20 degrees</div><div><h1>Title</h1><p>{long}</p><p>Short.</p><p>{long}</p></div><div class=comments><p>{said}</p></div><div>Top stories</div></body>"
+    assert html_text.main_text(page) == f"Title\n{long.strip()}\nShort.\n{long.strip()}"
+    cards = "".join(f"<article class=comment><p>{said}</p></article>" for _ in range(3))
+    assert html_text.main_text(f"<body><main><h1>T</h1><div><p>{long}</p></div></main>{cards}") == f"T\n{long.strip()}"
+    assert html_text.main_text("<body><div class=ad>Only this</div></body>") == "Only this"
+    assert html_text.main_text("<script>x</script>") == "" and html_text.main_text("<p" * 5000) is not None
+
+
+def test_html_odd(spark):
+    rows = [(1, "u", None), (2, None, ""), (None, "v", "<p>a &amp; b"), (4, "w", "<p>" + "long " * 200_000), (4, "w", "<p>x</p>"), (4, "w", "<p>x</p>")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("text", F.lit("clash")).withColumn("n_chars", F.lit(-1))
+    got = html_text.extract_main_text(pages)
+    assert got.columns == ["page_id", "url", "text", "n_chars"]
+    found = sorted(((r["page_id"], r["url"], r["n_chars"]) for r in got.collect()), key=str)
+    assert found == sorted([(1, "u", 0), (2, None, 0), (None, "v", 5), (4, "w", 999_999), (4, "w", 1), (4, "w", 1)], key=str)
+    assert html_text.extract_main_text(pages.where("false")).count() == 0
+
+
 def test_html_pages_keep_their_articles(spark, sf):
     import re
 

@@ -49,64 +49,116 @@ def format_conversations(turns: DataFrame) -> DataFrame:
     )
     grouped = turns.select(F.col("conv_id").cast("long").alias("conv_id"), turn.alias("t")).groupBy("conv_id").agg(F.array_sort(F.collect_list("t")).alias("turns"))
     safe = F.transform("turns", lambda t: F.struct(escape(t["role"]).alias("role"), escape(t["text"]).alias("text")))
+
     # A turn that follows one of its own role continues that block, any other opens a new one.
-    lead = F.transform(
-        "safe",
-        lambda t, i: F.concat(
-            F.when(i == 0, F.concat(F.lit(f"{OPEN}["), t["role"], F.lit("]")))
-            .when(F.get(F.col("safe"), i - 1)["role"] == t["role"], F.lit(JOIN))
-            .otherwise(F.concat(F.lit(f"{CLOSE}{OPEN}["), t["role"], F.lit("]"))),
-            t["text"],
+    def written(turns: Column) -> Column:
+        return F.transform(
+            turns,
+            lambda t, i: F.concat(
+                F.when(i == 0, F.concat(F.lit(f"{OPEN}["), t["role"], F.lit("]")))
+                .when(F.get(turns, i - 1)["role"] == t["role"], F.lit(JOIN))
+                .otherwise(F.concat(F.lit(f"{CLOSE}{OPEN}["), t["role"], F.lit("]"))),
+                t["text"],
+            ),
+        )
+
+    return grouped.select("conv_id", F.concat(F.array_join(let(safe, written), ""), F.lit(CLOSE)).alias("formatted"))
+
+
+def let(value: Column, body) -> Column:
+    """``body`` of a value computed once, however often the lambda's own lambdas name it."""
+    return F.get(F.transform(F.array(value), body), 0)
+
+
+CHUNK = 256
+
+
+def starts(lengths: Column) -> Column:
+    """Sums of the elements before each one. Sums of chunks first, then within the chunk, as an array
+    that grows by one element a step would be copied at each."""
+    chunks = F.transform(
+        F.sequence(F.lit(0), F.greatest(F.ceil(F.size(lengths) / CHUNK).cast("int") - 1, F.lit(0))),
+        lambda c: F.aggregate(F.slice(lengths, c * CHUNK + 1, F.lit(CHUNK)), F.lit(0).cast("long"), lambda s, x: s + x),
+    )
+    offsets = F.aggregate(
+        chunks,
+        F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<bigint>").alias("out")),
+        lambda s, x: F.struct((s["at"] + x).alias("at"), F.concat(s["out"], F.array(s["at"])).alias("out")),
+    )["out"]
+    return let(
+        offsets,
+        lambda firsts: F.transform(
+            lengths,
+            lambda _, i: F.aggregate(F.slice(lengths, i - i % CHUNK + 1, i % CHUNK), F.get(firsts, F.floor(i / CHUNK).cast("int")), lambda s, x: s + x),
         ),
     )
-    return grouped.withColumn("safe", safe).select("conv_id", F.concat(F.array_join(lead, ""), F.lit(CLOSE)).alias("formatted"))
 
 
 def read_back(formatted: DataFrame) -> DataFrame:
-    """(conv_id, formatted) -> (conv_id, formatted, turns array<struct<role, text, start, length>>).
+    """(conv_id, formatted) -> (conv_id, formatted, turns array<struct<role, text, start, length, byte, bytes>>).
 
-    ``start`` (from 0) and ``length`` place a turn's escaped text within the string.
+    ``start`` (from 0) and ``length`` place a turn's escaped text within the string, ``byte`` and
+    ``bytes`` within its UTF-8 form. Work grows in proportion to the string.
     """
     blocks = F.split(F.expr(f"substring(formatted, {len(OPEN) + 1}, length(formatted) - {len(OPEN) + len(CLOSE)})"), f"{CLOSE}{OPEN}", -1)
+
     # role] ... [+] ... : the role ends at the first bracket, which no escaped role or text holds.
-    parsed = F.transform(
-        "blocks",
-        lambda b: F.struct(
-            F.substring_index(F.substring(b, 2, 1 << 30), "]", 1).alias("role"),
-            F.split(F.substr(b, F.instr(b, F.lit("]")) + 1), r"\[\+\]", -1).alias("texts"),
-            F.length(b).alias("size"),
-        ),
-    )
-    # Walk over the blocks with the position reached so far.
-    width = len(OPEN) + len(CLOSE)
-
-    def texts(done: Column, b: Column) -> Column:
-        first = done["at"] + len(OPEN) + F.length(b["role"]) + 2
-        inner = F.aggregate(
-            b["texts"],
-            F.struct(first.cast("long").alias("at"), F.array().cast("array<struct<role:string,text:string,start:bigint,length:bigint>>").alias("out")),
-            lambda s, t: F.struct(
-                (s["at"] + F.length(t) + len(JOIN)).cast("long").alias("at"),
-                F.concat(s["out"], F.array(F.struct(unescape(b["role"]).alias("role"), unescape(t).alias("text"), s["at"].alias("start"), F.length(t).cast("long").alias("length")))).alias("out"),
+    # Each text knows what stands before it (``lead``) since the text before, in characters and bytes.
+    def pieces(b: Column, at: Column) -> Column:
+        role = F.substring_index(F.substring(b, 2, 1 << 30), "]", 1)
+        head = F.when(at == 0, F.lit(len(OPEN) + 2)).otherwise(F.lit(len(CLOSE) + len(OPEN) + 2))
+        texts = F.split(F.substr(b, F.length(role) + 3), r"\[\+\]", -1)
+        return let(
+            F.struct(role.alias("role"), head.alias("head")),
+            lambda h: F.transform(
+                texts,
+                lambda t, i: F.struct(
+                    h["role"].alias("role"),
+                    t.alias("text"),
+                    F.when(i == 0, h["head"] + F.length(h["role"])).otherwise(F.lit(len(JOIN))).cast("long").alias("lead"),
+                    F.when(i == 0, h["head"] + F.octet_length(h["role"])).otherwise(F.lit(len(JOIN))).cast("long").alias("lead_bytes"),
+                    F.length(t).cast("long").alias("length"),
+                    F.octet_length(t).cast("long").alias("bytes"),
+                ),
             ),
         )
-        return F.struct((done["at"] + b["size"] + width).cast("long").alias("at"), F.concat(done["out"], inner["out"]).alias("out"))
 
-    start = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<struct<role:string,text:string,start:bigint,length:bigint>>").alias("out"))
-    walked = F.aggregate("parsed", start, texts)["out"]
-    return formatted.withColumn("blocks", blocks).withColumn("parsed", parsed).select("conv_id", "formatted", walked.alias("turns"))
+    def placed(p: Column) -> Column:
+        def position(width: str, lead: str) -> Column:
+            return let(F.transform(p, lambda x: x[lead] + x[width]), starts)
+
+        return let(
+            F.struct(position("length", "lead").alias("start"), position("bytes", "lead_bytes").alias("byte")),
+            lambda at: F.transform(
+                p,
+                lambda x, i: F.struct(
+                    unescape(x["role"]).alias("role"),
+                    unescape(x["text"]).alias("text"),
+                    (F.get(at["start"], i) + x["lead"]).alias("start"),
+                    x["length"].alias("length"),
+                    (F.get(at["byte"], i) + x["lead_bytes"]).alias("byte"),
+                    x["bytes"].alias("bytes"),
+                ),
+            ),
+        )
+
+    return formatted.select("conv_id", "formatted", let(F.flatten(F.transform(blocks, pieces)), placed).alias("turns"))
 
 
 def loss_mask(parsed: DataFrame, roles: tuple[str, ...] = ("assistant",)) -> DataFrame:
-    """Adds ``mask``: array of (start, length) spans of the formatted string that carry loss."""
+    """Adds ``mask``: array of (start, length, byte, bytes) spans of the formatted string that carry loss."""
     mine = F.filter("turns", lambda t: t["role"].isin(*roles))
-    return parsed.withColumn("mask", F.transform(mine, lambda t: F.struct(t["start"].alias("start"), t["length"].alias("length"))))
+    return parsed.withColumn("mask", F.transform(mine, lambda t: F.struct(*[t[c].alias(c) for c in ("start", "length", "byte", "bytes")])))
 
 
 def digest(masked: DataFrame) -> DataFrame:
     """What the formatted strings say when read back, as counts and digests."""
     said = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
-    lost = F.array_join(F.transform("mask", lambda m: unescape(F.substr(F.col("formatted"), (m["start"] + 1).cast("int"), m["length"].cast("int")))), "")
+    # Spans are cut by bytes: to find a character's place, a string is walked from its start.
+    lost = let(
+        F.col("formatted").cast("binary"),
+        lambda whole: F.array_join(F.transform("mask", lambda m: unescape(F.substr(whole, (m["byte"] + 1).cast("int"), m["bytes"].cast("int")).cast("string"))), ""),
+    )
     return masked.select(
         "conv_id",
         F.size("turns").cast("long").alias("n_turns"),

@@ -1,12 +1,17 @@
 """Main text of web pages from a streaming parser's events.
 
-The standard library's parser emits tags and text; every block of text becomes a
-line with its text-to-tag ratio. The ratios are smoothed with a Gaussian and split
-by a threshold of one standard deviation; the content lines vote for the element
-that holds the article, and the region's lines are the main text.
-
-Defined cases: null html is empty and gives empty text; pages without content lines
-fall back on the whole body; repeated rows stay repeated; other columns are ignored.
+The standard library's parser emits tags and text; every block of text becomes a line with
+its text-to-tag ratio, link text not counted. What the parser knows of a line's place weighs
+the ratio: nothing inside scripts, menus, forms and the like counts, and an element named
+after an advert, a notice or reader comments counts little. The weighed ratios are smoothed
+with a Gaussian and split by a threshold (one standard deviation, the mean at most): the
+lines above it are content. Content lines select regions: the other lines of their own
+element, what lies between them in sibling elements, and the headings that lead to them. Where
+article elements hold at least half of the content, they are the region; otherwise they join it.
+
+Defined cases: null html is empty and gives empty text; pages without any line that counts
+give the whole body; repeated rows stay repeated; an empty table gives no rows; other columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -14,6 +19,7 @@ from __future__ import annotations
 import math
 import re
 from html.parser import HTMLParser
+from typing import NamedTuple
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -33,24 +39,37 @@ WORDS = frozenset(
     "sidebar sidebars menu menus nav navbar navigation breadcrumb breadcrumbs footer masthead comment comments disqus respond reply replies share sharing social "
     "related recommended newsletter subscribe subscription signup popup modal overlay widget widgets toolbar pagination pager skip alert".split()
 )
-EXEMPT = frozenset("html body main article".split())
+EXEMPT = frozenset("html body main".split())
 CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
 FENCES = frozenset("ul ol dl table tbody thead tfoot select article section div body".split())
 PART = re.compile(r"[^a-z0-9]+")
 
 
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+NAMED = 0.05  # weight of lines in an element with one of the words
+
+
+class Line(NamedTuple):
+    text: str
+    tags: int
+    holder: int
+    dropped: bool
+    linked: int  # characters inside links
+    heading: bool
+
+
 class Lines(HTMLParser):
-    """Turns parser events into lines: (text, tags, holder, dropped)."""
+    """Turns parser events into lines."""
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
         self.stack: list[tuple[str, int, bool]] = []  # name, holder, inside something dropped
-        self.lines: list[tuple[str, int, int, bool]] = []
+        self.lines: list[Line] = []
         self.holders: list[tuple[str, int]] = [("", -1)]  # name, parent
         self.suspects: set[int] = set()  # holders with a class word
-        self.body: list[tuple[str, int, int, bool]] = []  # lines that a reader can see
+        self.body: list[str] = []  # lines that a reader can see
         self.text: list[str] = []
-        self.tags = 0
+        self.tags = self.links = self.linked = 0
 
     def named(self, tag: str, attrs) -> bool:
         """Whether a class or id has one of the words of what is not content."""
@@ -63,10 +82,11 @@ class Lines(HTMLParser):
         text = " ".join("".join(self.text).split())
         if text:
             holder, dropped = self.state()
-            self.lines.append((text, self.tags, holder, dropped))
+            heading = any(name in HEADINGS for name, _, _ in self.stack[-2:])
+            self.lines.append(Line(text, self.tags, holder, dropped, self.linked, heading))
             if not dropped or UNSEEN.isdisjoint(name for name, _, _ in self.stack):
-                self.body.append((text, self.tags, holder, False))
-        self.text, self.tags = [], 0
+                self.body.append(text)
+        self.text, self.tags, self.linked = [], 0, 0
 
     def unwanted(self, tag: str, attrs) -> bool:
         if tag in DROPPED:
@@ -101,6 +121,8 @@ class Lines(HTMLParser):
         self.tags += 1
         if tag in VOID:
             return
+        if tag == "a":
+            self.links += 1
         holder, dropped = self.state()
         bad, suspect = self.unwanted(tag, attrs), self.named(tag, attrs)
         if tag in BLOCKS or bad or suspect:
@@ -124,6 +146,8 @@ class Lines(HTMLParser):
         self.tags += 1
         if tag in VOID:
             return
+        if tag == "a":
+            self.links = max(0, self.links - 1)
         for i in range(len(self.stack) - 1, -1, -1):
             if self.stack[i][0] == tag:
                 self.flush()
@@ -136,6 +160,8 @@ class Lines(HTMLParser):
 
     def handle_data(self, data):
         self.text.append(data)
+        if self.links:
+            self.linked += len(data.strip())
 
 
 def smooth(values: list[float], sigma: float = 1.0, reach: int = 2) -> list[float]:
@@ -151,13 +177,13 @@ def smooth(values: list[float], sigma: float = 1.0, reach: int = 2) -> list[floa
     return out
 
 
-def held_by(lines: list[tuple[str, int, int, bool]], holders: list[tuple[str, int]]) -> list[int]:
+def held_by(lines: list[Line], holders: list[tuple[str, int]]) -> list[int]:
     """Characters of the lines inside each holder."""
     held = [0] * len(holders)
-    for text, _, holder, _ in lines:
-        while holder >= 0:
-            held[holder] += len(text)
-            holder = holders[holder][1]
+    for x in lines:
+        held[x.holder] += len(x.text)
+    for i in range(len(holders) - 1, 0, -1):  # parents come before their children
+        held[holders[i][1]] += held[i]
     return held
 
 
@@ -168,17 +194,38 @@ def within(holders: list[tuple[str, int]], roots: set[int]) -> list[bool]:
     return inside
 
 
-def apart(holders: list[tuple[str, int]], a: int, b: int) -> bool:
-    """Whether neither holder is inside the other."""
-    low, high = max(a, b), min(a, b)
-    while low > high:
-        low = holders[low][1]
-    return low != high
-
-
-def main_text(html: str | None, small: float = 0.5) -> str:
+def weights(parser: Lines, small: float) -> tuple[list[float], list[bool]]:
+    """The weight of each holder's lines, and whether the holder is an article's. An element named for
+    what is not content loses weight where it holds at most the share ``small`` of the page's text,
+    or stands apart from the articles."""
+    holders = parser.holders
+    held = held_by([x for x in parser.lines if not x.dropped], holders)
+    marked = {i for i in range(len(holders)) if held[i] and holders[i][0] in ("article", "main")}
+    around = set(marked)  # holders that an article is in
+    for i in range(len(holders) - 1, 0, -1):
+        if i in around:
+            around.add(holders[i][1])
+    good = within(holders, marked)
+    bad = within(holders, {i for i in parser.suspects if held[i] <= small * held[0] or marked and i not in around and not good[i]})
+    return [NAMED if b else 1.0 for b in bad], [g and not b for b, g in zip(bad, good, strict=True)]
+
+
+def content(lines: list[Line], weight: list[float], ratio=None) -> list[bool]:
+    """Which lines the threshold on smoothed, weighed ratios calls content."""
+    ratio = ratio or (lambda x: max(0, len(x.text) - x.linked) / max(1, x.tags))
+    raw = [0.0 if x.dropped else ratio(x) * weight[x.holder] for x in lines]
+    scores = smooth(raw)
+    mean = sum(scores) / len(scores)
+    spread = math.sqrt(sum((s - mean) ** 2 for s in scores) / len(scores))
+    least = min(spread, mean)
+    # A short line beside a long one is smoothed up: a line of its element must reach the threshold alone.
+    strong = {x.holder for x, r in zip(lines, raw, strict=True) if r >= least}
+    return [not x.dropped and s >= least and s > 0 and x.holder in strong and weight[x.holder] > NAMED for x, s in zip(lines, scores, strict=True)]
+
+
+def main_text(html: str | None, small: float = 0.5, ratio=None) -> str:
     """The article's blocks, joined by newlines. ``small``: share of the page's text up to which an
-    element is excluded for a word in its class or id."""
+    element loses weight for a word in its class or id; ``ratio``: another ratio of a line."""
     if not html:
         return ""
     parser = Lines()
@@ -186,35 +233,33 @@ def main_text(html: str | None, small: float = 0.5) -> str:
     parser.close()
     parser.flush()
     lines, holders = parser.lines, parser.holders
-    held = held_by([x for x in lines if not x[3]], holders)
-    marked = [i for i in range(len(holders)) if held[i] and holders[i][0] in ("article", "main")]
-    # A large element goes for its name only where an article stands apart from it.
-    out = within(holders, {i for i in parser.suspects if held[i] <= small * held[0] or any(apart(holders, i, j) for j in marked)})
-    lines = [(text, tags, holder, dropped or out[holder]) for text, tags, holder, dropped in lines]
-    wanted = [x for x in lines if not x[3]]
-    if not wanted:
-        return "\n".join(text for text, _, _, _ in parser.body)
-    ratios = smooth([0.0 if dropped else len(text) / max(1, tags) for text, tags, _, dropped in lines])
-    mean = sum(ratios) / len(ratios)
-    spread = math.sqrt(sum((r - mean) ** 2 for r in ratios) / len(ratios))
-    content = [x for x, r in zip(lines, ratios, strict=True) if not x[3] and r >= min(spread, mean)] or wanted
-    held = held_by(content, holders)
-    best = max(i for i in range(len(holders)) if held[i] == held[0])
-    # The largest element of an article's kind above the choice, if any, is the article.
-    top, up = best, best
-    while up >= 0:
-        if holders[up][0] in ("article", "main"):
-            top = up
-            if holders[up][0] == "article":
-                break
-        up = holders[up][1]
-    inside = within(holders, {top})
-    if holders[top][0] not in ("article", "main"):
-        # Where article and main elements hold most of the content, all of them are the article.
-        articles = within(holders, {i for i in range(len(holders)) if inside[i] and holders[i][0] in ("article", "main")})
-        if 2 * sum(len(text) for text, _, holder, _ in content if articles[holder]) > held[0]:
-            inside = articles
-    return "\n".join(text for text, _, holder, _ in wanted if inside[holder])
+    if all(x.dropped for x in lines):
+        return "\n".join(parser.body)
+    weight, articles = weights(parser, small)
+    plain = [not x.dropped and weight[x.holder] > NAMED for x in lines]
+    chosen = content(lines, weight, ratio)
+    if not any(chosen):  # nothing but links or named elements
+        chosen = plain
+        if not any(chosen):
+            return "\n".join(parser.body)
+    marked = [p and articles[x.holder] for x, p in zip(lines, plain, strict=True)]
+    inside = sum(len(x.text) for x, c, m in zip(lines, chosen, marked, strict=True) if c and m)
+    if any(marked) and 2 * inside >= sum(len(x.text) for x, c in zip(lines, chosen, strict=True) if c):
+        return "\n".join(x.text for x, m in zip(lines, marked, strict=True) if m)
+    chosen = [c or m for c, m in zip(chosen, marked, strict=True)]
+    own = {x.holder for x, c in zip(lines, chosen, strict=True) if c}
+    aunts = {holders[h][1] for h in own}
+    places = [i for i, c in enumerate(chosen) if c]
+    kept = list(chosen)
+    for i, x in enumerate(lines):
+        if plain[i] and not chosen[i] and 2 * x.linked <= len(x.text):
+            between = places[0] < i < places[-1] and (holders[x.holder][1] in aunts or x.holder in aunts)
+            kept[i] = x.holder in own or between
+    for i in range(len(lines) - 2, -1, -1):  # headings that lead to what is kept
+        x = lines[i]
+        if x.heading and kept[i + 1] and plain[i]:
+            kept[i] = True
+    return "\n".join(x.text for x, k in zip(lines, kept, strict=True) if k)
 
 
 SCHEMA = "page_id long, url string, text string, n_chars long"
