@@ -208,6 +208,90 @@ def test_media_columns(spark):
         assert (doc_id, hashlib.sha256(p).hexdigest(), zlib.crc32(p[-32:]), len((text or "").encode())) in rows
 
 
+def test_media_columns_empty_and_features(spark):
+    assert mpeg_audio.media_columns(odd(spark).where("false")).count() == 0
+    rows = spark.createDataFrame([(1, "same length a"), (2, "same length b"), (3, "same length a")], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in mpeg_audio.media_columns(rows).collect()}
+    assert got[1]["feature"] == got[3]["feature"] != got[2]["feature"] and all(r["table_agrees"] for r in got.values())
+
+
+def test_audio_tables_are_held_against_the_frames():
+    media = mpeg_audio.write_stream(bytes(range(256)) * 60, 1)
+    whole = mpeg_audio.read_stream(media)
+    assert mpeg_audio.table_faults(whole) == []
+    assert "frames" in mpeg_audio.table_faults(mpeg_audio.read_stream(media[: whole.offsets[-1]]))
+    at = media.index(b"Xing")
+    bent = bytearray(media)
+    bent[at + 16 + 50] ^= 64
+    assert mpeg_audio.table_faults(mpeg_audio.read_stream(bytes(bent))) == ["points"]
+    head, size = bytes((0xFF, 0xFB, 9 << 4, 0xC4)), 417
+    frame = head + bytes(size - 4)
+    table = b"VBRI" + bytes(6) + __import__("struct").pack(">IIHHHH", 6 * size, 5, 5, 1, 2, 1) + b"".join(size.to_bytes(2, "big") for _ in range(5))
+    stream = head + bytes(32) + table + bytes(size - 36 - len(table)) + frame * 5
+    got = mpeg_audio.read_stream(stream)
+    assert got.table["kind"] == "VBRI" and got.samples == 5 * 1152 and mpeg_audio.table_faults(got) == []
+
+
+def bits_crc(bits):
+    value = 0xFFFF
+    for bit in bits:
+        top = value >> 15 ^ bit
+        value = value << 1 & 0xFFFF
+        value ^= 0x8005 if top else 0
+    return value
+
+
+def test_audio_checksums_of_layers_one_and_two():
+    rng = random.Random(8)
+    for layer, rate, mode, covered in ((1, 8, 3, lambda b: 128), (1, 8, 0, lambda b: 256), (1, 8, 0x1, lambda b: 4 * (2 * 8 + 24))):
+        second = 0xF8 | (4 - layer) << 1
+        head = bytes((0xFF, second, rate << 4, mode << 6 | (1 << 4 if mode == 1 else 0)))
+        h = mpeg_audio.header_at(head)
+        body = rng.randbytes(h.length - 6)
+        bits = [int(x) for x in "".join(f"{b:08b}" for b in head[2:] + body)]
+        crc = bits_crc(bits[: 16 + covered(body)])
+        frame = head + crc.to_bytes(2, "big") + body
+        got = mpeg_audio.read_stream(frame * 3)
+        assert (got.crc_good, got.crc_bad) == (3, 0)
+        bad = bytearray(frame)
+        bad[7] ^= 1
+        assert mpeg_audio.read_stream(bytes(bad) * 3).crc_bad == 3
+    head = bytes((0xFF, 0xFC, 10 << 4, 3 << 6))  # Layer II, mono, 192 kbit/s at 44.1 kHz: thirty subbands
+    h = mpeg_audio.header_at(head)
+    body = rng.randbytes(h.length - 6)
+    bits = [int(x) for x in "".join(f"{b:08b}" for b in body)]
+    at = used = 0
+    for n in [4] * 11 + [3] * 12 + [2] * 7:
+        used += any(bits[at : at + n])
+        at += n
+    crc = bits_crc([int(x) for x in "".join(f"{b:08b}" for b in head[2:])] + bits[: at + 2 * used])
+    got = mpeg_audio.read_stream((head + crc.to_bytes(2, "big") + body) * 2)
+    assert (got.crc_good, got.crc_bad) == (2, 0)
+
+
+def test_audio_tags():
+    def tag(version, flags, body, size=mpeg_audio.synchsafe):
+        return b"ID3" + bytes((version, 0, flags)) + size(len(body)) + body
+
+    def frame(name, body, size=mpeg_audio.synchsafe):
+        return name + size(len(body)) + b"\0\0" + body
+
+    plain = lambda n: n.to_bytes(4, "big")
+    cases = [
+        (tag(2, 0, b"TT2" + (6).to_bytes(3, "big") + b"\0Title"), {"TIT2": "Title"}),
+        (tag(3, 0, frame(b"TIT2", b"\x01" + "Tïtle\0".encode("utf-16"), plain)), {"TIT2": "Tïtle"}),
+        (tag(3, 64, plain(6) + bytes(6) + frame(b"TPE1", b"\0Name", plain)), {"TPE1": "Name"}),
+        (tag(4, 64, mpeg_audio.synchsafe(6) + b"\1\0" + frame(b"TPE1", b"\x03N\xc3\xa4me")), {"TPE1": "Näme"}),
+        (tag(3, 128, frame(b"TXXX", b"\0key\0a\xff\x00\xe0", lambda n: plain(n - 1))), {"key": "a\xff\xe0"}),
+        (tag(4, 0, frame(b"APIC", bytes(20)) + frame(b"TXXX", b"\x02" + "k\0v".encode("utf-16-be"))), {"k": "v"}),
+    ]
+    stream = mpeg_audio.write_stream(b"x" * 576, 576)
+    audio = stream[stream.index(b"\xff\xfb") :]
+    for raw, want in cases:
+        got = mpeg_audio.read_stream(raw + audio)
+        assert got.tags == want and got.skipped == 0, (got.tags, want)
+
+
 PAGE = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style></head><body class="has-sidebar"><header><h1>Site</h1></header>
 <nav><ul><li><a href=a>Menu one</a><li><a href=b>Menu two</a></ul></nav><div class="cookie-notice">We use cookies</div><aside>Side text here</aside>
 <article><h1>The   title</h1><p>First &amp; long paragraph with many words in it, more than enough.<p>Short.<div class="ad">Buy now</div><form>Name <input></form>

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
@@ -18,18 +19,26 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder of this session: ``spark.checkpoint.dir``, or one of our own where unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
+    """The shared folder of this session: ``spark.checkpoint.dir``, which a cluster must name; on one
+    machine, where executors share its disk, a folder of our own if it is unset."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        root = f"{tempfile.gettempdir()}/checkpoints"
     return f"{root.rstrip('/')}/vecspark-{spark.sparkContext.applicationId}"
 
 
 class Scratch:
     """Tables written to the shared folder, so that later stages neither recompute nor lose rows."""
 
+    opened: list[Scratch] = []
+
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
         self.base = f"{scratch_root(spark)}/{label}-{uuid.uuid4().hex[:12]}"
         self.count = 0
+        Scratch.opened.append(self)
 
     def keep(self, frame: DataFrame, name: str) -> DataFrame:
         """Write the rows once and return a frame that reads them."""
@@ -45,6 +54,13 @@ class Scratch:
             path = self.spark._jvm.org.apache.hadoop.fs.Path(text)
             path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
+    @classmethod
+    def drop_since(cls, mark: int) -> None:
+        """Delete the tables of all scratches opened after the first ``mark``: nothing reads them any more."""
+        for scratch in cls.opened[mark:]:
+            scratch.drop()
+        del cls.opened[mark:]
+
 
 def arrow_rows(
     frame: DataFrame,
@@ -80,5 +96,12 @@ def fold(column: str, parts: int) -> F.Column:
 
 
 def bounded_sample(frame: DataFrame, key: str, limit: int) -> DataFrame:
-    """At most ``limit`` rows, chosen by a hash of the key, alike on any partitioning."""
-    return frame.orderBy(F.xxhash64(F.col(key).cast("string"), F.lit("sample")), F.col(key)).limit(limit)
+    """At most ``limit`` rows, chosen by a hash of the key, alike on any partitioning. The hash cuts
+    to little more than the limit first, so that the last task gets no more than that."""
+    mark = F.xxhash64(F.col(key).cast("string"), F.lit("sample"))
+    rows = frame.count()
+    if rows <= limit:
+        return frame
+    parts = 1 << 30
+    few = frame.where(F.pmod(mark, F.lit(parts)) <= int(parts * min(1.0, (1.2 * limit + 200) / rows)))
+    return few.orderBy(F.pmod(mark, F.lit(parts)), mark, F.col(key)).limit(limit)

@@ -29,8 +29,56 @@ from pyspark.sql import functions as F
 from vecspark.llm.common import Scratch, arrow_rows, bounded_sample, slices
 
 BUCKETS = 1 << 16
-STRIP = re.compile(r"<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>", re.S | re.I)
-LANG = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]{2,8})", re.I)
+NAME = re.compile(r"<(script|style)\b", re.I)
+ENDS = {"script": re.compile(r"</script\s*>", re.I), "style": re.compile(r"</style\s*>", re.I)}
+TAG = re.compile(r"<(html|meta)\b([^<>]*)>", re.I)
+ATTRIBUTE = re.compile(r"([\w:-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+))")
+SUBTAG = re.compile(r"\s*([A-Za-z]{2,8})(?![A-Za-z0-9])")
+HOT = 200  # keys joined apart because each may hold 1/200 of the rows or more
+SMALL = 100_000  # rows of a table that may be broadcast
+
+
+def strip(page: str) -> str:
+    """A page's text: comments, scripts, styles and tags become spaces. What is never closed is looked
+    for once, so work grows in proportion to the page."""
+    out, at, missing = [], 0, set()
+    while (start := page.find("<", at)) >= 0:
+        out.append(page[at:start])
+        stop = -1
+        if page.startswith("<!--", start) and "--" not in missing:
+            stop = page.find("-->", start + 4) + 3
+            if stop < 3:
+                missing.add("--")
+                stop = -1
+        elif (name := NAME.match(page, start)) and (kind := name[1].lower()) not in missing:
+            end = ENDS[kind].search(page, name.end())
+            stop = end.end() if end else -1
+            if not end:
+                missing.add(kind)
+        if stop < 0:
+            stop = page.find(">", start) + 1
+            if not stop:  # no tag closes any more
+                out.append(page[start:])
+                return " ".join(out)
+        at = stop
+    out.append(page[at:])
+    return " ".join(out)
+
+
+def declared_language(page: str) -> str:
+    """The primary subtag that the markup declares: ``lang`` or ``xml:lang`` of the root, else the
+    content-language of a meta element; empty if none."""
+    meta = ""
+    for tag in TAG.finditer(page):
+        attributes = {name.lower(): a or b or c for name, a, b, c in ATTRIBUTE.findall(tag[2])}
+        if tag[1].lower() == "html":
+            for name in ("lang", "xml:lang"):
+                if found := SUBTAG.match(attributes.get(name, "")):
+                    return found[1].lower()
+        elif not meta and (attributes.get("http-equiv") or attributes.get("name") or "").lower() in ("content-language", "language"):
+            found = SUBTAG.match(attributes.get("content", ""))
+            meta = found[1].lower() if found else ""
+    return meta
 
 
 def buckets(text: str) -> np.ndarray:
@@ -73,8 +121,8 @@ class TextModel:
         return total - total.max(), len(b)
 
 
-def train(spark: SparkSession, documents: DataFrame, limit: int = 4000, most: int = 64, smoothing: float = 0.5, strength: float = 60.0) -> TextModel:
-    """``limit``: labelled documents used at most; ``most``: languages at most (the commonest);
+def train(spark: SparkSession, documents: DataFrame, limit: int = 4000, smoothing: float = 0.5, strength: float = 60.0) -> TextModel:
+    """``limit``: labelled documents used at most, which bounds the languages too;
     ``strength``: trigrams that a text's evidence counts as at most."""
     known = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang")).where("doc_id is not null and lang is not null")
     chosen = bounded_sample(known.groupBy("doc_id").agg(F.min("lang").alias("lang")), "doc_id", limit)
@@ -82,7 +130,7 @@ def train(spark: SparkSession, documents: DataFrame, limit: int = 4000, most: in
     sums: dict[str, np.ndarray] = {}
     for r in arrow_rows(texts.select("lang", "text"), _histograms(), "lang string, counts binary").toLocalIterator():
         sums[r["lang"]] = sums.get(r["lang"], 0) + np.frombuffer(r["counts"], np.int64)
-    langs = sorted(sorted(sums, key=lambda k: (-int(sums[k].sum()), k))[:most]) or ["und"]
+    langs = sorted(sums) or ["und"]
     table = np.stack([sums.get(k, np.zeros(BUCKETS)) for k in langs], axis=1) + smoothing
     return TextModel(langs, np.log(table / table.sum(axis=0)).astype(np.float32), strength)
 
@@ -95,9 +143,8 @@ def _read(model: TextModel):
             for part in slices(batch):
                 declared, sizes, values = [], [], []
                 for page in part.column(2).to_pylist():
-                    found = LANG.search(page)
-                    declared.append(found[1].lower() if found else "")
-                    v, n = model(entities.unescape(STRIP.sub(" ", page)))
+                    declared.append(declared_language(page))
+                    v, n = model(entities.unescape(strip(page)))
                     sizes.append(n)
                     values.append(v.tolist())
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(declared, pa.string()), pa.array(sizes, pa.int64()), pa.array(values, schema.field(4).type)], schema=schema)
@@ -114,6 +161,18 @@ def address(url: Column) -> dict[str, Column]:
     return {"host": host, "domain": F.substring_index(host, ".", -2), "suffix": F.concat(F.substring_index(host, ".", -1), F.lit("/"), hint)}
 
 
+def keyed(left: DataFrame, right: DataFrame, key: str, total: int) -> DataFrame:
+    """Join on a key of which ``right`` has one row with its count in ``rows``. A right side of a
+    checked size is broadcast; beyond it the keys that hold 1/HOT of the rows or more, HOT at
+    most, are broadcast and only the rest is shuffled, so no key makes a long task."""
+    if right.limit(SMALL + 1).count() <= SMALL:
+        return left.join(F.broadcast(right.drop("rows")), key)
+    hot = right.where(F.col("rows") * HOT >= total).drop("rows")
+    cold = right.where(F.col("rows") * HOT < total).drop("rows")
+    rest = left.join(F.broadcast(hot.select(key)), key, "left_anti")
+    return left.join(F.broadcast(hot), key).unionByName(rest.join(cold, key))
+
+
 def identify(spark: SparkSession, pages: DataFrame, model: TextModel, trust: float = 4.0, kinship: float = 4.0) -> DataFrame:
     """(page_id, url, html) -> (page_id, lang, confidence, text_lang, declared, suffix, host, trigrams).
 
@@ -141,12 +200,14 @@ def identify(spark: SparkSession, pages: DataFrame, model: TextModel, trust: flo
         """log P(value of key | language), up to what is common to all languages."""
         t = tally([key])
         logs = [F.log((F.col(f"s{i}") + trust * F.col("n") / pages_n) / (F.lit(whole[f"s{i}"]) + trust)) for i in range(size)]
-        return scratch.keep(t.select(key, F.array(*logs).alias(f"{key}_log")), key)
+        return scratch.keep(t.select(key, F.col("n").alias("rows"), F.array(*logs).alias(f"{key}_log")), key)
 
     domains = tally(["domain"]).select("domain", *[((F.col(f"s{i}") + kinship * shares[i]) / (F.col("n") + kinship)).alias(f"d{i}") for i in range(size)])
     hosts = tally(["host", "domain"]).join(domains, "domain").select("host", F.col("n").alias("host_n"), F.array(*[F.col(f"s{i}") for i in range(size)]).alias("host_s"), F.array(*[F.col(f"d{i}") for i in range(size)]).alias("domain_p"))
     hosts = scratch.keep(hosts, "hosts")
-    joined = read.join(hosts, "host").join(reliability("declared"), "declared").join(reliability("suffix"), "suffix")
+    joined = keyed(read, hosts.withColumn("rows", F.col("host_n")), "host", pages_n)
+    for key in ("declared", "suffix"):
+        joined = keyed(joined, reliability(key), key, pages_n)
 
     def posterior(i: int) -> Column:
         own = F.col(f"p{i}")

@@ -6,8 +6,8 @@ CRC-protected frames of MPEG-1 Layer III, 48 kHz, mono, whose side information s
 Full frames use the top bitrate, the last one the least that holds the rest.
 
 Reading: skip tags, find the first header that the next one confirms, follow frame
-lengths, search anew after damage, check each frame's CRC, read the table, and give
-exact durations (samples over rate) and the byte offset of every frame.
+lengths, search anew after damage, check the checksums of all three layers, read the table of
+either kind and hold it against the frames, and give exact durations (samples over rate) and the byte offset of every frame.
 
 Defined cases: null text is the empty payload; a stream without frames has 0 samples;
 repeated rows stay repeated; an empty table gives no rows; other columns are ignored.
@@ -16,10 +16,12 @@ repeated rows stay repeated; an empty table gives no rows; other columns are ign
 from __future__ import annotations
 
 import hashlib
+import math
 import struct
 import zlib
 from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -53,13 +55,61 @@ def _crc_table() -> list[int]:
 CRC_TABLE = _crc_table()
 
 
-def crc16(data: bytes) -> int:
+def crc16(data: bytes, bits: int | None = None) -> int:
+    """CRC of the data, or of its first ``bits`` bits."""
+    bits = 8 * len(data) if bits is None else bits
     value = 0xFFFF
-    for byte in data:
+    for byte in data[: bits // 8]:
         value = ((value << 8) & 0xFFFF) ^ CRC_TABLE[(value >> 8) ^ byte]
+    for i in range(bits % 8):
+        bit = (value >> 15) ^ (data[bits // 8] >> (7 - i) & 1)
+        value = (value << 1 & 0xFFFF) ^ (CRC_POLYNOMIAL if bit else 0)
     return value
 
 
+# Fixed values of Layer II: (subbands, bits of their allocation) runs; which run of runs a stream uses.
+ALLOCATION = {
+    "a": ((11, 4), (12, 3), (4, 2)),
+    "b": ((11, 4), (12, 3), (7, 2)),
+    "c": ((2, 4), (6, 3)),
+    "d": ((2, 4), (10, 3)),
+    "low": ((4, 4), (7, 3), (19, 2)),
+}
+
+
+def allocation_bits(h: Header) -> list[int]:
+    """Bits that the allocation of each Layer II subband takes."""
+    if h.version != 3:
+        name = "low"
+    else:
+        share = h.kbps if h.mono else h.kbps // 2
+        if share < 56:
+            name = "d" if h.hertz == 32000 else "c"
+        else:
+            name = "a" if h.hertz == 48000 or share <= 80 else "b"
+    return [bits for count, bits in ALLOCATION[name] for _ in range(count)]
+
+
+def protected_bits(h: Header, body: bytes) -> int:
+    """Bits after the checksum that it covers: side information in Layer III, the bit allocation in
+    Layer I, that and the scale factor selection of allocated subbands in Layer II."""
+    if h.layer == 3:
+        return 8 * h.side
+    bound = 32 if h.joint is None else 4 * (h.joint + 1)
+    channels = 1 if h.mono else 2
+    if h.layer == 1:
+        return 4 * (32 if h.mono else 2 * min(bound, 32) + 32 - min(bound, 32))
+    value, at, chosen = int.from_bytes(body[:48], "big"), 8 * len(body[:48]), 0
+    used = 0
+    for i, bits in enumerate(allocation_bits(h)):
+        for _ in range(channels if i < bound else 1):
+            at -= bits
+            used += bits
+            if at >= 0 and value >> at & (1 << bits) - 1:
+                chosen += channels if i >= bound else 1
+    return used + 2 * chosen
+
+
 @dataclass(frozen=True)
 class Header:
     version: int  # 3: MPEG-1, 2: MPEG-2, 0: MPEG-2.5
@@ -70,6 +120,7 @@ class Header:
     mono: bool
     length: int
     samples: int
+    joint: int | None = None  # mode extension of joint stereo
 
     @property
     def side(self) -> int:
@@ -89,7 +140,7 @@ def header_at(word: bytes) -> Header | None:
     kbps, hz, padding = KBPS[version == 3, layer][rate], HERTZ[version][hertz], word[2] >> 1 & 1
     samples = 384 if layer == 1 else 1152 if layer == 2 or version == 3 else 576
     length = (12000 * kbps // hz + padding) * 4 if layer == 1 else samples // 8 * 1000 * kbps // hz + padding
-    return Header(version, layer, not word[1] & 1, kbps, hz, word[3] >> 6 == 3, length, samples)
+    return Header(version, layer, not word[1] & 1, kbps, hz, word[3] >> 6 == 3, length, samples, word[3] >> 4 & 3 if word[3] >> 6 == 1 else None)
 
 
 def synchsafe(value: int) -> bytes:
@@ -109,6 +160,8 @@ class Stream:
     crc_bad: int = 0
     skipped: int = 0
     table: dict | None = None
+    table_at: int = 0  # offset of the frame that holds the table
+    end: int = 0  # of the audio
     main: list[bytes] = field(default_factory=list)
 
     @property
@@ -157,25 +210,109 @@ def write_stream(payload: bytes, n_bytes: int) -> bytes:
     return tag + head + bytes(first - len(head)) + b"".join(parts)
 
 
+# Names of old three-letter text frames in the later form, and encodings by their first byte.
+RENAMED = {"TT2": "TIT2", "TP1": "TPE1", "TAL": "TALB", "TYE": "TYER", "TRK": "TRCK", "TCO": "TCON", "TXX": "TXXX", "COM": "COMM"}
+ENCODINGS = ("latin-1", "utf-16", "utf-16-be", "utf-8")
+
+
+def without_stuffing(data: bytes) -> bytes:
+    """Undoes unsynchronisation: the zero after each byte 255."""
+    return data.replace(b"\xff\x00", b"\xff")
+
+
+def text_values(body: bytes) -> list[str]:
+    """The strings of a text frame; the first byte names their encoding."""
+    if not body:
+        return [""]
+    encoding = ENCODINGS[body[0]] if body[0] < 4 else "latin-1"
+    text = body[1:].decode(encoding, "replace")
+    return [part.lstrip("\ufeff") for part in text.rstrip("\x00").split("\x00")]
+
+
+def read_tag(data: bytes, at: int) -> tuple[dict[str, str], int]:
+    """Text frames of the tag at ``at`` (versions 2.2, 2.3 and 2.4), and where the tag ends."""
+    version, flags, size = data[at + 3], data[at + 5], from_synchsafe(data[at + 6 : at + 10])
+    body, i, tags = data[at + 10 : at + 10 + size], 0, {}
+    if flags & 128 and version < 4:
+        body = without_stuffing(body)
+    if flags & 64 and version > 2 and len(body) >= 4:  # extended header: its size counts itself in 2.4 alone
+        i = from_synchsafe(body[:4]) if version == 4 else 4 + int.from_bytes(body[:4], "big")
+    name_size, head = (3, 6) if version == 2 else (4, 10)
+    while i + head <= len(body) and body[i]:
+        name = body[i : i + name_size].decode("latin-1")
+        if version == 2:
+            n, marks = int.from_bytes(body[i + 3 : i + 6], "big"), 0
+        else:
+            n, marks = from_synchsafe(body[i + 4 : i + 8]) if version == 4 else int.from_bytes(body[i + 4 : i + 8], "big"), body[i + 9]
+        content = body[i + head : i + head + n]
+        if version == 4 and (marks & 2 or flags & 128):
+            content = without_stuffing(content)
+        if version == 4 and marks & 1:  # a length before the content
+            content = content[4:]
+        name = RENAMED.get(name, name)
+        if name[0] == "T" and not (version == 4 and marks & 12):  # neither compressed nor encrypted
+            values = text_values(content)
+            if name == "TXXX":
+                tags[values[0]] = values[1] if len(values) > 1 else ""
+            else:
+                tags[name] = values[0]
+        i += head + n
+    return tags, at + 10 + size + (10 if version == 4 and flags & 16 else 0)
+
+
+def read_table(data: bytes, at: int, h: Header) -> dict | None:
+    """The variable-bitrate table of the frame at ``at``: either kind, or None."""
+    mark = at + 4 + 2 * h.protected + h.side
+    kind = data[mark : mark + 4]
+    if kind in (b"Xing", b"Info"):
+        flags, t, out = int.from_bytes(data[mark + 4 : mark + 8], "big"), mark + 8, {"kind": kind.decode(), "variable": kind == b"Xing"}
+        for bit, name in ((1, "frames"), (2, "bytes")):
+            if flags & bit:
+                out[name], t = int.from_bytes(data[t : t + 4], "big"), t + 4
+        return out | {"points": tuple(data[t : t + 100]) if flags & 4 else ()}
+    mark = at + 36
+    if data[mark : mark + 4] != b"VBRI" or h.length < 62:
+        return None
+    total, frames, entries, scale, width, per = struct.unpack(">IIHHHH", data[mark + 10 : mark + 26])
+    sizes = tuple(scale * int.from_bytes(data[mark + 26 + width * i : mark + 26 + width * (i + 1)], "big") for i in range(entries))
+    return {"kind": "VBRI", "variable": True, "frames": frames, "bytes": total, "points": (), "sizes": sizes, "frames_per_entry": per}
+
+
+def table_faults(got: Stream) -> list[str]:
+    """What the table says that the frames do not bear out."""
+    t, out = got.table, []
+    if t is None:
+        return ["missing"]
+    whole = got.end - got.table_at
+    if t.get("frames", len(got.offsets)) != len(got.offsets):
+        out.append("frames")
+    if t.get("bytes", whole) != whole:
+        out.append("bytes")
+    ends = got.offsets + [got.end]
+    if t["points"] and got.offsets:  # the byte share reached at each hundredth of the duration, in 256ths
+        real = [(ends[i * len(got.offsets) // 100] - got.table_at) * 256 / max(1, whole) for i in range(100)]
+        if any(abs(p - min(255, r)) > 1 for p, r in zip(t["points"], real, strict=True)):
+            out.append("points")
+    if t.get("sizes"):
+        starts = [min(i * t["frames_per_entry"], len(got.offsets)) for i in range(len(t["sizes"]) + 1)]
+        real = [ends[b] - ends[a] for a, b in zip(starts, starts[1:], strict=False)]
+        if list(t["sizes"]) != real:
+            out.append("sizes")
+    return out
+
+
 def read_stream(data: bytes) -> Stream:
     out, at, end = Stream(), 0, len(data)
     while data[at : at + 3] == b"ID3" and end - at >= 10:
-        size = from_synchsafe(data[at + 6 : at + 10])
-        body, i = data[at + 10 : at + 10 + size], 0
-        while i + 10 <= len(body) and body[i] != 0:
-            n = from_synchsafe(body[i + 4 : i + 8]) if data[at + 3] == 4 else int.from_bytes(body[i + 4 : i + 8], "big")
-            value = body[i + 11 : i + 10 + n].decode("utf-8" if n and body[i + 10] == 3 else "latin-1", "replace")
-            name, _, rest = value.partition("\x00")
-            name, rest = (name, rest) if body[i : i + 4] == b"TXXX" else (body[i : i + 4].decode("latin-1"), name)
-            out.tags[name] = rest
-            i += 10 + n
-        at += 10 + size + (10 if data[at + 5] & 16 else 0)
+        tags, at = read_tag(data, at)
+        out.tags |= tags
     if end - at >= 128 and data[end - 128 : end - 125] == b"TAG":
         out.tags.setdefault("title", data[end - 125 : end - 95].rstrip(b"\x00 ").decode("latin-1"))
         end -= 128
+    out.end = end
     locked: Header | None = None
     known: dict[bytes, Header | None] = {}
-    sums: dict[bytes, int] = {}
+    sums: dict[tuple[bytes, int], int] = {}
 
     def head(i: int) -> Header | None:
         word = data[i : i + 4]
@@ -197,23 +334,18 @@ def read_stream(data: bytes) -> Stream:
             continue
         locked = h
         side = at + 4 + 2 * h.protected
-        mark = data[side + h.side : side + h.side + 4]
-        if out.table is None and not out.offsets and mark in (b"Xing", b"Info"):
-            t = side + h.side + 4
-            flags = int.from_bytes(data[t : t + 4], "big")
-            numbers, t = {}, t + 4
-            for bit, name in ((1, "frames"), (2, "bytes")):
-                if flags & bit:
-                    numbers[name], t = int.from_bytes(data[t : t + 4], "big"), t + 4
-            out.table = numbers | {"points": tuple(data[t : t + 100]) if flags & 4 else (), "variable": mark == b"Xing"}
+        if h.protected:
+            bits = protected_bits(h, data[side : at + h.length])
+            covered = data[at + 2 : at + 4] + data[side : side + -(-bits // 8)]
+            if (covered, bits) not in sums:
+                sums[covered, bits] = crc16(covered, 16 + bits)
+            good = sums[covered, bits] == int.from_bytes(data[at + 4 : at + 6], "big")
+            out.crc_good += good
+            out.crc_bad += not good
+        table = read_table(data, at, h) if out.table is None and not out.offsets and h.layer == 3 else None
+        if table:
+            out.table, out.table_at = table, at
         else:
-            if h.protected and h.layer == 3:
-                covered = data[at + 2 : at + 4] + data[side : side + h.side]
-                if covered not in sums:
-                    sums[covered] = crc16(covered)
-                good = sums[covered] == int.from_bytes(data[at + 4 : at + 6], "big")
-                out.crc_good += good
-                out.crc_bad += not good
             out.offsets.append(at)
             out.headers.append(h)
             out.main.append(data[side + h.side : at + h.length])
@@ -226,6 +358,18 @@ def payload_of(text: bytes) -> bytes:
     return text + b"\xff" * (max(UNIT, -(-len(text) // UNIT) * UNIT) - len(text))
 
 
+def signal(payload: bytes) -> str:
+    """Statistics of the stored bytes as unsigned samples: mean, deviation, entropy in bits, crossings of the middle."""
+    x = np.frombuffer(payload, np.uint8)
+    counts = np.bincount(x, minlength=256)
+    share = counts[counts > 0] / max(1, len(x))
+    above = x >= 128
+    values = np.arange(256)
+    mean = float(counts @ values) / max(1, len(x))
+    deviation = math.sqrt(max(0.0, float(counts @ (values * values)) / max(1, len(x)) - mean * mean))
+    return f"mean {mean:.4f};deviation {deviation:.4f};entropy {-(share * np.log2(share)).sum():.4f};crossings {np.count_nonzero(above[1:] != above[:-1])}"
+
+
 SCHEMA = (
     "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, "
     "frames long, samples long, sample_rate long, crc_good long, table_agrees boolean, frame_offsets array<int>"
@@ -248,8 +392,8 @@ def _columns():
                 digest = hashlib.sha256(payload).hexdigest()
                 rate = got.headers[0].hertz if got.headers else 0
                 kbps = sum(h.kbps for h in got.headers) / max(1, len(got.headers))
-                agrees = got.table is not None and got.table["frames"] == len(got.offsets) and got.crc_bad == 0 and got.skipped == 0
-                feature = f"mpeg1-layer3;{rate} Hz;{len(got.offsets)} frames;{got.samples} samples;{kbps:.3f} kbit/s;crc {got.crc_good}/{len(got.offsets)}"
+                agrees = not table_faults(got) and got.crc_bad == 0 and got.skipped == 0
+                feature = f"mpeg1-layer3;{rate} Hz;{len(got.offsets)} frames;{got.samples} samples;{kbps:.3f} kbit/s;crc {got.crc_good}/{len(got.offsets)};{signal(payload)}"
                 rows.append((doc_id, int(got.tags["n_bytes"]), len(payload), digest, zlib.crc32(payload[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature, len(got.offsets), got.samples, rate, got.crc_good, agrees, got.offsets))
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 

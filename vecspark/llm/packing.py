@@ -182,6 +182,26 @@ def _cut_crc(path: str | None, end_id: int):
     return make
 
 
+PLAN_ROWS = 1_000_000  # intervals that may be broadcast; a longer plan is joined by a shuffle
+
+
+def interval_table(spark: SparkSession, rows: list[tuple], counts: dict[int, int]) -> tuple[DataFrame, DataFrame]:
+    """The plan for an equi-join: (length, width) and (length, slot, PLAN_FIELDS without length).
+
+    The ranks of a length are cut into slots, as many as it has intervals, and an interval stands in
+    each slot that it touches. So the table has at most three rows for each interval, and an item
+    meets two of its length's intervals on average, and one for each further part it is cut into.
+    """
+    many: dict[int, int] = {}
+    for row in rows:
+        many[row[0]] = many.get(row[0], 0) + 1
+    width = {n: max(1, -(-counts[n] // k)) for n, k in many.items()}
+    spread = [(row[0], slot, *row[1:]) for row in rows for slot in range(row[1] // width[row[0]], (row[2] - 1) // width[row[0]] + 1)]
+    table = spark.createDataFrame(spread, PLAN_FIELDS.replace("length int,", "length int, slot long,", 1))
+    widths = spark.createDataFrame(list(width.items()), "length int, width long")
+    return widths, F.broadcast(table) if len(spread) <= PLAN_ROWS else table
+
+
 def pack_documents(spark: SparkSession, documents: DataFrame, capacity: int = CAPACITY, end_id: int = END_ID, vocabulary: str | None = None, broadcast_rows: int = 20_000) -> DataFrame:
     """(doc_id, text) -> one row per piece: where its ids lie in the document and in a sequence.
 
@@ -196,13 +216,14 @@ def pack_documents(spark: SparkSession, documents: DataFrame, capacity: int = CA
     counts = {r["length"]: r["n"] for r in tally.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # capacity rows at most
     rows = plan(counts, capacity)
     cuts = sum(hi - lo for length, lo, hi, _, _, _, cut in rows if cut != length)
-    table = F.broadcast(spark.createDataFrame(rows, PLAN_FIELDS))  # bounded by the plan, not by the corpus
+    widths, table = interval_table(spark, rows, counts)
     before = W.partitionBy("length").orderBy("task").rowsBetween(W.unboundedPreceding, -1)
     firsts = tally.select("task", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("first"))
     placed = (
-        items.join(firsts, ["task", "length"])
+        items.join(firsts.join(F.broadcast(widths), "length"), ["task", "length"])  # widths: a row for each length
         .withColumn("r", F.col("rank") + F.col("first"))
-        .join(table, "length")
+        .withColumn("slot", F.expr("r div width"))
+        .join(table, ["length", "slot"])
         .where("r >= lo and r < hi")
         .withColumn("start", F.col("start") + F.col("cut_start"))
         .withColumn("sequence_id", F.col("seq") + F.col("r") - F.col("lo"))

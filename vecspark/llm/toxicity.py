@@ -117,10 +117,11 @@ def _count(batch_rows: int = 512):
     return make
 
 
-def train(spark: SparkSession, documents: DataFrame, labels: DataFrame, limit: int = 8000, prior: float = 0.1, z: float = 3.0, words: int = 20_000) -> Model:
+def train(spark: SparkSession, documents: DataFrame, labels: DataFrame, limit: int = 8000, prior: float = 0.1, z: float = 3.0, seen: int = 4) -> Model:
     """``limit``: labelled documents used at most; ``prior``: weight of the pooled counts, as a share of all counts
     (a tenth of it when the weight itself is taken);
-    ``z``: standard errors by which a word must stand out; ``words``: those kept at most."""
+    ``z``: standard errors by which a word must stand out; ``seen``: labelled documents that must hold it, as the
+    normal approximation behind ``z`` says nothing of fewer. All such words weigh; the sample bounds their number."""
     scratch = Scratch(spark, "toxicity")
     sample = labelled_sample(scratch, documents, labels, "toxic", PARTS, HELD, limit)
     counts = scratch.keep(arrow_rows(sample, _count(), "word string, toxic long, clean long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean")), "counts")
@@ -135,7 +136,7 @@ def train(spark: SparkSession, documents: DataFrame, labels: DataFrame, limit: i
 
     (tested, variance), (delta, _) = odds(prior), odds(prior / 10)
     scored = counts.where("word <> ''").select("word", "toxic", "clean", delta.alias("delta"), (tested / F.sqrt(variance)).alias("z"))
-    marked = scored.where((F.abs("z") > z) & (F.col("toxic") + F.col("clean") > 3)).orderBy(F.abs("z").desc(), "word").limit(words).collect()
+    marked = scored.where((F.abs("z") > z) & (F.col("toxic") + F.col("clean") >= seen)).orderBy("word").collect()
     weights = {r["word"]: float(np.clip(r["delta"], -8, 8)) for r in marked}
     p1 = sum(r["toxic"] for r in marked) / n1
     p0 = sum(r["clean"] for r in marked) / n0
