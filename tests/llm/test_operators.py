@@ -547,3 +547,123 @@ def test_pipeline(spark):
     out = p.STAGES[-1][1](spark, docs, sf)
     assert {r["doc_id"] for r in out.select("doc_id").distinct().collect()} == seen
     assert p.drop_near_duplicates(spark, spark.createDataFrame(ODD, DOCS), sf).where("doc_id = 5").count() == 1
+
+
+def test_pipeline_odd_rows(spark, tmp_path):
+    """Nulls, repeated rows, ids shared by different texts, clashing columns and empty tables, stage by stage."""
+    import corpus_pipeline as p
+
+    sf = "/root/testdata/sf0.01"
+    leak = spark.read.parquet(f"{sf}/benchmark.parquet").where("length(text) > 150").orderBy("item_id").first()["text"]
+    toxic = spark.read.parquet(f"{sf}/documents.parquet").join(spark.read.parquet(f"{sf}/labels.parquet").where("toxic = 1"), "doc_id").where("size(array_distinct(split(text, ' '))) > 60").orderBy("n_chars").first()["text"]
+    clean = spark.read.parquet(f"{sf}/documents.parquet").join(spark.read.parquet(f"{sf}/labels.parquet").where("toxic = 0 and quality = 1"), "doc_id").orderBy("doc_id").limit(6).collect()
+    extra = [(None, leak, "en", "s", 1), (None, clean[0]["text"], "en", "s", 1), (90001, leak, "en", "s", 1), (90001, clean[1]["text"], "en", "s", 1), (90002, clean[2]["text"], "en", "s", 1), (90002, clean[2]["text"], "en", "s", 1), (90003, toxic, "en", "s", 1), (90003, clean[3]["text"], "en", "s", 1), (90004, clean[2]["text"], "en", "s", 1)]
+    docs = odd(spark, ODD + extra)
+
+    def texts(frame):
+        return Counter((r["doc_id"], r["text"]) for r in frame.collect())
+
+    for name, stage in p.STAGES[:-1]:
+        assert stage(spark, docs.where("false"), sf).count() == 0, name
+        assert stage(spark, docs, sf).columns == ["doc_id", "text", "lang", "source", "n_chars"]
+    assert p.STAGES[-1][1](spark, docs.where("false"), sf).count() == 0
+    whole = docs.unionByName(spark.read.parquet(f"{sf}/documents.parquet"), allowMissingColumns=True)  # labelled rows to learn from
+    left = texts(p.drop_toxic(spark, whole, sf))
+    assert (90003, clean[3]["text"]) in left and (90003, toxic) not in left and left[90002, clean[2]["text"]] == 2
+    left = texts(p.drop_poor(spark, whole, sf))
+    assert left[90002, clean[2]["text"]] == 2 and (None, clean[0]["text"]) in left
+    left = texts(p.drop_near_duplicates(spark, docs, sf))
+    assert (90001, leak) in left or (None, leak) in left
+    assert sum(n for (_, t), n in left.items() if t == clean[2]["text"]) == 1 and (90001, clean[1]["text"]) in left
+    assert sum(n for (_, t), n in left.items() if t == "a b c d e f g") == 1 and left[1, None] == 1
+    left = texts(p.drop_leaks(spark, docs, sf))
+    assert (90001, leak) not in left and (None, leak) not in left and (90001, clean[1]["text"]) in left and (None, clean[0]["text"]) in left
+    packed = p.pack(spark, docs, sf)
+    assert packed.agg(F.sum("length")).first()[0] > 0 and packed.where("doc_id is null").count() >= 2
+
+
+def brute_language(model, pages, trust=4.0, kinship=4.0):
+    """Posteriors by plain sums over all pages."""
+    import html as entities
+    import math
+    from urllib.parse import urlsplit
+
+    rows = []
+    for page_id, url, page in pages:
+        logs, n = model(entities.unescape(language_id.strip(page or "")))
+        host = (urlsplit(url or "").hostname or "") if "//" in (url or "") else ""
+        hint = (urlsplit(url or "").path.split("/") + ["", ""])[1].lower()
+        hint = hint if len(hint) == 2 and hint.isalpha() else ""
+        p = np.exp(logs)
+        rows.append((page_id, host, ".".join(host.split(".")[-2:]), host.split(".")[-1] + "/" + hint, language_id.declared_language(page or ""), logs, p / p.sum()))
+    k, total = len(model.langs), sum(r[6] for r in rows)
+    shares = (total + 0.5) / (len(rows) + 0.5 * k)
+
+    def sums(i):
+        out = {}
+        for r in rows:
+            n, s = out.get(r[i], (0, np.zeros(k)))
+            out[r[i]] = (n + 1, s + r[6])
+        return out
+
+    hosts, domains, kinds, marks = (sums(i) for i in (1, 2, 3, 4))
+    got = {}
+    for page_id, host, domain, kind, mark, logs, p in rows:
+        dn, ds = domains[domain]
+        hn, hs = hosts[host]
+        prior = (np.maximum(hs - p, 0) + kinship * (ds + kinship * shares) / (dn + kinship)) / (hn - 1 + kinship)
+        post = logs + np.log(prior)
+        for value, table in ((mark, marks), (kind, kinds)):
+            if value or table is kinds:
+                n, s = table[value]
+                post = post + np.log((s + trust * n / len(rows)) / (total + trust))
+        post = np.exp(post - post.max())
+        got[page_id] = (model.langs[int(post.argmax())], round(float(post.max() / post.sum()), 5), math.isfinite(float(post.sum())))
+    return got
+
+
+def test_language_is_the_brute_force_fusion(spark):
+    from vecspark.llm.common import table
+
+    sf = "/root/testdata/sf0.001"
+    model = language_id.train(spark, table(spark, sf, "documents"))
+    rows = [(r["page_id"], r["url"], r["html"]) for r in table(spark, sf, "pages").collect()]
+    rows += [(900, "http://a.example.com/fr/x", "<html><p></p>"), (901, "http://a.example.com/fr/y", '<html xml:lang="fr"><p>x</p>'), (902, None, None)]
+    want = brute_language(model, rows)
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for r in language_id.identify(spark, pages, model).collect():
+        lang, confidence, finite = want[r["page_id"]]
+        assert finite and r["lang"] == lang and abs(r["confidence"] - confidence) < 1e-4, r
+
+
+def test_language_of_texts_without_declarations(spark):
+    """Held-out documents as pages without a declaration, at addresses that say nothing."""
+    from vecspark.llm.common import table
+
+    docs = table(spark, "/root/testdata/sf0.01", "documents").where("lang is not null and length(text) > 40")
+    model = language_id.train(spark, docs.where("doc_id % 4 <> 0"))
+    held = docs.where("doc_id % 4 = 0")
+    pages = held.select(F.col("doc_id").alias("page_id"), F.concat(F.lit("http://h"), F.col("doc_id") % 7, F.lit(".example.com/")).alias("url"), F.concat(F.lit("<html><body><p>"), F.col("text")).alias("html"))
+    got = language_id.identify(spark, pages, model).join(held.select(F.col("doc_id").alias("page_id"), F.col("lang").alias("truth")), "page_id")
+    row = got.agg(F.count("*").alias("n"), F.count_if(F.col("lang") == F.col("truth")).alias("right")).first()
+    assert row["right"] >= 0.97 * row["n"]
+
+
+def test_language_keys_may_be_hot(spark, monkeypatch):
+    """The join that keeps hot keys apart gives the rows of the plain one."""
+    left = spark.range(3000).select("id", F.when(F.col("id") % 3 == 0, "hot").otherwise(F.concat(F.lit("k"), F.col("id") % 500)).alias("host"))
+    right = left.groupBy("host").agg(F.count("*").alias("rows"), F.max("id").alias("m"))
+    want = left.join(right.drop("rows"), "host").select("id", "host", "m").exceptAll
+    monkeypatch.setattr(language_id, "SMALL", 10)
+    got = language_id.keyed(left, right, "host", 3000).select("id", "host", "m")
+    assert got.count() == 3000 and want(got).isEmpty()
+
+
+def test_language_strip_is_linear():
+    import time
+
+    for text in ("<!--" * 100_000, "<script " * 100_000, "<" * 300_000, "<html " * 100_000):
+        start = time.perf_counter()
+        language_id.strip(text), language_id.declared_language(text)
+        assert time.perf_counter() - start < 2
+    assert language_id.strip("a<b>c</b><!-- x --><script>y</script>d").split() == ["a", "c", "d"]

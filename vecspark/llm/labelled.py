@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecspark.llm.common import Scratch, bounded_sample, fold
+from vecspark.llm.common import Scratch, arrow_rows, bounded_sample, fold, slices
 
 
 def labelled_sample(scratch: Scratch, documents: DataFrame, labels: DataFrame, target: str, parts: int, held: int, limit: int) -> DataFrame:
@@ -22,6 +25,24 @@ def labelled_sample(scratch: Scratch, documents: DataFrame, labels: DataFrame, t
     return scratch.keep(texts.join(chosen, "doc_id").select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "label"), f"{target}-sample")
 
 
+def scored_rows(documents: DataFrame, make: Callable[[], Callable[[list], list[float]]], rows: int = 512) -> DataFrame:
+    """Rows with a column ``score`` that ``make()`` gives for their texts."""
+    fields = ", ".join(f"{n} {t}" for n, t in documents.dtypes) + ", score double"
+    place = documents.columns.index("text")
+
+    def state():
+        each = make()
+
+        def run(batch: pa.RecordBatch):
+            for part in slices(batch, rows):
+                scores = pa.array(each(part.column(place).to_pylist()), pa.float64())
+                yield pa.RecordBatch.from_arrays([*part.columns, scores], names=[*part.schema.names, "score"])
+
+        return run
+
+    return arrow_rows(documents, state, fields)
+
+
 def sigmoid(x):
     return 1.0 / (1.0 + np.exp(-np.clip(x, -40, 40)))
 

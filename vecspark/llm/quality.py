@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecspark.llm.common import Scratch, arrow_rows, slices
-from vecspark.llm.labelled import labelled_sample, sigmoid
+from vecspark.llm.labelled import labelled_sample, sigmoid, scored_rows
 
 PARTS, HELD = 5, 0
 PASSAGE = 64
@@ -183,3 +183,17 @@ def _score(model: Attention):
 def score(documents: DataFrame, model: Attention) -> DataFrame:
     """(doc_id, text) -> (doc_id, score, passages, strongest: the passage with most attention); map-only."""
     return arrow_rows(documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), _score(model), SCORES)
+
+
+def score_rows(documents: DataFrame, model: Attention) -> DataFrame:
+    """The rows of ``documents`` (which have a ``text``) with their score; map-only."""
+
+    def make():
+        def each(texts: list[str | None]) -> list[float]:
+            bags = [encode(t or "") for t in texts]
+            starts = np.cumsum([0] + [len(b) for b in bags[:-1]])
+            return model.forward(np.concatenate(bags), starts)["p"].tolist()
+
+        return each
+
+    return scored_rows(documents, make, 128)

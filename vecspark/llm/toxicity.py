@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecspark.llm.common import Scratch, arrow_rows, fold, slices
-from vecspark.llm.labelled import fit_logistic, labelled_sample, sigmoid
+from vecspark.llm.labelled import fit_logistic, labelled_sample, sigmoid, scored_rows
 
 EDGE = string.punctuation + "«»“”„‘’…–—¿¡"
 PARTS, HELD = 4, 2
@@ -207,5 +207,19 @@ def score(documents: DataFrame, model: Model) -> DataFrame:
     return arrow_rows(documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), _score(model), SCORES)
 
 
+def score_rows(documents: DataFrame, model: Model) -> DataFrame:
+    """The rows of ``documents`` (which have a ``text``) with their score; map-only."""
+    return scored_rows(documents, lambda: _scorer(model))
+
+
+def _scorer(model: Model):
+    table, w = Weights(model.weights, model.other), np.array(model.fit)
+
+    def each(texts: list[str | None]) -> list[float]:
+        return [float(sigmoid(np.dot(w[:-1], model.evidence((t or "").lower().split(), table)[0]) + w[-1])) for t in texts]
+
+    return each
+
+
 def with_folds(scored: DataFrame, parts: int, held: int, threshold: float = 0.3) -> DataFrame:
     return scored.select("doc_id", (fold("doc_id", parts) == held).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"), *[c for c in scored.columns if c not in ("doc_id", "score")])
