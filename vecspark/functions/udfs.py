@@ -21,13 +21,16 @@ def encode_udf(model: PQModel):
     return encode
 
 
-def adc_udf(model: PQModel, table: np.ndarray):
-    """array of codes -> table-sum distance for one query's tables."""
+def adc_udf(model: PQModel, tables: dict[int, np.ndarray]):
+    """(array of codes, query) -> table-sum distance under that query's tables."""
 
     @F.pandas_udf("long")
-    def distance(c: pd.Series) -> pd.Series:
-        codes = np.array(c.tolist())
-        return pd.Series(table[np.arange(model.m), codes].sum(axis=1).astype(np.int64))
+    def distance(c: pd.Series, qid: pd.Series) -> pd.Series:
+        codes, out = np.array(c.tolist()), np.zeros(len(c), np.int64)
+        for q in qid.unique():
+            own = np.flatnonzero(qid.to_numpy() == q)
+            out[own] = tables[q][np.arange(model.m), codes[own]].sum(axis=1)
+        return pd.Series(out)
 
     return distance
 

@@ -118,6 +118,20 @@ def c2lsh_counts(base: DataFrame, queries: DataFrame, count: int, radius: int) -
     return long(base, "vec_id").join(F.broadcast(long(queries, "qid")), ["f", "bucket"]).groupBy("qid", "vec_id").agg(F.count("*").alias("n"))
 
 
+def c2lsh_search(base: DataFrame, queries: DataFrame, vectors: DataFrame, asked: DataFrame, count: int, radii: tuple[int, ...], least: int, k: int, d: int) -> DataFrame:
+    """(qid, rk, vec_id, dist, radius): the k nearest of the entries that collide in ``least`` functions at
+    the first radius at which k of them do (the last radius with any otherwise)."""
+    found = None
+    for radius in radii:
+        hits = c2lsh_counts(base, queries, count, radius).where((F.col("n") >= least) & (F.col("qid") != F.col("vec_id"))).withColumn("radius", F.lit(radius).cast("long"))
+        found = hits if found is None else found.unionByName(hits)
+    many = found.groupBy("qid", "radius").agg(F.count("*").alias("many"))
+    pick = many.groupBy("qid").agg(F.coalesce(F.min(F.when(F.col("many") >= k, F.col("radius"))), F.max("radius")).alias("radius"))
+    chosen = found.join(F.broadcast(pick), ["qid", "radius"]).select("qid", "vec_id", "radius")  # a row for each query
+    near = exact_distances(chosen, vectors, asked, d).join(F.broadcast(pick), "qid")
+    return top_k(near, k, ["qid"], ["dist", "vec_id"]).select("qid", "rk", "vec_id", "dist", "radius")
+
+
 def sk_keys(vectors: DataFrame, key: str, d: int, m: int, w: int, seed: int) -> DataFrame:
     """(key, k): m hashes as one number in their lexicographic order."""
     h = hashed(vectors, key, d, m, w, seed)

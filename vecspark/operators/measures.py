@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vecspark.functions.ranking import top_k
@@ -10,14 +11,16 @@ from vecspark.functions.vectors import l2sq
 
 
 def ground_truth(queries: DataFrame, base: DataFrame, d: int) -> DataFrame:
-    """(qid, truth): the exact nearest neighbour."""
-    near = base.crossJoin(F.broadcast(queries.withColumnRenamed("e", "q"))).select("qid", "vec_id", l2sq(F.col("q"), F.col("e"), d).alias("dist"))
+    """(qid, truth): the exact nearest neighbour other than the query's own row."""
+    near = base.crossJoin(F.broadcast(queries.withColumnRenamed("e", "q"))).where("vec_id <> qid").select("qid", "vec_id", l2sq(F.col("q"), F.col("e"), d).alias("dist"))
     return top_k(near, 1, ["qid"], ["dist", "vec_id"]).select("qid", F.col("vec_id").alias("truth"))
 
 
 def recall_at(result: DataFrame, truth: DataFrame, grid: tuple[int, ...]) -> DataFrame:
-    """(r, hits, queries, recall): share of queries whose true neighbour is among the first r."""
-    found = truth.join(result.select("qid", F.col("vec_id").alias("truth"), "rk"), ["qid", "truth"], "left")
+    """(r, hits, queries, recall): share of queries whose true neighbour is among the first r, the
+    query's own row not counted."""
+    others = result.where("vec_id <> qid").withColumn("rk", F.row_number().over(W.partitionBy("qid").orderBy("rk")))
+    found = truth.join(others.select("qid", F.col("vec_id").alias("truth"), "rk"), ["qid", "truth"], "left")
     spread = found.withColumn("r", F.explode(F.array(*[F.lit(r).cast("long") for r in grid])))
     out = spread.groupBy("r").agg(F.count_if(F.col("rk") <= F.col("r")).alias("hits"), F.count("*").alias("queries"))
     return out.withColumn("recall", F.round(F.col("hits") / F.col("queries"), 6))

@@ -114,6 +114,22 @@ def unpack(codes: DataFrame, m: int, b: int, keys: tuple[str, ...] = ("vec_id",)
     return codes.select(*keys, "code").mapInArrow(run, ", ".join([f"{k} long" for k in keys] + [f"{n} int" for n in names]))
 
 
+def remap(codes: DataFrame, maps: np.ndarray) -> DataFrame:
+    """Eight-bit codes under another numbering (``codebook.renumber``'s maps). Unlike encoding anew, ties between
+    centroids stay as they were broken, so distances do too."""
+    m = len(maps)
+    tables = maps.astype(np.uint8)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                raw = raw_codes(batch, m)
+                new = np.stack([tables[j].take(raw[:, j]) for j in range(m)], axis=1)
+                yield pa.RecordBatch.from_arrays([batch["vec_id"], binary_array(new)], names=["vec_id", "code"])
+
+    return codes.select("vec_id", "code").mapInArrow(run, "vec_id long, code binary")
+
+
 # -- queries -----------------------------------------------------------------------------------
 
 

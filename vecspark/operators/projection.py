@@ -43,6 +43,24 @@ def pca_compress(vectors: DataFrame, k: int, center: bool = True) -> tuple[DataF
     return map_batches(vectors.select("vec_id", "e"), make, "vec_id long, e array<double>"), axes
 
 
+FIXED = 4096
+
+
+def fixed_rotation(d: int, seed: int) -> list[list[int]]:
+    """A random rotation in fixed point."""
+    return np.rint(random_rotation(d, seed) * FIXED).astype(int).tolist()
+
+
+def rotate_fixed(vectors: DataFrame, rotation: list[list[int]]) -> DataFrame:
+    """(vec_id, floor(R e / 4096)) of integer vectors; sums stay below 2^53."""
+    r = np.array(rotation, float)
+
+    def make():
+        return lambda batch: {"vec_id": batch["vec_id"], "e": np.floor((matrix(batch) @ r.T) / FIXED).astype(np.int64)}
+
+    return map_batches(vectors.select("vec_id", "e"), make, "vec_id long, e array<long>")
+
+
 def random_rotation(d: int, seed: int) -> np.ndarray:
     q, r = np.linalg.qr(np.random.default_rng(seed).normal(size=(d, d)))
     return q * np.sign(np.diag(r))

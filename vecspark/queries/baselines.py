@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import functions as F
 
-from vecspark.functions.ranking import top_k
+from vecspark.functions.ranking import scalar_neighbours, top_k
 from vecspark.operators import additive, bof, codebook, encode, index, lsh, measures, scan, trees
 from vecspark.operators.projection import random_rotation
 from vecspark.queries import models, oracle
@@ -20,14 +20,14 @@ D = 64
 
 
 @query(
-    "WITH x AS (SELECT DISTINCT CAST(floor(l_extendedprice * 100 + 0.5) AS BIGINT) AS x FROM lineitem), q AS (SELECT p_partkey AS qid, CAST(floor(p_retailprice * 100 + 0.5) AS BIGINT) AS v FROM part WHERE p_partkey <= 100) "
-    "SELECT CAST(qid AS BIGINT) AS qid, v, coalesce((SELECT max(x) FROM x WHERE x <= v), -1) AS below, coalesce((SELECT min(x) FROM x WHERE x >= v), -1) AS above FROM q"
+    "WITH x AS (SELECT DISTINCT CAST(floor(l_extendedprice * 100 + 0.5) AS BIGINT) AS x FROM lineitem), q AS (SELECT CAST(p_partkey AS BIGINT) AS qid, CAST(floor(p_retailprice * 100 + 0.5) AS BIGINT) AS v FROM part) "
+    "SELECT q.qid, q.v, coalesce(lo.x, -1) AS below, coalesce(hi.x, -1) AS above FROM q ASOF LEFT JOIN x lo ON q.v >= lo.x ASOF LEFT JOIN x hi ON q.v <= hi.x"
 )
 def q_scalar_nn(spark, sf):
-    """Neighbours of scalars on either side, by two partial aggregates under a broadcast of the queries."""
+    """Neighbours of scalars on either side, by a search in the sorted ranges of the values."""
     x = T.load(spark, sf, "lineitem").select(F.floor(F.col("l_extendedprice") * 100 + 0.5).cast("long").alias("x"))
-    q = T.load(spark, sf, "part").where("p_partkey <= 100").select(F.col("p_partkey").cast("long").alias("qid"), F.floor(F.col("p_retailprice") * 100 + 0.5).cast("long").alias("v"))
-    return x.crossJoin(F.broadcast(q)).groupBy("qid", "v").agg(F.coalesce(F.max(F.when(F.col("x") <= F.col("v"), F.col("x"))), F.lit(-1)).alias("below"), F.coalesce(F.min(F.when(F.col("x") >= F.col("v"), F.col("x"))), F.lit(-1)).alias("above"))
+    q = T.load(spark, sf, "part").select(F.col("p_partkey").cast("long").alias("qid"), F.floor(F.col("p_retailprice") * 100 + 0.5).cast("long").alias("v"))
+    return scalar_neighbours(x, q).select("qid", "v", F.coalesce("below", F.lit(-1)).alias("below"), F.coalesce("above", F.lit(-1)).alias("above"))
 
 
 # -- trees -------------------------------------------------------------------------------------
@@ -186,19 +186,19 @@ def q_auto_select(spark, sf):
 
 
 def bof_sql() -> Sql:
-    s = oracle.v2(source="SELECT doc_id * 100000 + pos - 1 AS vec_id, line AS text FROM (SELECT doc_id, unnest(range(1, len(string_split(text, chr(10))) + 1)) AS pos, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE line <> ''")
+    s = oracle.v2(source="SELECT doc_id * 67108864 + pos - 1 AS vec_id, line AS text FROM (SELECT doc_id, unnest(range(1, len(string_split(text, chr(10))) + 1)) AS pos, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE line <> ''")
     s.add("trainset", "SELECT * FROM v WHERE vec_id % 7 = 0")
     oracle.pq(s, "w", "trainset", 128, 1, 16, 1)
     oracle.components(s, "l_sub", "v", 128, 1)
     oracle.nearest(s, "words", "l_sub", "w_cb")
-    s.add("idx", "SELECT vec_id // 100000 AS doc_id, idx AS word, count(*) AS n FROM words GROUP BY 1, 2")
+    s.add("idx", "SELECT vec_id // 67108864 AS doc_id, idx AS word, count(*) AS n FROM words GROUP BY 1, 2")
     return s.add("votes", "SELECT q.doc_id AS qid, i.doc_id, CAST(sum(q.n * i.n) AS BIGINT) AS votes FROM idx q JOIN idx i ON q.word = i.word AND q.doc_id <> i.doc_id WHERE q.doc_id % 50 = 0 GROUP BY 1, 2")
 
 
 @query(bof_sql().select("SELECT qid, rk, doc_id, votes FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY votes DESC, doc_id) AS rk FROM votes) WHERE rk <= 3"))
 def q_bof_vote(spark, sf):
     """Documents as bags of line descriptors; every fiftieth asks for its likes."""
-    lines = T.descriptors(spark, sf).withColumn("vec_id", F.col("doc_id") * 100000 + F.col("pos"))
+    lines = T.descriptors(spark, sf).withColumn("vec_id", F.col("doc_id") * 67108864 + F.col("pos"))
     words = models.once(spark, (sf, "bof"), lambda: codebook.train_kmeans(lines.where(F.pmod("vec_id", F.lit(7)) == 0).select("vec_id", "e"), 16, 1))
     idx = bof.bof_index(lines, words)
     return bof.bof_vote(idx, idx.where("doc_id % 50 = 0").withColumnRenamed("doc_id", "qid"), 3).select("qid", "rk", "doc_id", "votes")
@@ -221,7 +221,7 @@ def e2_sql(w: int = W, m: int = M, tables: int = TABLES, seed: int = 42, s: Sql
     s = s or oracle.v0()
     s.add(f"{p}_h", hash_sql(m * tables, w, seed))
     s.add(f"{p}_keys", f"SELECT vec_id, t AS tbl, array_to_string(h[t * {m} + 1 : t * {m} + {m}], ',') AS key FROM {p}_h, (SELECT unnest(range(0, {tables})) AS t)")
-    return s.add(f"{p}_cand", f"SELECT q.vec_id AS qid, b.tbl, b.vec_id FROM {p}_keys b JOIN {p}_keys q USING (tbl, key) WHERE q.vec_id < 50 AND b.vec_id >= 50")
+    return s.add(f"{p}_cand", f"SELECT q.vec_id AS qid, b.tbl, b.vec_id FROM {p}_keys b JOIN {p}_keys q USING (tbl, key) WHERE q.vec_id % 50 = 0")
 
 
 @query(e2_sql().select("SELECT vec_id, CAST(tbl AS BIGINT) AS tbl, key FROM e_keys"))
@@ -251,17 +251,22 @@ def rigorous_sql() -> str:
     s = oracle.v0()
     for radius in (1, 2, 4):
         e2_sql(W * radius, s=s, p=f"r{radius}")
-    return s.select(" UNION ALL ".join(f"SELECT CAST({r} AS BIGINT) AS radius, qid, count(DISTINCT vec_id) AS candidates FROM r{r}_cand GROUP BY qid" for r in (1, 2, 4)))
+        s.add(f"few{radius}", f"SELECT DISTINCT qid, vec_id FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY tbl, vec_id) AS rk FROM r{radius}_cand WHERE qid <> vec_id) WHERE rk <= {3 * TABLES}")
+        s.add(f"hit{radius}", f"SELECT {radius} AS radius, f.qid, f.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM few{radius} f JOIN base v USING (vec_id) JOIN queries q ON q.qid = f.qid WHERE {oracle.l2('q.e', 'v.e')} <= {RC} * {radius * radius}")
+    s.add("hits", " UNION ALL ".join(f"SELECT * FROM hit{r}" for r in (1, 2, 4)))
+    return s.select("SELECT qid, CAST(radius AS BIGINT) AS radius, vec_id, dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY radius, dist, vec_id) AS rk FROM hits) WHERE rk = 1")
 
 
 @query(rigorous_sql())
 def q_lsh_rigorous(spark, sf):
-    """Tables for each radius of a geometric series."""
+    """Tables for each radius of a geometric series: the answer of the least radius that has one."""
+    q, b = models.v0(spark, sf)
     out = None
     for radius in (1, 2, 4):
-        row = e2_candidates(spark, sf, W * radius).groupBy("qid").agg(F.countDistinct("vec_id").alias("candidates")).select(F.lit(radius).cast("long").alias("radius"), "qid", "candidates")
+        near = lsh.near_within(e2_candidates(spark, sf, W * radius).where("qid <> vec_id"), b, q, D, TABLES, RC * radius * radius)
+        row = near.select(F.lit(radius).cast("long").alias("radius"), "qid", "vec_id", "dist")
         out = row if out is None else out.unionByName(row)
-    return out
+    return top_k(out, 1, ["qid"], ["radius", "dist", "vec_id"]).select("qid", "radius", "vec_id", "dist")
 
 
 ADHOC = f"SELECT c.qid, c.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM (SELECT DISTINCT qid, vec_id FROM e_cand) c JOIN base v USING (vec_id) JOIN queries q ON q.qid = c.qid"
@@ -291,7 +296,7 @@ def lsb_sql() -> str:
         s.add(f"h{t}", hash_sql(LSB_M, LSB_W, 100 + 10 * t))
         place = " + ".join(f"(((least(greatest(h[{j + 1}] + 32, 0), 63) >> {bit}) & 1) << {bit * LSB_M + LSB_M - 1 - j})" for bit in range(LSB_BITS) for j in range(LSB_M))
         s.add(f"z{t}", f"SELECT vec_id, {place} AS z FROM h{t}")
-        s.add(f"p{t}", f"SELECT q.vec_id AS qid, b.vec_id, row_number() OVER (PARTITION BY q.vec_id ORDER BY CASE WHEN xor(q.z, b.z) = 0 THEN {width} ELSE {width} - length(bin(xor(q.z, b.z))) END DESC, b.vec_id) AS rk FROM z{t} b, z{t} q WHERE q.vec_id < 50 AND b.vec_id >= 50")
+        s.add(f"p{t}", f"SELECT q.vec_id AS qid, b.vec_id, row_number() OVER (PARTITION BY q.vec_id ORDER BY CASE WHEN xor(q.z, b.z) = 0 THEN {width} ELSE {width} - length(bin(xor(q.z, b.z))) END DESC, b.vec_id) AS rk FROM z{t} b, z{t} q WHERE q.vec_id % 50 = 0")
     s.add("pairs", " UNION ".join(f"SELECT qid, vec_id FROM p{t} WHERE rk <= 20" for t in range(2)))
     return s.select(oracle.topk(f"SELECT p.qid, p.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM pairs p JOIN base v USING (vec_id) JOIN queries q ON q.qid = p.qid", 5))
 
@@ -307,20 +312,24 @@ def q_lsb_forest(spark, sf):
     return top_k(lsh.exact_distances(pairs.distinct(), b, q, D), 5, ["qid"], ["dist", "vec_id"])
 
 
-@query(
-    oracle.v0().add("h", hash_sql(8, 2048, 7)).add("longs", "SELECT vec_id, unnest(range(0, 8)) AS f, unnest(h) AS x FROM h")
-    .add("counts", "SELECT r, q.vec_id AS qid, b.vec_id, count(*) AS n FROM (SELECT unnest([1, 2, 4]) AS r), longs q, longs b WHERE q.f = b.f AND q.vec_id < 50 AND b.vec_id >= 50 AND floor(CAST(q.x AS DOUBLE) / r) = floor(CAST(b.x AS DOUBLE) / r) GROUP BY 1, 2, 3")
-    .select("SELECT CAST(r AS BIGINT) AS radius, qid, count(*) AS candidates FROM counts WHERE n >= 4 GROUP BY 1, 2")
-)
+C2_LEAST = 4
+
+
+def c2_sql() -> str:
+    s = oracle.v0().add("h", hash_sql(8, 2048, 7)).add("longs", "SELECT vec_id, unnest(range(0, 8)) AS f, unnest(h) AS x FROM h")
+    s.add("counts", "SELECT r, q.vec_id AS qid, b.vec_id, count(*) AS n FROM (SELECT unnest([1, 2, 4]) AS r), longs q, longs b WHERE q.f = b.f AND q.vec_id % 50 = 0 AND q.vec_id <> b.vec_id AND floor(CAST(q.x AS DOUBLE) / r) = floor(CAST(b.x AS DOUBLE) / r) GROUP BY 1, 2, 3")
+    s.add("cand", f"SELECT * FROM counts WHERE n >= {C2_LEAST}")
+    s.add("pick", "SELECT qid, coalesce(min(r) FILTER (WHERE many >= 5), max(r)) AS r FROM (SELECT qid, r, count(*) AS many FROM cand GROUP BY 1, 2) GROUP BY 1")
+    near = oracle.topk(f"SELECT c.qid, c.vec_id, c.r, {oracle.l2('q.e', 'v.e')} AS dist FROM cand c JOIN pick USING (qid, r) JOIN base v USING (vec_id) JOIN queries q ON q.qid = c.qid", 5, ", CAST(r AS BIGINT) AS radius")
+    return s.select(near)
+
+
+@query(c2_sql())
 def q_c2lsh(spark, sf):
-    """Vectors that collide in at least four of eight functions, as the radius grows."""
+    """Vectors that collide in at least half of eight functions; the radius grows until five do."""
     q, b = models.v0(spark, sf)
-    hb, hq = lsh.hashed(b, "vec_id", D, 8, 2048, 7), lsh.hashed(q, "qid", D, 8, 2048, 7)
-    out = None
-    for radius in (1, 2, 4):
-        row = lsh.c2lsh_counts(hb, hq, 8, radius).where("n >= 4").groupBy("qid").agg(F.count("*").alias("candidates")).select(F.lit(radius).cast("long").alias("radius"), "qid", "candidates")
-        out = row if out is None else out.unionByName(row)
-    return out
+    hb, hq = lsh.hashed(b, "vec_id", D, 8, 2048, 7).persist(), lsh.hashed(q, "qid", D, 8, 2048, 7).persist()
+    return lsh.c2lsh_search(hb, hq, b, q, 8, (1, 2, 4), C2_LEAST, 5, D)
 
 
 def sk_sql() -> str:
@@ -328,8 +337,8 @@ def sk_sql() -> str:
     for t in range(3):
         s.add(f"h{t}", hash_sql(3, 4096, 200 + 10 * t))
         s.add(f"k{t}", f"SELECT vec_id, (h[1] + 512) * 1048576 + (h[2] + 512) * 1024 + h[3] + 512 AS k FROM h{t}")
-        s.add(f"r{t}", f"SELECT vec_id, k, row_number() OVER (ORDER BY k, vec_id) - 1 AS rank FROM k{t} WHERE vec_id >= 50")
-        s.add(f"a{t}", f"SELECT q.vec_id AS qid, count(*) FILTER (WHERE b.k < q.k) AS spot FROM k{t} q, r{t} b WHERE q.vec_id < 50 GROUP BY 1")
+        s.add(f"r{t}", f"SELECT vec_id, k, row_number() OVER (ORDER BY k, vec_id) - 1 AS rank FROM k{t}")
+        s.add(f"a{t}", f"SELECT q.vec_id AS qid, count(*) FILTER (WHERE b.k < q.k) AS spot FROM k{t} q, r{t} b WHERE q.vec_id % 50 = 0 GROUP BY 1")
         s.add(f"p{t}", f"SELECT qid, vec_id FROM r{t}, a{t} WHERE rank >= spot - 10 AND rank < spot + 10")
     s.add("pairs", " UNION ".join(f"SELECT * FROM p{t}" for t in range(3)))
     return s.select(oracle.topk(f"SELECT p.qid, p.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM pairs p JOIN base v USING (vec_id) JOIN queries q ON q.qid = p.qid", 5))

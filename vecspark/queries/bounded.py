@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecspark.functions.bits import group_id
-from vecspark.operators import codebook, encode, index, scan
+from vecspark.operators import codebook, encode, index, packed, scan
 from vecspark.plans import costs
 from vecspark.queries import models, oracle
 from vecspark.queries.core import IVF_ADC, code_select, coded, imi_full_sql, long_codes, pq_sql, table_rows
@@ -17,7 +17,7 @@ M, K, R = 8, 256, 10
 ADC = f"SELECT qid, vec_id, CAST({oracle.adc(M)} AS BIGINT) AS dist FROM codes c, tabs t"
 
 
-def bounded_sql(r: int = R, share: float = 0.01, g: int = 4, mode: str = "full", qmax: str = "prefix", s: Sql | None = None, m: int = M, keys: str = "qid") -> Sql:
+def bounded_sql(r: int = R, share: float = 0.01, g: int = 4, mode: str = "full", qmax: str = "prefix", s: Sql | None = None, m: int = M, keys: str = "qid", once: bool = False) -> Sql:
     """marks(qid, vec_id, dist, pruned) from codes(vec_id, c), tabs(qid, tt); keys may add list_id."""
     s = s or pq_sql(m, K, tabled=True)
     listed = "list_id" in keys
@@ -34,8 +34,9 @@ def bounded_sql(r: int = R, share: float = 0.01, g: int = 4, mode: str = "full",
     s.add(
         "marks",
         f"SELECT t.qid, c.vec_id, {'c.list_id, ' if listed else ''}least({' + '.join(terms)}, 127) AS lb, CAST({oracle.adc(m)} AS BIGINT) AS dist, thr, top, qmin, prefix FROM placed c JOIN minima t {join}",
+        once,
     )
-    return s.add("pruned", f"SELECT *, (NOT prefix) AND top > qmin AND lb * (top - qmin) >= 127 * (thr - {m} * qmin) AS pruned FROM marks")
+    return s.add("pruned", f"SELECT *, (NOT prefix) AND top > qmin AND lb * (top - qmin) >= 127 * (thr - {m} * qmin) AS pruned FROM marks", once)
 
 
 PRUNED = "SELECT qid, count(*) AS n_codes, count(*) FILTER (WHERE pruned) AS n_pruned, count(*) - count(*) FILTER (WHERE pruned) AS n_full, round(count(*) FILTER (WHERE pruned) * 100.0 / count(*), 6) AS pruned_pct FROM pruned GROUP BY qid"
@@ -79,11 +80,11 @@ def q_compact_codes(spark, sf):
     return long_codes(encode.expand_codes(encode.compact_codes(codes, M, 4), M, 4), M)
 
 
-@query(pq_sql(M, K, coded=False, tabled=True).select("SELECT qid, CAST(h AS BIGINT) AS high, CAST(i AS BIGINT) AS low, tt[1][h * 16 + i + 1] AS dist FROM tabs, (SELECT unnest(range(0, 16)) AS h), (SELECT unnest(range(0, 16)) AS i) WHERE qid < 10"))
+@query(pq_sql(M, K, coded=False, tabled=True).select("SELECT qid, CAST(h AS BIGINT) AS high, CAST(i AS BIGINT) AS low, tt[1][h * 16 + i + 1] AS dist FROM tabs, (SELECT unnest(range(0, 16)) AS h), (SELECT unnest(range(0, 16)) AS i)"))
 def q_portion_tables(spark, sf):
     _, tabs, _ = coded(spark, sf, M, K)
     cut = F.explode(F.transform(F.sequence(F.lit(0), F.lit(15)), lambda h: F.struct(h.cast("long").alias("high"), scan.portion("t0", h).alias("t"))))
-    return tabs.where("qid < 10").select("qid", cut.alias("x")).select("qid", "x.high", F.posexplode("x.t").alias("low", "dist")).withColumn("low", F.col("low").cast("long"))
+    return tabs.select("qid", cut.alias("x")).select("qid", "x.high", F.posexplode("x.t").alias("low", "dist")).withColumn("low", F.col("low").cast("long"))
 
 
 @query(pq_sql(M, K, coded=False, tabled=True).select("SELECT qid, CAST(j AS BIGINT) AS part, CAST(h AS BIGINT) AS portion, list_min(tt[j + 1][h * 16 + 1 : h * 16 + 16]) AS least FROM tabs, (SELECT unnest(range(4, 8)) AS j), (SELECT unnest(range(0, 16)) AS h)"))
@@ -115,11 +116,11 @@ def q_quant_bounds(spark, sf):
     return scan.with_bounds(tabs, M).join(thr, "qid").select("qid", "qmin", F.col("thr").alias("qmax"))
 
 
-@query(bounded_sql().select("SELECT qid, CAST(j AS BIGINT) AS part, CAST(i AS BIGINT) AS idx, CAST(qq[j + 1][i + 1] AS BIGINT) AS bin FROM small, (SELECT unnest(range(0, 8)) AS j), (SELECT unnest(range(0, 256)) AS i) WHERE qid < 10"))
+@query(bounded_sql().select("SELECT qid, CAST(j AS BIGINT) AS part, CAST(i AS BIGINT) AS idx, CAST(qq[j + 1][i + 1] AS BIGINT) AS bin FROM small, (SELECT unnest(range(0, 8)) AS j), (SELECT unnest(range(0, 256)) AS i)"))
 def q_quantize_tables(spark, sf):
     placed, tabs, _ = setup(spark, sf)
     thr = scan.prefix_thresholds(placed, tabs, M, R)
-    small = scan.quantize_tables(scan.with_bounds(tabs, M).join(thr, "qid"), M).where("qid < 10")
+    small = scan.quantize_tables(scan.with_bounds(tabs, M).join(thr, "qid"), M)
     each = F.explode(F.array(*[F.struct(F.lit(j).cast("long").alias("part"), F.col(f"q{j}").alias("t")) for j in range(M)]))
     return small.select("qid", each.alias("x")).select("qid", "x.part", F.posexplode("x.t").alias("idx", "bin")).withColumn("idx", F.col("idx").cast("long"))
 
@@ -139,10 +140,42 @@ def q_bounded_topk(spark, sf):
 
 @query(pq_sql(M, K, tabled=True).select(oracle.topk(ADC, R)))
 def q_bounded_kernel(spark, sf):
-    """The Arrow kernel with a running threshold gives the same rows."""
-    placed, tabs, _ = setup(spark, sf)
-    thr = {r["qid"]: r["thr"] for r in scan.prefix_thresholds(placed, tabs, M, R).collect()}
-    return scan.bounded_kernel(placed, table_rows(tabs, M), thr, M, R, 4)
+    """Packed codes by group, group skipping and a running threshold: the same rows."""
+    q, b = models.v0(spark, sf)
+    model = codebook.renumber(models.pq0(spark, sf, M, K))[0]
+    codes = packed.encode_packed(b, model).persist()
+    return packed.bounded_scan(packed.grouped(codes, model, 4), q, model, R, 4, packed.prefix_tops(codes, q, model, R))
+
+
+@query(pq_sql(M, K, tabled=True).select(oracle.topk(ADC, R)))
+def q_bounded_portions_of_64(spark, sf):
+    """Four portions of 64 entries a table: more parts can be grouped."""
+    q, b = models.v0(spark, sf)
+    model = codebook.renumber(models.pq0(spark, sf, M, K), 4)[0]
+    codes = packed.encode_packed(b, model).persist()
+    return packed.bounded_scan(packed.grouped(codes, model, 6, 6), q, model, R, 6, packed.prefix_tops(codes, q, model, R), 6)
+
+
+@query(oracle.tables(oracle.encode(oracle.pq(oracle.v0(True), "p", "base", 64, M, K, 3), "codes", "p", "base", 64, M), "tabs", "p", "queries", 64, M).select(oracle.topk(ADC, R)))
+def q_bounded_rotated(spark, sf):
+    """The bounded scan over rotated vectors (a fixed rotation): the oracle is the plain scan."""
+    q, b = models.v0_rotated(spark, sf)
+    model = codebook.renumber(models.once(spark, (sf, "pqr", M, K), lambda: codebook.train_pq(b, M, 8, 3)))[0]
+    codes = packed.encode_packed(b, model).persist()
+    return packed.bounded_scan(packed.grouped(codes, model, 3), q, model, R, 3, packed.prefix_tops(codes, q, model, R))
+
+
+@query()
+def q_bounded_opq(spark, sf):
+    """A learnt rotation: rows lost and gained by the bounded scan against the plain one (none)."""
+    q, b = models.v0(spark, sf)
+    floats = b.select("vec_id", F.transform("e", lambda x: x.cast("double")).alias("e"))
+    model = codebook.renumber(models.once(spark, (sf, "opq", M), lambda: codebook.train_opq(floats, M, 8, 4)[0]))[0]
+    codes = packed.encode_packed(b, model).persist()
+    kept = packed.bounded_scan(packed.grouped(codes, model, 3), q, model, R, 3, packed.prefix_tops(codes, q, model, R)).select("qid", "rk", "vec_id")
+    plain = packed.plain_scan(codes, q, model, R).select("qid", "rk", "vec_id")
+    counts = [f.agg(F.count("*").alias(n)) for f, n in ((plain.exceptAll(kept), "lost"), (kept.exceptAll(plain), "extra"), (kept, "rows_kept"))]
+    return counts[0].crossJoin(counts[1]).crossJoin(counts[2])
 
 
 @query(pq_sql(M, K, tabled=True).select(oracle.topk(ADC, R)))
@@ -188,7 +221,7 @@ def q_bounded_sixteen_parts(spark, sf):
 )
 def q_bounded_equals_adc(spark, sf):
     placed, tabs, _ = setup(spark, sf)
-    kept, plain = scan.bounded_topk(placed, tabs, M, R, 4), scan.adc_topk(placed, tabs, M, R)
+    kept, plain = scan.bounded_topk(placed, tabs, M, R, 4), scan.adc_topk(coded(spark, sf, M, K)[0], tabs, M, R)
     counts = [f.agg(F.count("*").alias(n)) for f, n in ((plain.exceptAll(kept), "lost"), (kept.exceptAll(plain), "extra"), (kept, "rows_kept"))]
     return counts[0].crossJoin(counts[1]).crossJoin(counts[2])
 
@@ -316,18 +349,21 @@ def q_nibble_topk(spark, sf):
     return scan.nibble_topk(codes, small, 16, R).select("qid", "rk", "vec_id", "dist")
 
 
-def _nibble_kernel(step: int):
-    def run(spark, sf):
-        codes, tabs, _ = coded(spark, sf, 16, 16)
-        small = scan.nibble_tables(scan.with_prefix(codes, None, 20, R), tabs, 16, R)
-        rows = [(r["qid"], [r[f"q{j}"] for j in range(16)]) for r in small.collect()]
-        return scan.nibble_kernel(codes, rows, 16, R, step)
-
-    run.__name__ = f"q_nibble_kernel_x{step}"
-    return query(nibble_sql().select(oracle.topk(NIBBLE, R)))(run)
+@query(nibble_sql().select(oracle.topk(NIBBLE, R)))
+def q_nibble_kernel_x1(spark, sf):
+    """Packed codes, sixteen bits a look-up, sums in bytes."""
+    q, b = models.v0(spark, sf)
+    model = models.pq0(spark, sf, 16, 16)
+    return packed.nibble_scan(packed.encode_packed(b, model), q, model, R)
 
 
-q_nibble_kernel_x1, q_nibble_kernel_x2 = _nibble_kernel(1), _nibble_kernel(2)
+@query(nibble_sql().select(oracle.topk(NIBBLE, R)))
+def q_nibble_kernel_x2(spark, sf):
+    """Two components a step over columns of codes (the double-width form)."""
+    codes, tabs, _ = coded(spark, sf, 16, 16)
+    small = scan.nibble_tables(scan.with_prefix(codes, None, 20, R), tabs, 16, R)
+    rows = [(r["qid"], [r[f"q{j}"] for j in range(16)]) for r in small.collect()]
+    return scan.nibble_kernel(codes, rows, 16, R, 2)
 
 
 @query(nibble_sql(m=8, k=64).select(oracle.topk(NIBBLE, R)))
@@ -374,9 +410,9 @@ def q_nibble_imi(spark, sf):
 # -- nested codebooks --------------------------------------------------------------------------
 
 
-def nested_sql(m: int = 4, k: int = 256, kc: int = 16, r2: int | None = None, fine: bool = True, iters: int = 3) -> Sql:
+def nested_sql(m: int = 4, k: int = 256, kc: int = 16, r2: int | str | None = None, fine: bool = True, iters: int = 3, rotated: bool = False) -> Sql:
     """Codebook p_cb renumbered (n_cb) so that idx % kc is the cluster; co_cb the clusters' floored means."""
-    s = oracle.pq(oracle.v0(), "p", "base", 64, m, k, iters)
+    s = oracle.pq(oracle.v0(rotated), "p", "base", 64, m, k, iters)
     s.add("sums", "SELECT part, idx, sum(c) AS total FROM p_cb GROUP BY part, idx")
     s.add("ordered", f"SELECT part, idx, (row_number() OVER (PARTITION BY part ORDER BY total, idx) - 1) // {k // kc} AS cluster FROM sums")
     s.add("numbered", f"SELECT part, idx, cluster, (row_number() OVER (PARTITION BY part, cluster ORDER BY idx) - 1) * {kc} + cluster AS num FROM ordered")
@@ -442,13 +478,10 @@ def q_capped_buckets(spark, sf):
 
 @query(nested_sql(fine=False, r2=R2).select("SELECT * FROM cands"))
 def q_capped_kernel(spark, sf):
-    q, codes, model, _ = nested(spark, sf)
-    tabs = index.lookup_tables(q, model, coarse=True)
-    low = scan.with_prefix(scan.low_bits_codes(codes, 4, 4), None, R2, 1)
-    thr = scan.with_tables(low.where("prefix"), tabs).select("qid", scan.adc(4).alias("d")).groupBy("qid").agg(F.max("d").alias("thr"))
-    small = scan.quantize_tables(scan.with_bounds(tabs, 4).join(thr, "qid"), 4, 255)
-    rows = [(r["qid"], [r[f"q{j}"] for j in range(4)]) for r in small.collect()]
-    return scan.capped_kernel(codes, rows, 4, 4, R2)
+    """Buckets whose cap moves block by block within a task, then over all tasks."""
+    q, b = models.v0(spark, sf)
+    model = models.nested0(spark, sf)
+    return packed.nested_candidates(packed.encode_packed(b, model), q, model, R2).select("qid", "vec_id", "bucket")
 
 
 FINE = f"SELECT qid, vec_id, CAST({oracle.adc(4)} AS BIGINT) AS dist FROM cands JOIN codes c USING (vec_id) JOIN tabs t USING (qid)"
@@ -456,8 +489,10 @@ FINE = f"SELECT qid, vec_id, CAST({oracle.adc(4)} AS BIGINT) AS dist FROM cands
 
 @query(nested_sql(r2=R2).select(oracle.topk(FINE, R)))
 def q_nested_topk(spark, sf):
-    q, codes, model, buckets = nested(spark, sf)
-    return scan.rerank(scan.candidates(buckets, R2), codes, q, model, R)
+    """Candidates carry their codes; their fine tables are filled as codes name entries."""
+    q, b = models.v0(spark, sf)
+    model = models.nested0(spark, sf)
+    return packed.rerank(packed.nested_candidates(packed.encode_packed(b, model), q, model, R2), q, model, R)
 
 
 @query(nested_sql(r2=R2).select(oracle.topk(FINE, R)))
@@ -476,12 +511,13 @@ def q_nested_same_size(spark, sf):
 
 @query(nested_sql(fine=False, r2=R2).select("SELECT qid, count(*) AS entries, round(count(*) / 1024.0, 6) AS share FROM (SELECT DISTINCT qid, j, c.c[j + 1] FROM cands JOIN codes c USING (vec_id), (SELECT unnest(range(0, 4)) AS j)) GROUP BY qid"))
 def q_lazy_table_entries(spark, sf):
-    _, codes, _, buckets = nested(spark, sf)
-    touched = scan.lazy_entries(scan.candidates(buckets, R2), codes, 4)
-    return touched.groupBy("qid").agg(F.count("*").alias("entries")).withColumn("share", F.round(F.col("entries") / F.lit(1024.0), 6))
+    q, b = models.v0(spark, sf)
+    model = models.nested0(spark, sf)
+    touched = packed.rerank(packed.nested_candidates(packed.encode_packed(b, model), q, model, R2), q, model, R, entries=True)
+    return touched.select("qid", F.col("filled").alias("entries"), F.round(F.col("filled") / F.lit(1024.0), 6).alias("share"))
 
 
-TRUTH = f"SELECT qid, arg_min(vec_id, (dist, vec_id)) AS truth FROM (SELECT q.qid, v.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM queries q, base v) GROUP BY qid"
+TRUTH = f"SELECT qid, arg_min(vec_id, (dist, vec_id)) AS truth FROM (SELECT q.qid, v.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM queries q, base v WHERE q.qid <> v.vec_id) GROUP BY qid"
 
 
 @query(

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from vecspark.functions import bits, vectors
 from vecspark.functions.ranking import top_k
-from vecspark.operators import codebook, encode, index, scan
+from vecspark.operators import codebook, encode, index, packed, scan
 from vecspark.queries import models, oracle
 from vecspark.queries.oracle import Sql
 from vecspark.queries.registry import query
@@ -91,12 +91,12 @@ def q_radius_equals_knn(spark, sf):
         "SELECT qid, vec_id, CAST(list_sum(list_transform(list_zip(q.e, v.e), lambda z: abs(z[1] - z[2]))) AS BIGINT) AS l1, "
         f"{oracle.l2('q.e', 'v.e')} AS l2sq, round(sqrt(CAST({oracle.l2('q.e', 'v.e')} AS DOUBLE)), 4) AS l2, "
         "round(CAST(list_sum(list_transform(list_zip(q.e, v.e), lambda z: z[1] * z[2])) AS DOUBLE) / (sqrt(CAST(list_sum(list_transform(q.e, lambda x: x * x)) AS DOUBLE)) * sqrt(CAST(list_sum(list_transform(v.e, lambda x: x * x)) AS DOUBLE))), 9) AS cosine "
-        "FROM queries q, base v WHERE qid < 5"
+        "FROM queries q, base v"
     )
 )
 def q_metrics(spark, sf):
     q, b = models.v0(spark, sf)
-    pairs = b.crossJoin(F.broadcast(q.where("qid < 5").withColumnRenamed("e", "q")))
+    pairs = b.crossJoin(F.broadcast(q.withColumnRenamed("e", "q")))
     x, y, d = F.col("q"), F.col("e"), 64
     square = vectors.l2sq(x, y, d)
     return pairs.select("qid", "vec_id", vectors.l1(x, y, d).alias("l1"), square.alias("l2sq"), F.round(F.sqrt(square.cast("double")), 4).alias("l2"), F.round(vectors.cosine(x, y, d), 9).alias("cosine"))
@@ -234,7 +234,8 @@ ADC = f"SELECT qid, vec_id, CAST({oracle.adc(8)} AS BIGINT) AS dist FROM codes c
 def coded(spark, sf, m=8, k=16):
     q, b = models.v0(spark, sf)
     model = models.pq0(spark, sf, m, k)
-    return encode.encode_pq(b, model), index.lookup_tables(q, model), model
+    codes = models.once(spark, (sf, "codes0", m, k), lambda: encode.encode_pq(b, model).persist())
+    return codes, index.lookup_tables(q, model), model
 
 
 @query(pq_sql(8, 16, coded=False, tabled=True).select("SELECT qid, CAST(part AS BIGINT) AS part, CAST(idx AS BIGINT) AS idx, dist FROM tabs_long"))
@@ -258,9 +259,10 @@ def q_adc_topk(spark, sf):
 
 @query(pq_sql(8, 16, tabled=True).select(oracle.topk(ADC, 100)))
 def q_adc_exhaustive(spark, sf):
-    """All codes scanned, by the Arrow kernel."""
-    codes, tabs, _ = coded(spark, sf)
-    return scan.kernel_topk(codes, table_rows(tabs, 8), 8, 100)
+    """All packed codes scanned, by the kernel of words."""
+    q, b = models.v0(spark, sf)
+    model = models.pq0(spark, sf, 8, 16)
+    return packed.plain_scan(packed.encode_packed(b, model), q, model, 100)
 
 
 def table_rows(tabs: DataFrame, m: int, listed: bool = False) -> list:

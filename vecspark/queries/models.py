@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from vecspark.operators import codebook
 from vecspark.operators.index import IvfIndex, MultiIndex
+from vecspark.operators.projection import fixed_rotation, rotate_fixed
 from vecspark.sources import tables as T
 
 _KEPT: dict = {}
@@ -24,10 +25,13 @@ def v0(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     return T.split(T.vectors_embeddings(spark, sf))
 
 
-def v1(spark: SparkSession, sf: str, modulus: int = 997) -> tuple[DataFrame, DataFrame]:
-    """Queries are the ids divisible by ``modulus``; the base is everything."""
-    v = T.vectors_lineitem(spark, sf)
-    return v.where(F.pmod("vec_id", F.lit(modulus)) == 0).select(F.col("vec_id").alias("qid"), "e"), v
+def v0_rotated(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    """V0 under a fixed rotation in fixed point, which two engines compute alike."""
+    return T.split(once(spark, (sf, "v0r"), lambda: rotate_fixed(T.vectors_embeddings(spark, sf), fixed_rotation(64, 5)).persist()))
+
+
+def v1(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    return T.split(once(spark, (sf, "v1"), lambda: T.vectors_lineitem(spark, sf).persist()))
 
 
 def v1_training(spark: SparkSession, sf: str, modulus: int = 101) -> DataFrame:
@@ -54,5 +58,9 @@ def imi0(spark: SparkSession, sf: str, k: int = 4, m: int = 8, b: int = 4, iters
     return once(spark, (sf, "imi0", k, m, b, iters), lambda: MultiIndex.build(v0(spark, sf)[1], k, m, b, iters))
 
 
-def nested0(spark: SparkSession, sf: str, m: int = 4, b: int = 8, b_coarse: int = 4, numbering: str = "ntile", iters: int = 3):
-    return once(spark, (sf, "nested0", m, b, b_coarse, numbering, iters), lambda: codebook.nest(pq0(spark, sf, m, 1 << b, iters), b_coarse, numbering))
+def nested0(spark: SparkSession, sf: str, m: int = 4, b: int = 8, b_coarse: int = 4, numbering: str = "ntile", iters: int = 3, rotated: bool = False):
+    def make():
+        fine = codebook.train_pq(v0_rotated(spark, sf)[1], m, b, iters) if rotated else pq0(spark, sf, m, 1 << b, iters)
+        return codebook.nest(fine, b_coarse, numbering)
+
+    return once(spark, (sf, "nested0", m, b, b_coarse, numbering, iters, rotated), make)

@@ -13,22 +13,30 @@ class Sql:
     def __init__(self):
         self.parts: list[str] = []
 
-    def add(self, name: str, body: str) -> Sql:
-        self.parts.append(f"{name} AS MATERIALIZED ({body})")
+    def add(self, name: str, body: str, once: bool = False) -> Sql:
+        """``once``: read by one reader alone, so that nothing need be kept."""
+        self.parts.append(f"{name} AS {'NOT ' if once else ''}MATERIALIZED ({body})")
         return self
 
     def select(self, body: str) -> str:
         return "WITH " + ",\n".join(self.parts) + "\n" + body
 
 
-def v0(first: int = 50) -> Sql:
+def v0(rotated: bool = False) -> Sql:
     s = Sql()
-    s.add("v", f"SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(CAST(x AS DOUBLE) * {SCALE}) AS BIGINT)) AS e FROM embeddings")
-    s.add("base", f"SELECT * FROM v WHERE vec_id >= {first}")
-    return s.add("queries", f"SELECT vec_id AS qid, e FROM v WHERE vec_id < {first}")
+    s.add("v0", f"SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(CAST(x AS DOUBLE) * {SCALE}) AS BIGINT)) AS e FROM embeddings")
+    if rotated:
+        from vecspark.operators.projection import FIXED, fixed_rotation
+
+        s.add("turn", f"SELECT CAST({fixed_rotation(64, 5)} AS BIGINT[][]) AS r")
+        s.add("v", f"SELECT vec_id, list_transform(r, lambda row: CAST(floor(CAST(list_sum(list_transform(list_zip(row, e), lambda z: z[1] * z[2])) AS DOUBLE) / {FIXED}) AS BIGINT)) AS e FROM v0, turn")
+    else:
+        s.add("v", "SELECT * FROM v0")
+    s.add("base", "SELECT * FROM v")
+    return s.add("queries", "SELECT vec_id AS qid, e FROM v WHERE vec_id % 50 = 0")
 
 
-def v1(modulus: int = 997) -> Sql:
+def v1() -> Sql:
     names = ["quantity", "extendedprice", "discount", "tax", "ship", "partkey", "suppkey", "linenumber"]
     s = Sql()
     s.add(
@@ -43,7 +51,7 @@ def v1(modulus: int = 997) -> Sql:
     scaled = ", ".join(f"CAST(floor(CAST(({n} - {n}_low) * {SCALE} AS DOUBLE) / greatest({n}_high - {n}_low, 1)) AS BIGINT)" for n in names)
     s.add("v", f"SELECT vec_id, [{scaled}] AS e FROM means, ends")
     s.add("base", "SELECT * FROM v")
-    return s.add("queries", f"SELECT vec_id AS qid, e FROM v WHERE vec_id % {modulus} = 0")
+    return s.add("queries", "SELECT vec_id AS qid, e FROM v WHERE vec_id % 50 = 0")
 
 
 def v2(d: int = 128, source: str = "SELECT doc_id AS vec_id, text FROM documents", keys: str = "vec_id") -> Sql:

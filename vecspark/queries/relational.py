@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from vecspark.functions import udfs, vectors
 from vecspark.functions.bits import interleave
-from vecspark.functions.ranking import top_k
+from vecspark.functions.ranking import ranked, top_k
 from vecspark.operators import encode, index, scan
 from vecspark.queries import models, oracle
 from vecspark.queries.core import ADC, EXACT_SQL, code_select, coded, exact, ivf_sql, long_codes, pq_sql
@@ -79,12 +79,12 @@ def o_range_join(spark, sf):
     return x.join(y, ["bucket", "label"]).where("b between a + 1 and a + 3").select("a", "b").distinct()
 
 
-@query("SELECT e.event_id, CAST(coalesce((SELECT max(p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_id < e.event_id), -1) AS BIGINT) AS before FROM events e WHERE user_id <= 300")
+@query("SELECT e.event_id, CAST(coalesce((SELECT max(p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_id < e.event_id), -1) AS BIGINT) AS before FROM events e")
 def o_asof_join(spark, sf):
-    """The last earlier event of the same user, by a window over each user."""
-    e = T.load(spark, sf, "events").where("user_id <= 300").select("event_id", "user_id")
-    before = F.lag("event_id").over(W.partitionBy("user_id").orderBy("event_id"))
-    return e.select("event_id", F.coalesce(before, F.lit(-1)).cast("long").alias("before"))
+    """The last earlier event of the same user: places within users, and an equi-join on the place before."""
+    e = ranked(T.load(spark, sf, "events").select("event_id", "user_id"), "event_id", "place", ("user_id",))
+    before = e.select("user_id", (F.col("place") + 1).alias("place"), F.col("event_id").alias("before"))
+    return e.join(before, ["user_id", "place"], "left").select("event_id", F.coalesce("before", F.lit(-1)).cast("long").alias("before"))
 
 
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
@@ -105,11 +105,10 @@ def o_anti_join(spark, sf):
     return T.load(spark, sf, "documents").select("doc_id").join(T.load(spark, sf, "labels").select("doc_id"), "doc_id", "left_anti")
 
 
-@query(oracle.v0().select(oracle.topk(f"SELECT a.vec_id AS qid, b.vec_id, {oracle.l2('a.e', 'b.e')} AS dist FROM v a, v b WHERE a.vec_id <> b.vec_id AND a.vec_id < 100", 3)))
+@query(oracle.v0().select(oracle.topk(f"SELECT a.vec_id AS qid, b.vec_id, {oracle.l2('a.e', 'b.e')} AS dist FROM v a, v b WHERE a.vec_id <> b.vec_id AND a.vec_id % 50 = 0", 3)))
 def o_knn_self_join(spark, sf):
-    """Neighbour graph of a hundred nodes; no node is its own neighbour."""
-    v = T.vectors_embeddings(spark, sf)
-    q = v.where("vec_id < 100").select(F.col("vec_id").alias("qid"), "e")
+    """Edges of the neighbour graph that leave every fiftieth node; no node is its own neighbour."""
+    q, v = models.v0(spark, sf)
     return top_k(exact(q, v, 64).where("qid <> vec_id"), 3, ["qid"], ["dist", "vec_id"])
 
 
@@ -181,10 +180,10 @@ def o_gap_lag(spark, sf):
     return near.select("qid", "rk", F.coalesce(F.col("dist") - F.lag("dist").over(W.partitionBy("qid").orderBy("rk")), F.lit(0)).alias("gap"))
 
 
-@query("SELECT l_orderkey, CAST(l_linenumber AS BIGINT) AS line, l_partkey AS part, CAST(sum(l_quantity) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_quantity ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM lineitem WHERE l_orderkey <= 2000")
+@query("SELECT l_orderkey, CAST(l_linenumber AS BIGINT) AS line, l_partkey AS part, CAST(sum(l_quantity) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_quantity ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM lineitem")
 def o_running_budget(spark, sf):
     w = W.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_quantity").rowsBetween(W.unboundedPreceding, W.currentRow)
-    return T.load(spark, sf, "lineitem").where("l_orderkey <= 2000").select("l_orderkey", F.col("l_linenumber").cast("long").alias("line"), F.col("l_partkey").alias("part"), F.sum("l_quantity").over(w).cast("long").alias("running"))
+    return T.load(spark, sf, "lineitem").select("l_orderkey", F.col("l_linenumber").cast("long").alias("line"), F.col("l_partkey").alias("part"), F.sum("l_quantity").over(w).cast("long").alias("running"))
 
 
 @query("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(ts) RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS day FROM (SELECT event_id, user_id, date_trunc('second', ts) AS ts FROM events)")
@@ -298,19 +297,20 @@ def u_encode_udf(spark, sf):
     return coded_.select("vec_id", *[F.col("c")[j].alias(f"c{j}") for j in range(8)])
 
 
-@query(pq_sql(8, 16, tabled=True).select(f"SELECT vec_id, CAST({oracle.adc(8)} AS BIGINT) AS dist FROM codes c, tabs t WHERE qid = 0"))
+@query(pq_sql(8, 16, tabled=True).select(ADC))
 def u_adc_udf(spark, sf):
-    b, model = models.v0(spark, sf)[1], models.pq0(spark, sf, 8, 16)
-    tab = index.lookup_tables(models.v0(spark, sf)[0].where("qid = 0"), model).first()
-    table = np.array([tab[f"t{j}"] for j in range(8)])
-    codes = encode.encode_pq(b, model)
-    return codes.select("vec_id", udfs.adc_udf(model, table)(F.array(*encode.code_columns(8))).alias("dist"))
+    """Table-sum distance as an Arrow function of a code and the query's number."""
+    q, b = models.v0(spark, sf)
+    model = models.pq0(spark, sf, 8, 16)
+    tables = {r["qid"]: np.array([r[f"t{j}"] for j in range(8)]) for r in index.lookup_tables(q, model).collect()}  # a batch of queries
+    codes = encode.encode_pq(b, model).crossJoin(F.broadcast(q.select("qid")))
+    return codes.select("qid", "vec_id", udfs.adc_udf(model, tables)(F.array(*encode.code_columns(8)), "qid").alias("dist"))
 
 
-@query(oracle.v0().select("SELECT vec_id, CAST(unnest(range(0, 64)) AS BIGINT) AS pos, unnest(e) AS x FROM v WHERE vec_id < 20"))
+@query(oracle.v0().select("SELECT vec_id, CAST(unnest(range(0, 64)) AS BIGINT) AS pos, unnest(e) AS x FROM v"))
 def u_components_udtf(spark, sf):
     udfs.register(spark)
-    T.vectors_embeddings(spark, sf).where("vec_id < 20").createOrReplaceTempView("some_vectors")
+    T.vectors_embeddings(spark, sf).createOrReplaceTempView("some_vectors")
     return spark.sql("select vec_id, cast(c.pos as bigint) as pos, c.x from some_vectors, lateral vector_components(e) c")
 
 

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecspark.functions.ranking import top_k
 from vecspark.functions.vectors import l2sq
-from vecspark.operators import codebook, encode, index, measures, scan
+from vecspark.operators.codebook import PQModel
+from vecspark.operators import codebook, encode, index, measures, packed, scan
 from vecspark.queries import models, oracle
 from vecspark.queries.bounded import bounded_sql, nested_sql, nibble_sql
 from vecspark.queries.core import table_rows
@@ -16,7 +18,7 @@ from vecspark.queries.registry import query
 from vecspark.sources import tables as T
 
 RS = (1, 10, 50, 100)
-TRUTHS = f"SELECT qid, arg_min(vec_id, (dist, vec_id)) AS truth FROM (SELECT q.qid, v.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM queries q, base v) GROUP BY qid"
+TRUTHS = f"SELECT qid, arg_min(vec_id, (dist, vec_id)) AS truth FROM (SELECT q.qid, v.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM queries q, base v WHERE q.qid <> v.vec_id) GROUP BY qid"
 
 
 def union(frames: list[DataFrame]) -> DataFrame:
@@ -35,7 +37,7 @@ def recalls_sql(s: Sql, results: dict[str, str], grid=RS) -> str:
     """Results: model name -> name of a CTE (qid, rk, vec_id)."""
     s.add("truths", TRUTHS)
     parts = [
-        f"SELECT '{name}' AS model, CAST(r AS BIGINT) AS r, count(*) FILTER (WHERE f.rk <= r) AS hits, count(*) AS queries, round(count(*) FILTER (WHERE f.rk <= r) * 1.0 / count(*), 6) AS recall FROM truths t CROSS JOIN (SELECT unnest({list(grid)}) AS r) LEFT JOIN {cte} f ON f.qid = t.qid AND f.vec_id = t.truth GROUP BY r"
+        f"SELECT '{name}' AS model, CAST(r AS BIGINT) AS r, count(*) FILTER (WHERE f.rk <= r) AS hits, count(*) AS queries, round(count(*) FILTER (WHERE f.rk <= r) * 1.0 / count(*), 6) AS recall FROM truths t CROSS JOIN (SELECT unnest({list(grid)}) AS r) LEFT JOIN (SELECT qid, vec_id, row_number() OVER (PARTITION BY qid ORDER BY rk) AS rk FROM {cte} WHERE vec_id <> qid) f ON f.qid = t.qid AND f.vec_id = t.truth GROUP BY r"
         for name, cte in results.items()
     ]
     return s.select(" UNION ALL ".join(parts))
@@ -124,48 +126,50 @@ def w_scan_variants(spark, sf):
 
 # -- eight lists and the bounded scan on line items --------------------------------------------
 
-FEW = 9973
-
-
-def v1_lists_sql(k: int = 8, modulus: int = 997) -> Sql:
-    s = oracle.v1(modulus).add("trainset", "SELECT * FROM base WHERE vec_id % 101 = 0")
+def v1_lists_sql(k: int = 8) -> Sql:
+    s = oracle.v1().add("trainset", "SELECT * FROM base WHERE vec_id % 101 = 0")
     oracle.pq(s, "co", "trainset", 8, 1, k, 1)
     oracle.components(s, "b_sub", "base", 8, 1)
     oracle.nearest(s, "own", "b_sub", "co_cb")
     return s
 
 
-@query(v1_lists_sql().select("SELECT CAST(idx AS BIGINT) AS list_id, count(*) AS n, count(*) FILTER (WHERE vec_id % 997 = 0) AS queries FROM own GROUP BY idx"))
+def coarse1(spark, sf, k: int):
+    return models.once(spark, (sf, "co1", k), lambda: codebook.train_kmeans(models.v1_training(spark, sf), k, 1))
+
+
+@query(v1_lists_sql().select("SELECT CAST(idx AS BIGINT) AS list_id, count(*) AS n, count(*) FILTER (WHERE vec_id % 50 = 0) AS queries FROM own GROUP BY idx"))
 def w_eight_lists(spark, sf):
     """Sizes of eight lists and the queries that each gets."""
-    q, b = models.v1(spark, sf)
-    coarse = models.once(spark, (sf, "co1", 8), lambda: codebook.train_kmeans(models.v1_training(spark, sf), 8, 1))
-    own = encode.assign(b, coarse, name="list_id").select("vec_id", "list_id")
-    return own.groupBy("list_id").agg(F.count("*").alias("n"), F.count_if(F.pmod("vec_id", F.lit(997)) == 0).alias("queries"))
+    own = encode.assign(models.v1(spark, sf)[1], coarse1(spark, sf, 8), name="list_id").select("vec_id", "list_id")
+    return own.groupBy("list_id").agg(F.count("*").alias("n"), F.count_if(F.pmod("vec_id", F.lit(T.EVERY)) == 0).alias("queries"))
 
 
 def v1_codes_sql() -> Sql:
-    s = oracle.v1(FEW).add("trainset", "SELECT * FROM base WHERE vec_id % 101 = 0")
+    s = oracle.v1().add("trainset", "SELECT * FROM base WHERE vec_id % 101 = 0")
     oracle.pq(s, "p", "trainset", 8, 8, 256, 1)
     oracle.encode(s, "codes", "p", "base", 8, 8)
     return oracle.tables(s, "tabs", "p", "queries", 8, 8)
 
 
 def v1_setup(spark, sf, renumbered: bool = False):
-    q, b = models.v1(spark, sf, FEW)
+    """(queries, model, packed codes) of the whole set."""
+    q, b = models.v1(spark, sf)
     model = models.pq1(spark, sf, 8, 256)
+    codes = models.once(spark, (sf, "v1codes"), lambda: packed.encode_packed(b, model).persist())
     if renumbered:
-        model = codebook.renumber(model)[0]
-    return models.once(spark, (sf, "v1codes", renumbered), lambda: encode.encode_pq(b, model).cache()), index.lookup_tables(q, model)
+        model, maps = codebook.renumber(model)
+        codes = models.once(spark, (sf, "v1codes", True), lambda: packed.remap(codes, maps).persist())
+    return q, model, codes
 
 
-def pruned_total(codes, tabs, r: int, share: float, g: int = 2, mode: str = "full") -> DataFrame:
-    marks = scan.bounded_marks(scan.with_prefix(codes, share, None, r), tabs, 8, r, g, mode=mode)
-    return marks.agg(F.count("*").alias("n_codes"), F.count_if("pruned").alias("n_pruned"))
+def pruned_total(setup, r: int, share: float, g: int = 2, mode: str = "full") -> DataFrame:
+    q, model, codes = setup
+    return packed.bounded_counts(codes, q, model, r, g, share, mode).agg(F.sum("n_codes").alias("n_codes"), F.sum("n_pruned").alias("n_pruned"))
 
 
 def pruned_sql(r: int, share: float, mode: str = "full") -> str:
-    return bounded_sql(r, share, 2, mode, s=Sql().add("codes", "SELECT * FROM all_codes").add("tabs", "SELECT * FROM all_tabs")).select("SELECT count(*) AS n_codes, count(*) FILTER (WHERE pruned) AS n_pruned FROM pruned")
+    return bounded_sql(r, share, 2, mode, s=Sql().add("codes", "SELECT * FROM all_codes", True).add("tabs", "SELECT * FROM all_tabs", True), once=True).select("SELECT count(*) AS n_codes, count(*) FILTER (WHERE pruned) AS n_pruned FROM pruned")
 
 
 def sweep_sql(cases: list[tuple[str, int, float, str]]) -> str:
@@ -180,51 +184,72 @@ INITS = (0.001, 0.005, 0.01, 0.05, 0.1)
 @query(sweep_sql([(f"CAST({round(i * 1000)} AS BIGINT) AS init_permille, CAST({r} AS BIGINT) AS r", r, i, "full") for i in INITS for r in (10, 100)]))
 def w_init_sweep(spark, sf):
     """Codes pruned as the prefix grows, for two result sizes."""
-    codes, tabs = v1_setup(spark, sf)
-    return union([pruned_total(codes, tabs, r, i).select(F.lit(round(i * 1000)).cast("long").alias("init_permille"), F.lit(r).cast("long").alias("r"), "*") for i in INITS for r in (10, 100)])
+    setup = v1_setup(spark, sf)
+    return union([pruned_total(setup, r, i).select(F.lit(round(i * 1000)).cast("long").alias("init_permille"), F.lit(r).cast("long").alias("r"), "*") for i in INITS for r in (10, 100)])
 
 
 @query(sweep_sql([(f"CAST({r} AS BIGINT) AS r", r, 0.005, "full") for r in (1, 10, 50, 100, 500)]))
 def w_r_sweep(spark, sf):
     """More neighbours, a farther threshold, fewer codes pruned."""
-    codes, tabs = v1_setup(spark, sf)
-    return union([pruned_total(codes, tabs, r, 0.005).select(F.lit(r).cast("long").alias("r"), "*") for r in (1, 10, 50, 100, 500)])
+    setup = v1_setup(spark, sf)
+    return union([pruned_total(setup, r, 0.005).select(F.lit(r).cast("long").alias("r"), "*") for r in (1, 10, 50, 100, 500)])
 
 
 @query(sweep_sql([("'full' AS mode", 10, 0.01, "full"), ("'quant_only' AS mode", 10, 0.01, "quant_only")]))
 def w_quant_only(spark, sf):
     """Bounds from 256-entry quantized tables alone prune a little more than portions and minima."""
-    codes, tabs = v1_setup(spark, sf)
-    return union([pruned_total(codes, tabs, 10, 0.01, mode=m).select(F.lit(m).alias("mode"), "*") for m in ("full", "quant_only")])
+    setup = v1_setup(spark, sf)
+    return union([pruned_total(setup, 10, 0.01, mode=m).select(F.lit(m).alias("mode"), "*") for m in ("full", "quant_only")])
 
 
 @query()
 def w_numbering(spark, sf):
     """Pruned share with arbitrary and with equal-size-cluster numbering of centroids."""
-    return union([pruned_total(*v1_setup(spark, sf, n), 10, 0.01).select(F.lit("clusters" if n else "arbitrary").alias("numbering"), "*", F.round(F.col("n_pruned") / F.col("n_codes"), 4).alias("share")) for n in (False, True)])
+    return union([pruned_total(v1_setup(spark, sf, n), 10, 0.01).select(F.lit("clusters" if n else "arbitrary").alias("numbering"), "*", F.round(F.col("n_pruned") / F.col("n_codes"), 4).alias("share")) for n in (False, True)])
 
 
 @query(
-    bounded_sql(10, 0.01, 2, s=v1_codes_sql()).add("work", "SELECT qid, count(*) FILTER (WHERE NOT pruned) AS n_full FROM pruned GROUP BY qid").select(
+    bounded_sql(10, 0.01, 2, s=v1_codes_sql(), once=True).add("work", "SELECT qid, count(*) FILTER (WHERE NOT pruned) AS n_full FROM pruned GROUP BY qid").select(
         "SELECT round(avg(n_full), 4) AS mean, round(quantile_cont(n_full, 0.25), 4) AS q25, round(quantile_cont(n_full, 0.5), 4) AS median, round(quantile_cont(n_full, 0.75), 4) AS q75, round(quantile_cont(n_full, 0.95), 4) AS q95 FROM work"
     )
 )
 def w_work_distribution(spark, sf):
     """Full sums a query needs: the deterministic stand-in for its response time."""
-    codes, tabs = v1_setup(spark, sf)
-    work = scan.pruned_counts(scan.bounded_marks(scan.with_prefix(codes, 0.01, None, 10), tabs, 8, 10, 2))
+    q, model, codes = v1_setup(spark, sf)
+    work = packed.bounded_counts(codes, q, model, 10, 2).withColumn("n_full", F.col("n_codes") - F.col("n_pruned"))
     return work.agg(F.round(F.avg("n_full"), 4).alias("mean"), *[F.round(F.percentile("n_full", F.lit(p)), 4).alias(n) for p, n in ((0.25, "q25"), (0.5, "median"), (0.75, "q75"), (0.95, "q95"))])
 
 
-@query(bounded_sql(10, 0.01, 2, s=v1_codes_sql()).select("SELECT CAST(9 AS DOUBLE) AS plain_reads, round(1 + (1 - count(*) FILTER (WHERE pruned) * 1.0 / count(*)) * 9, 6) AS bounded_reads FROM pruned"))
+@query(bounded_sql(10, 0.01, 2, s=v1_codes_sql(), once=True).select("SELECT CAST(9 AS DOUBLE) AS plain_reads, round(1 + (1 - count(*) FILTER (WHERE pruned) * 1.0 / count(*)) * 9, 6) AS bounded_reads FROM pruned"))
 def w_operation_model(spark, sf):
     """Memory reads for a code: nine plain (a word and eight tables) against one and the share kept."""
-    codes, tabs = v1_setup(spark, sf)
-    return pruned_total(codes, tabs, 10, 0.01).select(F.lit(9.0).alias("plain_reads"), F.round(1 + (1 - F.col("n_pruned") / F.col("n_codes")) * 9, 6).alias("bounded_reads"))
+    return pruned_total(v1_setup(spark, sf), 10, 0.01).select(F.lit(9.0).alias("plain_reads"), F.round(1 + (1 - F.col("n_pruned") / F.col("n_codes")) * 9, 6).alias("bounded_reads"))
 
 
-def list_size_sql() -> str:
-    s = v1_lists_sql(8, FEW)
+@query(v1_codes_sql().select(oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(8)} AS BIGINT) AS dist FROM codes c, tabs t", 10)))
+def w_bounded_lineitem(spark, sf):
+    """The bounded scan with group skipping over all line items: the oracle is the plain scan."""
+    q, model, codes = v1_setup(spark, sf, True)
+    laid = models.once(spark, (sf, "v1laid", 3), lambda: packed.grouped(codes, model, 3).persist())
+    return packed.bounded_scan(laid, q, model, 10, 3, packed.prefix_tops(codes, q, model, 10))
+
+
+@query()
+def w_group_skipping(spark, sf):
+    """What each sieve of the bounded scan leaves, by size of the portions and number of grouped parts."""
+    q, b = models.v1(spark, sf)
+    out = []
+    for low_bits, g in ((4, 2), (4, 3), (4, 4), (6, 4), (6, 6)):
+        model = codebook.renumber(models.pq1(spark, sf, 8, 256), 1 << (8 - low_bits))[0]
+        codes = models.once(spark, (sf, "v1codes", low_bits), lambda model=model: packed.encode_packed(b, model).persist())
+        stats = packed.bounded_scan(packed.grouped(codes, model, g, low_bits), q, model, 10, g, packed.prefix_tops(codes, q, model, 10), low_bits, stats=True)
+        total = stats.agg(*[F.sum(c).alias(c) for c in ("codes", "groups", "groups_kept", "bounded", "summed")])
+        out.append(total.select(F.lit(16 if low_bits == 4 else 64).alias("portion"), F.lit(g).alias("grouped"), "*"))
+    return union(out)
+
+
+def list_size_sql(k: int, body: str) -> str:
+    s = v1_lists_sql(k)
     s.add("cents", "SELECT idx, list(c ORDER BY dim) AS e FROM co_cb GROUP BY idx")
     oracle.pq(s, "p", "trainset", 8, 8, 256, 1)
     oracle.encode(s, "plain_codes", "p", "base", 8, 8)
@@ -232,29 +257,29 @@ def list_size_sql() -> str:
     oracle.probes(s, 1)
     s.add("whole", "SELECT qid, list_id, whole AS e FROM probes")
     oracle.tables(s, "tabs", "p", "whole", 8, 8, "qid, list_id")
-    bounded_sql(10, 0.01, 1, s=s, keys="qid, list_id")
-    return s.select("SELECT CAST(list_id AS BIGINT) AS list_id, count(DISTINCT qid) AS queries, count(*) AS n_codes, count(*) FILTER (WHERE pruned) AS n_pruned FROM pruned GROUP BY list_id")
+    bounded_sql(10, 0.01, 1, s=s, keys="qid, list_id", once=True)
+    return s.select(body)
 
 
-@query(list_size_sql())
-def w_list_size(spark, sf):
-    """Each query scans one of eight lists: codes and pruned codes by list."""
-    q, b = models.v1(spark, sf, FEW)
-    coarse = models.once(spark, (sf, "co1", 8), lambda: codebook.train_kmeans(models.v1_training(spark, sf), 8, 1))
+def listed_marks(spark, sf, k: int) -> DataFrame:
+    q, b = models.v1(spark, sf)
+    coarse = coarse1(spark, sf, k)
     ivf = index.IvfIndex(coarse, models.pq1(spark, sf, 8, 256), residual=False)
+    codes = models.once(spark, (sf, "v1listed", k), lambda: ivf.encode(b).persist())
     tabs = ivf.tables(q, index.probes(q, coarse, 1))
-    placed = scan.with_prefix(ivf.encode(b), 0.01, None, 10, ("list_id",))
-    marks = scan.bounded_marks(placed, tabs, 8, 10, 1, ("list_id",))
-    return marks.groupBy("list_id").agg(F.countDistinct("qid").alias("queries"), F.count("*").alias("n_codes"), F.count_if("pruned").alias("n_pruned"))
+    return scan.bounded_marks(scan.with_prefix(codes, 0.01, None, 10, ("list_id",)), tabs, 8, 10, 1, ("list_id",))
+
+
+@query(list_size_sql(8, "SELECT CAST(list_id AS BIGINT) AS list_id, count(DISTINCT qid) AS queries, count(*) AS n_codes, count(*) FILTER (WHERE pruned) AS n_pruned FROM pruned GROUP BY list_id"))
+def w_list_size(spark, sf):
+    """Each query scans one of eight lists: codes and pruned codes by list."""
+    return listed_marks(spark, sf, 8).groupBy("list_id").agg(F.countDistinct("qid").alias("queries"), F.count("*").alias("n_codes"), F.count_if("pruned").alias("n_pruned"))
 
 
-@query(v1_lists_sql(64, FEW).select("SELECT count(DISTINCT idx) AS lists, count(*) AS n, CAST(count(*) * 8 AS BIGINT) AS plain_bytes, CAST(count(*) * 6 AS BIGINT) AS grouped_bytes, max(c) AS largest FROM own, (SELECT max(c) AS c FROM (SELECT count(*) AS c FROM own GROUP BY idx))"))
+@query(list_size_sql(64, "SELECT count(DISTINCT list_id) AS lists, count(DISTINCT qid) AS queries, count(*) AS n_codes, count(*) FILTER (WHERE pruned) AS n_pruned FROM pruned"))
 def w_large_bounded(spark, sf):
-    """Many lists: bytes of codes with and without the nibbles that four grouped parts share."""
-    _, b = models.v1(spark, sf, FEW)
-    coarse = models.once(spark, (sf, "co1", 64), lambda: codebook.train_kmeans(models.v1_training(spark, sf), 64, 1))
-    sizes = encode.assign(b, coarse, name="list_id").groupBy("list_id").agg(F.count("*").alias("c"))
-    return sizes.agg(F.count("*").alias("lists"), F.sum("c").alias("n"), (F.sum("c") * 8).alias("plain_bytes"), (F.sum("c") * 6).alias("grouped_bytes"), F.max("c").alias("largest"))
+    """Many lists: every query scans one of sixty-four; shorter lists, less to prune."""
+    return listed_marks(spark, sf, 64).agg(F.countDistinct("list_id").alias("lists"), F.countDistinct("qid").alias("queries"), F.count("*").alias("n_codes"), F.count_if("pruned").alias("n_pruned"))
 
 
 # -- nibble scan -------------------------------------------------------------------------------
@@ -280,12 +305,12 @@ def w_nibble_exhaustive(spark, sf):
     return recalls({n: nibble(spark, sf, m) if nib else plain(spark, sf, m, k) for n, m, k, nib in NIBBLES}, truth0(spark, sf))
 
 
-LONG = [("plain 16x8", 16, 256, False), ("nibble 32x4", 32, 16, True)]
+LONG = [*NIBBLES, ("plain 16x8", 16, 256, False), ("nibble 32x4", 32, 16, True)]
 
 
 @query(nibble_recall_sql(LONG))
 def w_nibble_unitnorm(spark, sf):
-    """128-bit codes on unit vectors."""
+    """Codes of 64 and of 128 bits on unit vectors."""
     return recalls({n: nibble(spark, sf, m) if nib else plain(spark, sf, m, k) for n, m, k, nib in LONG}, truth0(spark, sf))
 
 
@@ -293,37 +318,76 @@ def w_nibble_unitnorm(spark, sf):
 def w_nibble_opq(spark, sf):
     """The same with a learnt rotation before quantization."""
     q, b = models.v0(spark, sf)
-    floats = b.select("vec_id", F.transform("e", lambda x: x.cast("double")).alias("e"))
     out = {}
-    for name, m, bits, nib in (("plain 8x8", 8, 8, False), ("nibble 16x4", 16, 4, True)):
-        model = models.once(spark, (sf, "opqw", m, bits), lambda m=m, bits=bits: codebook.train_opq(floats, m, bits, 4)[0])
-        codes, tabs = encode.encode_pq(b, model), index.lookup_tables(q, model)
-        out[name] = scan.nibble_topk(codes, scan.nibble_tables(scan.with_prefix(codes, None, 20, 100), tabs, m, 100), m, 100) if nib else scan.adc_topk(codes, tabs, m, 100)
+    for name, m, bits, nib in (("plain 8x8", 8, 8, False), ("plain 16x4", 16, 4, False), ("nibble 16x4", 16, 4, True)):
+        model = opq(spark, sf, m, bits)
+        codes = packed.encode_packed(b, model)
+        out[name] = packed.nibble_scan(codes, q, model, 100) if nib else packed.plain_scan(codes, q, model, 100)
     return recalls(out, truth0(spark, sf))
 
 
-def ivf_recall_sql(k: int) -> str:
-    s = oracle.probes(oracle.ivf(oracle.v0(), 64, k, 8, 16), 3)
-    s.add("shifted", "SELECT qid, list_id, e FROM probes")
-    oracle.tables(s, "tabs", "fi", "shifted", 64, 8, "qid, list_id")
-    s.add("plain_res", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(8)} AS BIGINT) AS dist FROM codes c JOIN tabs t ON c.list_id = t.list_id", 50))
-    nibble_sql(50, 20, 8, s=s, keys="qid, list_id")
-    s.add("nibble_res", oracle.topk("SELECT qid, vec_id, dist FROM scored", 50))
-    return recalls_sql(s, {"plain": "plain_res", "nibble": "nibble_res"}, (1, 10, 50))
+def floats(frame: DataFrame) -> DataFrame:
+    return frame.select("vec_id", F.transform("e", lambda x: x.cast("double")).alias("e"))
 
 
-def ivf_recall(spark, sf, k: int) -> DataFrame:
-    ivf = models.ivf0(spark, sf, k, 8, 4)
-    q, b = models.v0(spark, sf)
-    codes, tabs = ivf.encode(b), ivf.tables(q, index.probes(q, ivf.coarse, 3))
-    placed = scan.with_prefix(codes, None, 20, 50, ("list_id",))
-    small = scan.nibble_tables(placed, tabs, 8, 50, ("list_id",))
-    return recalls({"plain": scan.adc_topk(codes, tabs, 8, 50, ("list_id",)), "nibble": scan.nibble_topk(placed, small, 8, 50, ("list_id",))}, truth0(spark, sf), (1, 10, 50))
+def opq(spark, sf, m: int, bits: int):
+    """Rotation and codebooks learnt on the vectors."""
+    return models.once(spark, (sf, "opqw", m, bits), lambda: codebook.train_opq(floats(models.v0(spark, sf)[1]), m, bits, 4)[0])
+
+
+def opq_lists(spark, sf, k: int, m: int, bits: int):
+    """Lists, and a rotation with codebooks learnt on the residuals."""
+    coarse = models.once(spark, (sf, "co0", k), lambda: codebook.train_kmeans(models.v0(spark, sf)[1], k, 3))
+    model = models.once(spark, (sf, "opqi", k, m, bits), lambda: codebook.train_opq(floats(index.residuals(models.v0(spark, sf)[1], coarse)), m, bits, 4)[0])
+    return coarse, model
+
+
+IVF_CASES = (("plain 8x8", 8, 256, False), ("plain 16x4", 16, 16, False), ("nibble 16x4", 16, 16, True))
+
+
+def ivf_recall_sql(k: int, ma: int = 3, rotated: bool = False) -> str:
+    s = oracle.v0(rotated)
+    oracle.pq(s, "co", "base", 64, 1, k, 3)
+    oracle.centroid_lists(s, "cents", "co")
+    oracle.components(s, "all_sub", "base", 64, 1)
+    oracle.nearest(s, "all_list", "all_sub", "co_cb")
+    s.add("own", f"SELECT v.vec_id, l.idx AS list_id, {oracle.minus('v.e', 'c.e')} AS e FROM base v JOIN all_list l USING (vec_id) JOIN cents c ON c.idx = l.idx")
+    oracle.probes(s, ma)
+    s.add("shifted", "SELECT qid, list_id, e FROM probes")
+    out = {}
+    for name, m, kk, nib in IVF_CASES:
+        p = f"f{m}"
+        if not nib:
+            oracle.pq(s, p, "own", 64, m, kk, 3)
+            oracle.encode(s, f"{p}_own", p, "own", 64, m)
+            s.add(f"{p}_codes", f"SELECT vec_id, list_id, c FROM {p}_own JOIN own USING (vec_id)")
+            oracle.tables(s, f"{p}_tabs", p, "shifted", 64, m, "qid, list_id")
+            s.add(f"{p}_res", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(m)} AS BIGINT) AS dist FROM {p}_codes c JOIN {p}_tabs t ON c.list_id = t.list_id", 50))
+            out[name] = f"{p}_res"
+        else:
+            s.add("codes", f"SELECT * FROM {p}_codes")
+            s.add("tabs", f"SELECT * FROM {p}_tabs")
+            nibble_sql(50, 20, m, s=s, keys="qid, list_id")
+            s.add("nibble_res", oracle.topk("SELECT qid, vec_id, dist FROM scored", 50))
+            out[name] = "nibble_res"
+    return recalls_sql(s, out, (1, 10, 50))
+
+
+def ivf_recall(spark, sf, k: int, ma: int = 3, rotated: bool = False) -> DataFrame:
+    q, b = models.v0_rotated(spark, sf) if rotated else models.v0(spark, sf)
+    coarse = models.once(spark, (sf, "co0", k, rotated), lambda: codebook.train_kmeans(b, k, 3))
+    probes = index.probes(q, coarse, ma)
+    out = {}
+    for name, m, kk, nib in IVF_CASES:
+        model = models.once(spark, (sf, "ivfw", k, m, kk, rotated), lambda m=m, kk=kk: codebook.train_pq(index.residuals(b, coarse), m, int(np.log2(kk)), 3))
+        codes = packed.encode_packed(b, model, coarse)
+        out[name] = packed.nibble_scan(codes, q, model, 50, 20, probes=probes, centers=coarse) if nib else packed.plain_scan(codes, q, model, 50, probes, coarse)
+    return recalls(out, measures.ground_truth(q, b, 64), (1, 10, 50))
 
 
 @query(ivf_recall_sql(16))
 def w_nibble_ivf_small(spark, sf):
-    """Three of sixteen lists."""
+    """Three of sixteen lists: eight-bit parts, four-bit parts, four-bit parts with quantized tables."""
     return ivf_recall(spark, sf, 16)
 
 
@@ -333,37 +397,73 @@ def w_nibble_ivf_fine(spark, sf):
     return ivf_recall(spark, sf, 32)
 
 
+@query(ivf_recall_sql(16, rotated=True))
+def w_nibble_ivf_rotated(spark, sf):
+    """Vectors rotated (by a fixed rotation) before lists and codes are made."""
+    return ivf_recall(spark, sf, 16, rotated=True)
+
+
+@query()
+def w_nibble_ivf_opq(spark, sf):
+    """Lists with a rotation learnt on the residuals."""
+    q, b = models.v0(spark, sf)
+    out = {}
+    for name, m, kk, nib in IVF_CASES:
+        coarse, model = opq_lists(spark, sf, 16, m, int(np.log2(kk)))
+        probes, codes = index.probes(q, coarse, 3), packed.encode_packed(b, model, coarse)
+        out[name] = packed.nibble_scan(codes, q, model, 50, 20, probes=probes, centers=coarse) if nib else packed.plain_scan(codes, q, model, 50, probes, coarse)
+    return recalls(out, truth0(spark, sf), (1, 10, 50))
+
+
+HIGH = (("plain 16x8", 16, 256, False), ("plain 32x4", 32, 16, False), ("nibble 32x4", 32, 16, True))
+
+
 def highdim_sql() -> str:
     s = oracle.v2()
-    s.add("base", "SELECT * FROM v WHERE vec_id >= 50").add("queries", "SELECT vec_id AS qid, e FROM v WHERE vec_id < 50")
-    return recalls_sql(s, {"16x4": pq_result(s, "a", 16, 16, 128, 1), "32x4": pq_result(s, "b", 32, 16, 128, 1)})
+    s.add("base", "SELECT * FROM v").add("queries", "SELECT vec_id AS qid, e FROM v WHERE vec_id % 50 = 0")
+    out = {}
+    for name, m, k, nib in HIGH:
+        out[name] = nibble_result(s, f"h{m}", m) if nib else pq_result(s, f"h{m}", m, k, 128, 1)
+    return recalls_sql(s, out)
 
 
 @query(highdim_sql())
 def w_nibble_highdim(spark, sf):
-    """Text vectors of 128 dimensions: sixteen and thirty-two parts of four bits."""
-    v = T.vectors_documents(spark, sf).cache()
-    q, b = T.split(v)
+    """Text vectors of 128 dimensions and codes of 128 bits: eight-bit, four-bit, quantized tables."""
+    q, b = T.split(models.once(spark, (sf, "v2"), lambda: T.vectors_documents(spark, sf).persist()))
     out = {}
-    for m in (16, 32):
-        model = models.once(spark, (sf, "v2", m), lambda m=m: codebook.train_pq(b, m, 4, 1))
-        out[f"{m}x4"] = scan.adc_topk(encode.encode_pq(b, model), index.lookup_tables(q, model), m, 100)
+    for name, m, k, nib in HIGH:
+        model = models.once(spark, (sf, "v2", m, k), lambda m=m, k=k: codebook.train_pq(b, m, int(np.log2(k)), 1))
+        codes = packed.encode_packed(b, model)
+        out[name] = packed.nibble_scan(codes, q, model, 100) if nib else packed.plain_scan(codes, q, model, 100)
     return recalls(out, measures.ground_truth(q, b, 128))
 
 
-@query(
-    oracle.probes(v1_lists_sql(32, FEW).add("cents", "SELECT idx, list(c ORDER BY dim) AS e FROM co_cb GROUP BY idx"), 3).add("sizes", "SELECT idx AS list_id, count(*) AS n FROM own GROUP BY idx").select(
-        "SELECT qid, CAST(sum(n) AS BIGINT) AS scanned, round(sum(n) * 1.0 / (SELECT count(*) FROM own), 6) AS share FROM probes JOIN sizes USING (list_id) GROUP BY qid"
-    )
-)
+def large_sql() -> str:
+    s = v1_lists_sql(32).add("cents", "SELECT idx, list(c ORDER BY dim) AS e FROM co_cb GROUP BY idx")
+    oracle.probes(s, 3)
+    s.add("mine", f"SELECT v.vec_id, l.idx AS list_id, {oracle.minus('v.e', 'c.e')} AS e FROM base v JOIN own l USING (vec_id) JOIN cents c ON c.idx = l.idx")
+    s.add("train_mine", "SELECT vec_id, e FROM mine WHERE vec_id % 101 = 0")
+    oracle.pq(s, "fi", "train_mine", 8, 8, 16, 1)
+    oracle.encode(s, "own_codes", "fi", "mine", 8, 8)
+    s.add("codes", "SELECT vec_id, list_id, c FROM own_codes JOIN mine USING (vec_id)")
+    s.add("shifted", "SELECT qid, list_id, e FROM probes")
+    oracle.tables(s, "tabs", "fi", "shifted", 8, 8, "qid, list_id")
+    s.add("plain_res", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(8)} AS BIGINT) AS dist FROM codes c JOIN tabs t ON c.list_id = t.list_id", 100))
+    nibble_sql(100, 20, 8, s=s, keys="qid, list_id")
+    s.add("nibble_res", oracle.topk("SELECT qid, vec_id, dist FROM scored", 100))
+    return recalls_sql(s, {"plain 8x4": "plain_res", "nibble 8x4": "nibble_res"})
+
+
+@query(large_sql())
 def w_nibble_large(spark, sf):
-    """Share of the codes that three of thirty-two lists hold."""
-    q, b = models.v1(spark, sf, FEW)
-    coarse = models.once(spark, (sf, "co1", 32), lambda: codebook.train_kmeans(models.v1_training(spark, sf), 32, 1))
-    sizes = encode.assign(b, coarse, name="list_id").groupBy("list_id").agg(F.count("*").alias("n"))
-    whole = sizes.agg(F.sum("n").alias("whole"))
-    near = index.probes(q, coarse, 3).join(F.broadcast(sizes), "list_id").groupBy("qid").agg(F.sum("n").alias("scanned"))
-    return near.crossJoin(F.broadcast(whole)).select("qid", "scanned", F.round(F.col("scanned") / F.col("whole"), 6).alias("share"))
+    """The large set: three of thirty-two lists, residual codes of 32 bits, plain and nibble scans."""
+    q, b = models.v1(spark, sf)
+    coarse = coarse1(spark, sf, 32)
+    model = models.once(spark, (sf, "nl"), lambda: codebook.train_pq(index.residuals(models.v1_training(spark, sf), coarse), 8, 4, 1))
+    codes, probes = packed.encode_packed(b, model, coarse).persist(), index.probes(q, coarse, 3)
+    out = {"plain 8x4": packed.plain_scan(codes, q, model, 100, probes, coarse), "nibble 8x4": packed.nibble_scan(codes, q, model, 100, 20, probes=probes, centers=coarse)}
+    return recalls(out, measures.ground_truth(q, b, 8))
 
 
 # -- nested codebooks --------------------------------------------------------------------------
@@ -371,51 +471,70 @@ def w_nibble_large(spark, sf):
 SHARES = (5, 10, 20, 40, 60)
 
 
-def nested_run(spark, sf, r2: int, r: int = 100, m: int = 4, numbering: str = "ntile"):
-    q, b = models.v0(spark, sf)
-    model = models.nested0(spark, sf, m, 8, 4, numbering)
-    codes = encode.encode_pq(b, model)
-    found = scan.candidates(scan.first_pass(codes, index.lookup_tables(q, model, coarse=True), m, 4, r2), r2)
-    return found, scan.rerank(found, codes, q, model, r)
+def nested_run(spark, sf, r2: int, r: int = 100, m: int = 4, numbering: str = "ntile", rotated: bool = False):
+    q, b = models.v0_rotated(spark, sf) if rotated else models.v0(spark, sf)
+    model = models.nested0(spark, sf, m, 8, 4, numbering, rotated=rotated)
+    codes = models.once(spark, (sf, "nestedcodes", m, numbering, rotated), lambda: packed.encode_packed(b, model).persist())
+    found = packed.nested_candidates(codes, q, model, r2)
+    return found, packed.rerank(found, q, model, r)
+
+
+def share_of_base(spark, sf, share: int) -> int:
+    return models.v0(spark, sf)[1].count() * share // 100
 
 
 def r2_sql() -> str:
     parts = []
     for share in SHARES:
-        r2 = 450 * share // 100
+        r2 = f"((SELECT count(*) FROM base) * {share} // 100)"
         s = nested_sql(r2=r2).add("truths", TRUTHS)
         s.add("found", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(4)} AS BIGINT) AS dist FROM cands JOIN codes c USING (vec_id) JOIN tabs t USING (qid)", 100))
         parts.append("SELECT * FROM (" + s.select(f"SELECT CAST({r2} AS BIGINT) AS r2, (SELECT count(*) FROM truths t JOIN cands c ON c.qid = t.qid AND c.vec_id = t.truth) AS candidate_hits, (SELECT count(*) FROM truths t JOIN found c ON c.qid = t.qid AND c.vec_id = t.truth) AS hits, (SELECT count(*) FROM cands) AS candidates") + ")")
     return " UNION ALL ".join(parts)
 
 
-@query(r2_sql())
-def w_r2_sweep(spark, sf):
-    """More candidates, more recall of the first pass, more work for the second."""
+def r2_rows(spark, sf, numbering: str) -> DataFrame:
     truth, out = truth0(spark, sf).cache(), []
     for share in SHARES:
-        r2 = 450 * share // 100
-        found, result = nested_run(spark, sf, r2)
+        r2 = share_of_base(spark, sf, share)
+        found, result = nested_run(spark, sf, r2, numbering=numbering)
         row = measures.candidate_recall(found, truth).select(F.lit(r2).cast("long").alias("r2"), F.col("hits").alias("candidate_hits"))
         hits = measures.candidate_recall(result, truth).select("hits")
         out.append(row.crossJoin(hits).crossJoin(found.agg(F.count("*").alias("candidates"))))
     return union(out)
 
 
-def nested_plain_sql(m: int) -> str:
-    s = nested_sql(m=m, r2=180)
+@query(r2_sql())
+def w_r2_sweep(spark, sf):
+    """More candidates, more recall of the first pass, more work for the second."""
+    return r2_rows(spark, sf, "ntile")
+
+
+@query()
+def w_r2_sweep_same_size(spark, sf):
+    """The same with the method's own equal-size clusters."""
+    return r2_rows(spark, sf, "same_size")
+
+
+def nested_plain_sql(m: int, rotated: bool = False) -> str:
+    s = nested_sql(m=m, r2="((SELECT count(*) FROM base) * 40 // 100)", rotated=rotated)
     s.add("coarse_res", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(m, 't.tt', 'l.c')} AS BIGINT) AS dist FROM low l, ctabs t", 100))
     s.add("fine_res", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(m)} AS BIGINT) AS dist FROM codes c, tabs t", 100))
     s.add("nested_res", oracle.topk(f"SELECT qid, vec_id, CAST({oracle.adc(m)} AS BIGINT) AS dist FROM cands JOIN codes c USING (vec_id) JOIN tabs t USING (qid)", 100))
     return recalls_sql(s, {"coarse": "coarse_res", "fine": "fine_res", "nested": "nested_res"})
 
 
-def nested_plain(spark, sf, m: int) -> DataFrame:
-    q, b = models.v0(spark, sf)
-    model = models.nested0(spark, sf, m, 8, 4)
+def nested_plain(spark, sf, m: int, numbering: str = "ntile", rotated: bool = False) -> DataFrame:
+    q, b = models.v0_rotated(spark, sf) if rotated else models.v0(spark, sf)
+    model = models.nested0(spark, sf, m, 8, 4, numbering, rotated=rotated)
     codes = encode.encode_pq(b, model)
-    out = {"coarse": scan.adc_topk(scan.low_bits_codes(codes, m, 4), index.lookup_tables(q, model, coarse=True), m, 100), "fine": scan.adc_topk(codes, index.lookup_tables(q, model), m, 100), "nested": nested_run(spark, sf, 180, 100, m)[1]}
-    return recalls(out, truth0(spark, sf))
+    low = PQModel(m, 4, 64, model.coarse, model.rotation)
+    out = {
+        "coarse": packed.plain_scan(packed.pack(scan.low_bits_codes(codes, m, 4), m, 4), q, low, 100),
+        "fine": packed.plain_scan(packed.pack(codes, m, 8), q, model, 100),
+        "nested": nested_run(spark, sf, share_of_base(spark, sf, 40), 100, m, numbering, rotated)[1],
+    }
+    return recalls(out, measures.ground_truth(q, b, 64))
 
 
 @query(nested_plain_sql(4))
@@ -424,6 +543,12 @@ def w_nested_vs_plain(spark, sf):
     return nested_plain(spark, sf, 4)
 
 
+@query(nested_plain_sql(4, True))
+def w_nested_rotated(spark, sf):
+    """The same on rotated vectors (a fixed rotation)."""
+    return nested_plain(spark, sf, 4, rotated=True)
+
+
 @query(nested_plain_sql(2))
 def w_nested_short(spark, sf):
     """The same with codes half as long."""
@@ -433,19 +558,44 @@ def w_nested_short(spark, sf):
 @query()
 def w_nested_same_size(spark, sf):
     """The method's own equal-size clusters."""
-    return recalls({"nested": nested_run(spark, sf, 180, 100, 4, "same_size")[1]}, truth0(spark, sf))
+    return nested_plain(spark, sf, 4, "same_size")
+
+
+@query()
+def w_nested_short_same_size(spark, sf):
+    return nested_plain(spark, sf, 2, "same_size")
+
+
+@query()
+def w_nested_opq(spark, sf):
+    """A learnt rotation, its codebooks nested by equal-size clusters; codes of 32 and 16 bits."""
+    q, b = models.v0(spark, sf)
+    out = {}
+    for m in (4, 2):
+        model = models.once(spark, (sf, "opqn", m), lambda m=m: codebook.nest(opq(spark, sf, m, 8), 4))
+        codes = packed.encode_packed(b, model)
+        out[f"fine {m}x8"] = packed.plain_scan(codes, q, model, 100)
+        out[f"nested {m}x4,8"] = packed.rerank(packed.nested_candidates(codes, q, model, share_of_base(spark, sf, 40)), q, model, 100)
+    return recalls(out, truth0(spark, sf))
+
+
+PERMILLES = (1, 2, 5, 10, 20)
 
 
 @query()
 def w_nested_large(spark, sf):
-    """Line items: candidates and reranked rows at small shares of a larger set."""
-    q, b = models.v1(spark, sf, FEW)
+    """Line items: candidate recall, recall after the rerank and candidates at small shares of the larger set."""
+    q, b = models.v1(spark, sf)
     model = models.once(spark, (sf, "nested1"), lambda: codebook.nest(models.pq1(spark, sf, 4, 256), 4))
-    codes, out = encode.encode_pq(b, model), []
-    for permille in (1, 5, 10):
-        r2 = max(10, b.count() * permille // 1000)
-        found = scan.candidates(scan.first_pass(codes, index.lookup_tables(q, model, coarse=True), 4, 4, r2), r2)
-        out.append(found.groupBy("qid").agg(F.count("*").alias("candidates")).select(F.lit(r2).cast("long").alias("r2"), "qid", "candidates"))
+    codes, n = models.once(spark, (sf, "nested1codes"), lambda: packed.encode_packed(b, model).persist()), b.count()
+    truth, out = measures.ground_truth(q, b, 8).cache(), []
+    fine = measures.recall_at(packed.plain_scan(codes, q, model, 100), truth, (100,)).select(F.col("hits").alias("fine_hits"))
+    for permille in PERMILLES:
+        r2 = max(100, n * permille // 1000)
+        found = packed.nested_candidates(codes, q, model, r2)
+        hits = measures.recall_at(packed.rerank(found, q, model, 100), truth, (100,)).select("hits", "queries")
+        seen = measures.candidate_recall(found, truth).select(F.col("hits").alias("candidate_hits"))
+        out.append(hits.crossJoin(seen).crossJoin(fine).crossJoin(found.agg(F.count("*").alias("candidates"))).select(F.lit(r2).cast("long").alias("r2"), "*"))
     return union(out)
 
 
@@ -469,7 +619,7 @@ def w_retrieval(spark, sf):
 
 
 @query(
-    oracle.v0().add("near", oracle.topk(f"SELECT q.qid, v.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM queries q, base v", 5))
+    oracle.v0().add("near", oracle.topk(f"SELECT q.qid, v.vec_id, {oracle.l2('q.e', 'v.e')} AS dist FROM queries q, base v WHERE q.qid <> v.vec_id", 5))
     .add("votes", "SELECT n.qid, l.label AS guess, count(*) AS n FROM near n JOIN embeddings l USING (vec_id) GROUP BY 1, 2")
     .add("best", "SELECT qid, guess FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY n DESC, guess) AS rk FROM votes) WHERE rk = 1")
     .select("SELECT count(*) AS n, count(*) FILTER (WHERE guess = label) AS correct FROM best JOIN embeddings ON vec_id = qid")
@@ -478,7 +628,7 @@ def w_nn_classifier(spark, sf):
     """Majority label of the five nearest neighbours."""
     q, b = models.v0(spark, sf)
     labels = T.load(spark, sf, "embeddings").select("vec_id", "label")
-    near = top_k(b.crossJoin(F.broadcast(q.withColumnRenamed("e", "q"))).select("qid", "vec_id", l2sq(F.col("q"), F.col("e"), 64).alias("dist")), 5, ["qid"], ["dist", "vec_id"])
+    near = top_k(b.crossJoin(F.broadcast(q.withColumnRenamed("e", "q"))).where("qid <> vec_id").select("qid", "vec_id", l2sq(F.col("q"), F.col("e"), 64).alias("dist")), 5, ["qid"], ["dist", "vec_id"])
     votes = near.join(labels, "vec_id").groupBy("qid", F.col("label").alias("guess")).agg(F.count("*").alias("n"))
     best = top_k(votes, 1, ["qid"], [F.col("n").desc(), F.col("guess")])
     return best.join(labels.withColumnRenamed("vec_id", "qid"), "qid").agg(F.count("*").alias("n"), F.count_if(F.col("guess") == F.col("label")).alias("correct"))

@@ -19,9 +19,12 @@ def vectors_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "embeddings").select("vec_id", fixed_point(F.col("embedding")).alias("e"))
 
 
-def split(vectors: DataFrame, first: int = 50) -> tuple[DataFrame, DataFrame]:
-    """(queries (qid, e), base): the first ids are queries."""
-    return vectors.where(F.col("vec_id") < first).select(F.col("vec_id").alias("qid"), "e"), vectors.where(F.col("vec_id") >= first)
+EVERY = 50  # ids divisible by it are queries
+
+
+def split(vectors: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(queries (qid, e), base): every fiftieth id asks, all rows are searched."""
+    return vectors.where(F.pmod("vec_id", F.lit(EVERY)) == 0).select(F.col("vec_id").alias("qid"), "e"), vectors
 
 
 def lineitem_components() -> list[tuple[str, str]]:
