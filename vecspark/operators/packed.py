@@ -416,6 +416,45 @@ class GroupedBlock:
         self.rest = words_of(high[:, g:], 8 - low_bits) if g < block.m else np.zeros((0, block.n), np.intp)
 
 
+def scan_groups(block: Block, runs: GroupedBlock, t: np.ndarray, best: Best, g: int, low_bits: int, model: PQModel, tally: np.ndarray | None = None) -> None:
+    """The three sieves of the bounded scan for one query and block; ``tally`` counts what each leaves."""
+    width, portions = 1 << low_bits, 1 << (8 - low_bits)
+    if best.top is None:  # no threshold yet: the first rows give one
+        best.offer(distances(t, block, 0, block.n, model.b), block.ids)
+        return
+    least = t.reshape(model.m, portions, width).min(axis=2)
+    floor = least[g:].min(axis=1).sum() if g < model.m else 0
+    bound = np.zeros(len(runs.first), t.dtype)
+    for j in range(g):
+        bound += least[j].take(runs.high[:, j])
+    kept = np.flatnonzero(bound + floor <= best.top)
+    tally = np.zeros(5, np.int64) if tally is None else tally
+    tally += (block.n, len(runs.first), len(kept), 0, 0)
+    if not len(kept):
+        return
+    size = runs.size[kept]
+    rows = np.repeat(runs.first[kept] - (np.cumsum(size) - size), size) + np.arange(size.sum())
+    tally[3] += len(rows)
+    if len(runs.rest):
+        room = int(best.top) + 1 - int(bound[kept].min()) - int(floor) if t.dtype.kind == "i" else float(best.top - bound[kept].min() - floor)
+        step = max(room, 1) / 127 if t.dtype.kind != "i" else max(1, -(-room // 127))
+        bins = np.minimum((least[g:] - least[g:].min(axis=1)[:, None]) // step, 127).astype(np.uint16)
+        small = word_tables(bins, 8 - low_bits)
+        low_sum = summed(small, runs.rest, rows)
+        spare = (best.top - floor - np.repeat(bound[kept], size)) // step
+        rows = rows[low_sum <= spare]
+    tally[4] += len(rows)
+    if len(rows):
+        if len(rows) >= PAIRED_ROWS:
+            d = summed(word_tables(t, model.b), block.words, rows)
+        else:
+            c = block.codes[rows]
+            d = t[0].take(c[:, 0])
+            for j in range(1, block.m):
+                d += t[j].take(c[:, j])
+        best.offer(d, block.ids[rows])
+
+
 def bounded_scan(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, g: int, tops: dict | None = None, low_bits: int = 4, stats: bool = False) -> DataFrame:
     """Exactly the plain scan's rows, from codes in the layout of ``grouped``.
 
@@ -425,7 +464,6 @@ def bounded_scan(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, g
     from a prefix's (``tops``) and falls as a task finds nearer codes. ``stats`` gives (qid, codes, groups,
     groups_kept, bounded, summed) instead.
     """
-    width, portions = 1 << low_bits, 1 << (8 - low_bits)
 
     def make(counted: dict[int, np.ndarray] | None = None):
         state: dict = {"block": None, "own": None}
@@ -434,41 +472,8 @@ def bounded_scan(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, g
             if state["block"] is not block:
                 state["block"], state["own"] = block, GroupedBlock(block, g, low_bits)
             runs: GroupedBlock = state["own"]
-            t = narrow(_tables(model, own, i, lst))
-            if best.top is None:  # no threshold yet: the first rows give one
-                best.offer(distances(t, block, 0, block.n, model.b), block.ids)
-                return
-            least = t.reshape(model.m, portions, width).min(axis=2)
-            floor = least[g:].min(axis=1).sum() if g < model.m else 0
-            bound = np.zeros(len(runs.first), t.dtype)
-            for j in range(g):
-                bound += least[j].take(runs.high[:, j])
-            kept = np.flatnonzero(bound + floor <= best.top)
-            tally = np.zeros(5, np.int64) if counted is None else counted.setdefault(i, np.zeros(5, np.int64))
-            tally += (block.n, len(runs.first), len(kept), 0, 0)
-            if not len(kept):
-                return
-            size = runs.size[kept]
-            rows = np.repeat(runs.first[kept] - (np.cumsum(size) - size), size) + np.arange(size.sum())
-            tally[3] += len(rows)
-            if len(runs.rest):
-                room = int(best.top) + 1 - int(bound[kept].min()) - int(floor) if t.dtype.kind == "i" else float(best.top - bound[kept].min() - floor)
-                step = max(room, 1) / 127 if t.dtype.kind != "i" else max(1, -(-room // 127))
-                bins = np.minimum((least[g:] - least[g:].min(axis=1)[:, None]) // step, 127).astype(np.uint16)
-                small = word_tables(bins, 8 - low_bits)
-                low_sum = summed(small, runs.rest, rows)
-                spare = (best.top - floor - np.repeat(bound[kept], size)) // step
-                rows = rows[low_sum <= spare]
-            tally[4] += len(rows)
-            if len(rows):
-                if len(rows) >= PAIRED_ROWS:
-                    d = summed(word_tables(t, model.b), block.words, rows)
-                else:
-                    c = block.codes[rows]
-                    d = t[0].take(c[:, 0])
-                    for j in range(1, block.m):
-                        d += t[j].take(c[:, j])
-                best.offer(d, block.ids[rows])
+            tally = None if counted is None else counted.setdefault(i, np.zeros(5, np.int64))
+            scan_groups(block, runs, narrow(_tables(model, own, i, lst)), best, g, low_bits, model, tally)
 
         return each
 
@@ -664,6 +669,7 @@ def nested_candidates(codes: DataFrame, queries: DataFrame, model: PQModel, r2:
         out = part if out is None else out.unionByName(part)
     from vecspark.operators.scan import capped_buckets
 
+    out = out.persist()  # read for the histogram and again for its codes
     return out.join(F.broadcast(capped_buckets(out, r2)), "qid").where("bucket <= cutoff").drop("cutoff")
 
 

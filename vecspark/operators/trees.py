@@ -26,11 +26,13 @@ class KdTree:
     nodes: dict[int, tuple[int, float]]  # node -> (dimension, threshold)
 
     def leaf_of(self, x: np.ndarray) -> np.ndarray:
-        at = np.ones(len(x), np.int64)
+        dims, cuts = np.zeros(1 << self.depth, np.int64), np.full(1 << self.depth, -np.inf)
+        for i, (dim, cut) in self.nodes.items():
+            if i < len(dims):
+                dims[i], cuts[i] = dim, cut
+        at, rows = np.ones(len(x), np.int64), np.arange(len(x))
         for _ in range(self.depth):
-            dims = np.array([self.nodes.get(i, (0, -np.inf))[0] for i in at])
-            cuts = np.array([self.nodes.get(i, (0, -np.inf))[1] for i in at])
-            at = at * 2 + (x[np.arange(len(x)), dims] >= cuts)
+            at = at * 2 + (x[rows, dims[at]] >= cuts[at])
         return at
 
     def boxes(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -61,13 +63,13 @@ def kdtree_build(vectors: DataFrame, d: int, depth: int, pick: Callable[[int], i
     tree = KdTree(0, d, {})
     for level in range(depth):
         placed = with_leaf(vectors, tree)
-        names = [f"x{i}" for i in range(d)]
-        flat = placed.select("leaf", *[F.col("e")[i].cast("double").alias(n) for i, n in enumerate(names)])
-        stats = flat.groupBy("leaf").agg(F.count("*").alias("n"), *[F.sum(n).alias(f"s{i}") for i, n in enumerate(names)], *[F.sum(F.col(n) * F.col(n)).alias(f"q{i}") for i, n in enumerate(names)])
+        moments: dict[int, np.ndarray] = {}
+        for r in leaf_moments(vectors, tree).groupBy("leaf", "dim").agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.sum("q").alias("q")).collect():
+            moments.setdefault(r["leaf"], np.zeros((3, d)))[:, r["dim"]] = r["n"], r["s"], r["q"]
         split = {}
-        for r in stats.collect():
-            spread = [r["n"] * r[f"q{i}"] - r[f"s{i}"] ** 2 for i in range(d)]
-            split[r["leaf"]] = sorted(range(d), key=lambda i: (-spread[i], i))[pick(r["leaf"])]
+        for leaf, (n, sums, squares) in moments.items():
+            spread = n * squares - sums**2
+            split[leaf] = int(np.lexsort((np.arange(d), -spread))[pick(leaf)])
         chosen = F.element_at(F.create_map(*[F.lit(v) for kv in split.items() for v in kv]), F.col("leaf").cast("int"))
         value = placed.select("leaf", F.get("e", chosen).alias("x"))
         median = F.percentile_approx("x", 0.5, 10_000) if approximate else F.expr("percentile_disc(0.5) within group (order by x)")
@@ -77,6 +79,24 @@ def kdtree_build(vectors: DataFrame, d: int, depth: int, pick: Callable[[int], i
     return tree
 
 
+def leaf_moments(vectors: DataFrame, tree: KdTree) -> DataFrame:
+    """(leaf, dim, n, s, q): counts, sums and sums of squares of each batch's rows."""
+
+    def make():
+        def each(batch):
+            x = matrix(batch)
+            leaf = tree.leaf_of(x)
+            own = np.unique(leaf)
+            d = x.shape[1]
+            sums = [np.stack([values[leaf == i].sum(axis=0) for i in own]) for values in (x, x * x)]
+            n = np.repeat([np.count_nonzero(leaf == i) for i in own], d)
+            return {"leaf": np.repeat(own, d), "dim": np.tile(np.arange(d), len(own)), "n": n, "s": sums[0].ravel(), "q": sums[1].ravel()}
+
+        return each
+
+    return map_batches(vectors.select("e"), make, "leaf long, dim long, n long, s double, q double")
+
+
 def with_leaf(vectors: DataFrame, tree: KdTree, key: str = "vec_id") -> DataFrame:
     """(key, e, leaf); map-only."""
     kind = dict(vectors.dtypes)["e"].replace("bigint", "long")

@@ -48,8 +48,9 @@ def squared(x: np.ndarray, centroids: np.ndarray) -> np.ndarray:
     return (x * x).sum(axis=1)[:, None] - 2 * (x @ c.T) + (c * c).sum(axis=1)
 
 
-def nearest(x: np.ndarray, centroids: np.ndarray, tile: int = 4096) -> np.ndarray:
-    """Index of the nearest centroid of each row, the least index on ties; in tiles of rows."""
+def nearest(x: np.ndarray, centroids: np.ndarray) -> np.ndarray:
+    """Index of the nearest centroid of each row, the least index on ties; in tiles of at most 32 MB."""
+    tile = max(16, (1 << 22) // max(1, len(centroids)))
     return np.concatenate([squared(x[i : i + tile], centroids).argmin(axis=1) for i in range(0, len(x), tile)]) if len(x) else np.zeros(0, np.int64)
 
 

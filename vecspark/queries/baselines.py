@@ -169,17 +169,31 @@ def q_kmtree_priority(spark, sf):
 
 @query()
 def q_auto_select(spark, sf):
-    """Recall and costs of forest and k-means tree on a sample, and the configuration chosen."""
+    """Recall, seconds and bytes of forest and k-means tree as measured here, and the configuration chosen."""
+    import pickle
+    import time
+
     q, b = models.v0(spark, sf)
-    truth, n = measures.ground_truth(q, b, D).cache(), b.count()
-    runs = [(f"kd-{x}", trees.kdtree_knn(trees.with_leaf(b, tree0(spark, sf)), q, tree0(spark, sf), 10, x), x / 8) for x in (1, 4)]
-    runs += [(f"kmeans-{x}", trees.kmeans_tree_knn(b, q, vtree(spark, sf), 10, x, D), x / 16) for x in (2, 8)]
+    truth = measures.ground_truth(q, b, D).cache()
+
+    def timed(run):
+        start = time.perf_counter()
+        out = run()
+        return out, time.perf_counter() - start
+
+    built = {"kd": timed(lambda: trees.kdtree_build(b, D, 3)), "kmeans": timed(lambda: trees.kmeans_tree(b, 4))}
     measured = []
-    for name, result, share in runs:
-        r = measures.recall_at(result, truth, (10,)).first()
-        measured.append((name, r["recall"], share * n, 7.0 * 16 if name[:2] == "kd" else 20.0 * 8 * D, n * (3.0 if name[:2] == "kd" else 8.0)))
+    for name, cells in (("kd", 1), ("kd", 4), ("kmeans", 2), ("kmeans", 8)):
+        tree, build = built[name]
+
+        def search(name=name, tree=tree, cells=cells):
+            found = trees.kdtree_knn(trees.with_leaf(b, tree), q, tree, 10, cells) if name == "kd" else trees.kmeans_tree_knn(b, q, tree, 10, cells, D)
+            return measures.recall_at(found, truth, (10,)).first()["recall"]
+
+        recall, seconds = timed(search)
+        measured.append((f"{name}-{cells}", recall, seconds, float(len(pickle.dumps(tree))), build))
     best = trees.auto_select(measured, 0.5, 1.0, 0.01, 0.01)
-    return spark.createDataFrame([(*m, m[0] == best) for m in measured], "name string, recall double, search double, bytes double, build double, chosen boolean")
+    return spark.createDataFrame([(*m, m[0] == best) for m in measured], "name string, recall double, search_seconds double, bytes double, build_seconds double, chosen boolean")
 
 
 # -- bags of features --------------------------------------------------------------------------

@@ -394,8 +394,8 @@ def q_scan_fraction(spark, sf):
     return index.probes(q, ivf.coarse, 2).join(F.broadcast(sizes), "list_id").groupBy("qid").agg(F.sum("n").alias("scanned")).crossJoin(F.broadcast(n)).select("qid", "scanned", F.round(F.col("scanned").cast("double") / F.col("whole"), 6).alias("share"))
 
 
-def imi_sql(budget: int | None = None) -> Sql:
-    s = oracle.pq(oracle.v0(), "h", "base", 64, 2, 4, 3)
+def imi_sql(budget: int | None = None, rotated: bool = False) -> Sql:
+    s = oracle.pq(oracle.v0(rotated), "h", "base", 64, 2, 4, 3)
     oracle.encode(s, "cells", "h", "base", 64, 2)
     if budget is not None:
         oracle.tables(s, "ht", "h", "queries", 64, 2)
@@ -423,8 +423,8 @@ def q_cells_explored(spark, sf):
     return q_imi_sequence(spark, sf).groupBy("qid").agg(F.count("*").alias("cells"), F.max("before").alias("before_last"))
 
 
-def imi_full_sql(budget: int) -> Sql:
-    s = imi_sql(budget)
+def imi_full_sql(budget: int, rotated: bool = False) -> Sql:
+    s = imi_sql(budget, rotated)
     s.add("hv", "SELECT part, idx, list(c ORDER BY dim) AS e FROM h_cb GROUP BY part, idx")
     s.add("centers", "SELECT a.idx * 4 + b.idx AS list_id, list_concat(a.e, b.e) AS ce FROM hv a JOIN hv b ON a.part = 0 AND b.part = 1")
     s.add("own", f"SELECT v.vec_id, x.list_id, {oracle.minus('v.e', 'x.ce')} AS e FROM base v JOIN cells c USING (vec_id) JOIN centers x ON x.list_id = c.c[1] * 4 + c.c[2]")

@@ -61,3 +61,30 @@ def export_neighbours(result: DataFrame, path: str, kind: str = "json") -> None:
         nested.write.mode("overwrite").json(path)
     else:
         result.write.mode("overwrite").option("header", True).csv(path)
+
+
+def scratch_path(spark: SparkSession) -> str:
+    """A folder of this session in the shared folder that the session names; of this machine where all
+    executors share its disk."""
+    import tempfile
+
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        root = f"{tempfile.gettempdir()}/checkpoints"
+    return f"{root.rstrip('/')}/vecspark-{spark.sparkContext.applicationId}"
+
+
+def write_vectors(vectors: DataFrame, path: str, kind: str) -> None:
+    """(vec_id, e) in a text or columnar format; CSV, which has no arrays, gets joined numbers."""
+    frame = vectors.select("vec_id", "e")
+    if kind == "csv":
+        frame = frame.select("vec_id", F.array_join(F.transform("e", lambda x: x.cast("string")), " ").alias("e"))
+    frame.write.mode("overwrite").format(kind).save(path)
+
+
+def read_vectors(spark: SparkSession, path: str, kind: str, number: str = "long") -> DataFrame:
+    if kind == "csv":
+        return spark.read.schema("vec_id long, e string").csv(path).select("vec_id", F.transform(F.split("e", " "), lambda x: x.cast(number)).alias("e"))
+    return spark.read.schema(f"vec_id long, e array<{number}>").format(kind).load(path)
