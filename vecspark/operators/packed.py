@@ -142,9 +142,21 @@ class Batch:
     probes: list[np.ndarray] | None = None  # list ids of each query
     centers: np.ndarray | None = None  # subtracted from a query before its tables are made
 
-    def shifted(self, i: int, lists: np.ndarray) -> np.ndarray:
-        x = np.repeat(self.x[i : i + 1], len(lists), axis=0)
-        return x if self.centers is None else x - self.centers[lists]
+    def tables(self, model: PQModel, i: int, lst: int | None) -> np.ndarray:
+        """Tables of a query (less a list's centre): made for a run of queries, or for all lists of one, at once."""
+        listed = lst is not None and self.centers is not None
+        key = (id(model), i if listed else i // CHUNK, listed)
+        if getattr(self, "_key", None) != key:
+            if listed:
+                x, self._row = self.x[i : i + 1] - self.centers[self.probes[i]], {int(p): n for n, p in enumerate(self.probes[i])}
+            else:
+                x = self.x[i // CHUNK * CHUNK : (i // CHUNK + 1) * CHUNK]
+            t = model.tables(x)
+            self._key, self._made = key, np.rint(t).astype(np.int64) if model.number == "long" else t
+        return self._made[self._row[lst] if listed else i % CHUNK]
+
+
+CHUNK = 64  # queries whose tables are made at once
 
 
 def batches_of(queries: DataFrame, probes: DataFrame | None = None, centers: np.ndarray | None = None, limit: int = BROADCAST_BYTES) -> Iterator[Batch]:
@@ -199,6 +211,19 @@ def word_tables(t: np.ndarray, b: int) -> list[np.ndarray]:
     return out
 
 
+def saturated_words(bins: np.ndarray, b: int, top: int) -> list[np.ndarray]:
+    """Tables of words of bins 0 .. top (127 at most), sums saturating at ``top``: a byte an entry."""
+    per, out, bins = max(1, WORD_BITS // b), [], bins.astype(np.uint8)
+    if bins.shape[1] < 1 << b:
+        bins = np.pad(bins, ((0, 0), (0, (1 << b) - bins.shape[1])))
+    for w in range(0, len(bins), per):
+        whole = bins[w]
+        for part in bins[w + 1 : w + per]:
+            whole = np.minimum(part[:, None] + whole[None, :], top).ravel()
+        out.append(whole)
+    return out
+
+
 def narrow(t: np.ndarray) -> np.ndarray:
     """Integer tables in four bytes where all sums fit."""
     if not np.issubdtype(t.dtype, np.integer):
@@ -228,6 +253,8 @@ class Best:
             d, ids = np.concatenate([self.d, d]), np.concatenate([self.ids, ids])
         kept = least_rows(d, ids, self.r)
         self.d, self.ids = d[kept], ids[kept]
+        if self.d.dtype == np.uint8:  # saturated sums
+            self.d = self.d.astype(np.int64)
         if len(kept) == self.r:
             last = self.d[-1]
             self.top = last if self.top is None else min(self.top, last)
@@ -328,9 +355,7 @@ def _probe(block: Block, own: Batch, best: Best, i: int, each) -> None:
 
 
 def _tables(model: PQModel, own: Batch, i: int, lst: int | None) -> np.ndarray:
-    x = own.x[i : i + 1] if lst is None or own.centers is None else own.x[i : i + 1] - own.centers[lst]
-    t = model.tables(x)[0]
-    return np.rint(t).astype(np.int64) if model.number == "long" else t
+    return own.tables(model, i, lst)
 
 
 PAIRED_ROWS = 1 << 14  # fewer codes do not repay tables of words
@@ -392,6 +417,11 @@ def grouped(codes: DataFrame, model: PQModel, g: int, low_bits: int = 4, keys: t
     return codes.mapInArrow(run, f"{fields}, grp long").repartitionByRange(*keys, "grp").sortWithinPartitions(*keys, "grp", "vec_id")
 
 
+def _gathered(head: DataFrame) -> DataFrame:
+    """Codes of a prefix in as few tasks as blocks hold them: a task makes every query's tables."""
+    return head.coalesce(max(1, -(-head.count() // (BLOCK_ROWS // 8))))
+
+
 def prefix_tops(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, share: float | None = 0.01, count: int | None = None) -> dict[int, float]:
     """The r-th distance of each query among the first ceil(share * n) codes by id (r at least). The prefix
     is a filter on ids, which stored codes push down to the scan."""
@@ -399,7 +429,7 @@ def prefix_tops(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, sh
     end = prefix_ends(codes, "vec_id", limit).first()
     if end is None:
         return {}
-    near = plain_scan(codes.where(F.col("vec_id") <= F.lit(end["_end"])), queries, model, r)
+    near = plain_scan(_gathered(codes.where(F.col("vec_id") <= F.lit(end["_end"]))), queries, model, r)
     return {row["qid"]: row["top"] for row in near.groupBy("qid").agg(F.max("dist").alias("top"), F.count("*").alias("n")).where(F.col("n") >= r).collect()}  # a row for each query of a batch
 
 
@@ -427,22 +457,34 @@ def scan_groups(block: Block, runs: GroupedBlock, t: np.ndarray, best: Best, g:
     bound = np.zeros(len(runs.first), t.dtype)
     for j in range(g):
         bound += least[j].take(runs.high[:, j])
-    kept = np.flatnonzero(bound + floor <= best.top)
+    near = bound + floor <= best.top
+    kept = np.flatnonzero(near)
     tally = np.zeros(5, np.int64) if tally is None else tally
     tally += (block.n, len(runs.first), len(kept), 0, 0)
     if not len(kept):
         return
     size = runs.size[kept]
-    rows = np.repeat(runs.first[kept] - (np.cumsum(size) - size), size) + np.arange(size.sum())
-    tally[3] += len(rows)
+    total = int(size.sum())
+    tally[3] += total
+    whole = 4 * total > block.n  # most groups are left: walking over all codes is cheaper than naming rows
+    rows = None if whole else np.repeat(runs.first[kept] - (np.cumsum(size) - size), size) + np.arange(total)
     if len(runs.rest):
-        room = int(best.top) + 1 - int(bound[kept].min()) - int(floor) if t.dtype.kind == "i" else float(best.top - bound[kept].min() - floor)
-        step = max(room, 1) / 127 if t.dtype.kind != "i" else max(1, -(-room // 127))
-        bins = np.minimum((least[g:] - least[g:].min(axis=1)[:, None]) // step, 127).astype(np.uint16)
-        small = word_tables(bins, 8 - low_bits)
-        low_sum = summed(small, runs.rest, rows)
-        spare = (best.top - floor - np.repeat(bound[kept], size)) // step
-        rows = rows[low_sum <= spare]
+        gap = best.top - floor - bound
+        room = gap[kept].max()
+        step = max(1, -(-(int(room) + 1) // 127)) if t.dtype.kind == "i" else max(float(room), 1e-9) / 126
+        bins = np.minimum((least[g:] - least[g:].min(axis=1)[:, None]) // step, 127)
+        spare = np.where(near, np.minimum(gap // step, 127), -1).astype(np.int16)
+        small = saturated_words(bins, 8 - low_bits, 127)
+        if len(small) == 1:
+            low_sum = small[0].take(runs.rest[0] if whole else runs.rest[0][rows])
+        else:
+            low_sum = summed([w.astype(np.uint16) for w in small], runs.rest, rows)
+        mine = np.repeat(spare, runs.size) if whole else np.repeat(spare[kept], size)
+        # A sum that saturated says no more than that it is 127 at least.
+        passed = np.flatnonzero(low_sum <= mine)
+        rows = passed if whole else rows[passed]
+    elif whole:
+        rows = np.flatnonzero(np.repeat(near, runs.size))
     tally[4] += len(rows)
     if len(rows):
         if len(rows) >= PAIRED_ROWS:
@@ -513,7 +555,7 @@ def bounded_counts(codes: DataFrame, queries: DataFrame, model: PQModel, r: int,
     minima for the others (``quant_only``: whole for all); codes of the prefix are never pruned."""
     limit = F.greatest(F.lit(r), F.ceil(F.col("_total") * F.lit(share))).cast("long")
     end = prefix_ends(codes, "vec_id", limit).first()["_end"]
-    near = plain_scan(codes.where(F.col("vec_id") <= F.lit(end)), queries, model, r)
+    near = plain_scan(_gathered(codes.where(F.col("vec_id") <= F.lit(end))), queries, model, r)
     tops = {row["qid"]: row["top"] for row in near.groupBy("qid").agg(F.max("dist").alias("top")).collect()}  # a row for each query
     m, width, out = model.m, 1 << low_bits, None
     for batch in batches_of(queries):
@@ -606,16 +648,18 @@ def _nibble_part(codes: DataFrame, batch: Batch, model: PQModel, r: int, bins: i
             top = shared.value.get((i, lst))
             if top is None:
                 return
-            q = quantized_tables(_tables(model, own, i, lst), top, bins).astype(np.uint16)
+            q = quantized_tables(_tables(model, own, i, lst), top, bins)
             if high - low >= PAIRED_ROWS:
-                tables = [np.minimum(w, bins).astype(np.uint8) for w in word_tables(q, model.b)]
-                acc = np.zeros(high - low, np.uint8 if len(tables) * bins < 256 else np.uint16)
-                for w, t in zip(block.words, tables, strict=True):
-                    acc += t.take(w[low:high])
+                acc = None
+                for w, t in zip(block.words, saturated_words(q, model.b, bins), strict=True):
+                    part = t.take(w[low:high])
+                    acc = part if acc is None else np.minimum(acc + part, np.uint8(bins))
             else:
                 c = from_bytes(block.raw[low:high], block.m, block.b)
-                acc = sum((q[j].take(c[:, j]) for j in range(1, block.m)), q[0].take(c[:, 0]))
-            best.offer(np.minimum(acc, bins).astype(np.int64), block.ids[low:high])
+                acc = q[0].take(c[:, 0])
+                for j in range(1, block.m):
+                    acc = np.minimum(acc + q[j].take(c[:, j]), np.uint8(bins))
+            best.offer(acc, block.ids[low:high])
 
         return each
 
