@@ -473,15 +473,17 @@ def scan_groups(block: Block, runs: GroupedBlock, t: np.ndarray, best: Best, g:
         room = gap[kept].max()
         step = max(1, -(-(int(room) + 1) // 127)) if t.dtype.kind == "i" else max(float(room), 1e-9) / 126
         bins = np.minimum((least[g:] - least[g:].min(axis=1)[:, None]) // step, 127)
-        spare = np.where(near, np.minimum(gap // step, 127), -1).astype(np.int16)
+        # One more than the bins that a code may still use: 0 for groups that are skipped, a byte each.
+        spare = np.where(near, np.minimum(np.floor(gap / step), 127) + 1, 0).astype(np.uint8)
         small = saturated_words(bins, 8 - low_bits, 127)
         if len(small) == 1:
             low_sum = small[0].take(runs.rest[0] if whole else runs.rest[0][rows])
         else:
-            low_sum = summed([w.astype(np.uint16) for w in small], runs.rest, rows)
+            wide = small if len(small) == 2 else [w.astype(np.uint16) for w in small]  # a byte holds two words
+            low_sum = np.minimum(summed(wide, runs.rest, rows), 127)
         mine = np.repeat(spare, runs.size) if whole else np.repeat(spare[kept], size)
         # A sum that saturated says no more than that it is 127 at least.
-        passed = np.flatnonzero(low_sum <= mine)
+        passed = np.flatnonzero(low_sum < mine)
         rows = passed if whole else rows[passed]
     elif whole:
         rows = np.flatnonzero(np.repeat(near, runs.size))
