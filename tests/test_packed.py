@@ -114,3 +114,34 @@ def test_queries_come_in_batches(spark):
     assert len(list(packed.batches_of(q, limit=100))) > 1
     assert packed.plain_scan(small, q.where("false"), model, 5).count() == 0
     assert packed.plain_scan(small.where("false"), q, model, 5).count() == 0
+
+
+@pytest.mark.parametrize("g,low_bits,known,number", [(3, 4, True, "long"), (3, 4, False, "long"), (0, 4, True, "long"), (2, 6, True, "double"), (8, 4, False, "double")])
+def test_products_of_small_tiles_find_what_sums_find(monkeypatch, g, low_bits, known, number):
+    """Kernels alone: thresholds merged often, tiles that begin within a group, runs of queries that are not full."""
+    import pyarrow as pa
+
+    monkeypatch.setattr(packed, "TILE", 64)
+    rng = np.random.default_rng(5)
+    x = np.clip(rng.normal(2048, 700, (3000, 8)), 0, 4095).astype(int)
+    model = random_model(x, 8, 8)
+    codes = model.encode(x.astype(float)).astype(np.uint8)
+    codes = codes[np.lexsort([codes[:, j] >> low_bits for j in reversed(range(max(1, g)))])]
+    block = packed.Block([pa.RecordBatch.from_arrays([pa.array(rng.permutation(3000)), packed.binary_array(codes)], names=["vec_id", "code"])], 8, 8)
+    own, want = packed.Batch(np.arange(70), x[:70].astype(float)), []
+    factor = 1 if number == "long" else 0.37
+    monkeypatch.setattr(packed.Batch, "run", lambda self, m, first: m.tables(self.x[first : first + packed.CHUNK]).astype(np.int64 if number == "long" else float) * factor)
+    tops = []
+    for i in range(70):
+        t = own.run(model, i // packed.CHUNK * packed.CHUNK)[i % packed.CHUNK]
+        best = packed.Best(7)
+        best.offer(sum(t[j].take(codes[:, j]) for j in range(8)), block.ids)
+        want.append(best)
+        tops.append(best.d[-1] * 1.5)
+    best = [packed.Best(7, tops[i] if known else None) for i in range(70)]
+    held, tally = packed.BoundedBlock(block, g, low_bits), np.zeros((70, 5), np.int64)
+    for first in range(0, 70, packed.CHUNK):
+        held.scan(own, model, first, best[first : first + packed.CHUNK], tally[first : first + packed.CHUNK])
+    for a, b in zip(best, want, strict=True):
+        assert a.ids.tolist() == b.ids.tolist() and np.allclose(a.d, b.d)
+    assert (tally[:, 0] == 3000).all() and (tally[:, 4] <= tally[:, 3]).all() and (tally[:, 2] <= tally[:, 1]).all()

@@ -155,6 +155,11 @@ class Batch:
             self._key, self._made = key, np.rint(t).astype(np.int64) if model.number == "long" else t
         return self._made[self._row[lst] if listed else i % CHUNK]
 
+    def run(self, model: PQModel, first: int) -> np.ndarray:
+        """Tables of the run of queries that starts at ``first``, a multiple of CHUNK."""
+        self.tables(model, first, None)
+        return self._made
+
 
 CHUNK = 64  # queries whose tables are made at once
 
@@ -396,6 +401,73 @@ def distances(t: np.ndarray, block: Block, low: int, high: int, b: int) -> np.nd
     return out
 
 
+# -- scans by matrix products ------------------------------------------------------------------
+
+TILE = 1 << 11  # codes of one product
+PRODUCT_ROWS = 1 << 16  # codes of a block; their ones and zeros are held
+PRODUCT_WIDTH = 256  # ones and zeros of a code, at most
+
+
+def one_hot(parts: np.ndarray, k: int) -> np.ndarray:
+    """n x m parts below k as n x (m k) ones and zeros: a product with small tables sums their entries,
+    exactly while the sums stay below 2^24."""
+    return (parts[:, :, None] == np.arange(k, dtype=parts.dtype)).reshape(len(parts), -1).astype(np.float32)
+
+
+def passed(sieve: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows and columns of what is true; little is."""
+    return np.divmod(np.flatnonzero(sieve.ravel()), sieve.shape[1])
+
+
+class Run:
+    """The best of a run of queries. What comes within their thresholds is merged once it is much."""
+
+    def __init__(self, best: list[Best]):
+        self.best, self.held, self.n = best, [], 0
+        self.room = 2 * sum(b.r for b in best)
+        self.refresh()
+
+    def refresh(self) -> None:
+        self.top = np.array([np.inf if b.top is None else b.top for b in self.best], float)
+
+    def offer(self, place: np.ndarray, d: np.ndarray, ids: np.ndarray) -> bool:
+        """Takes rows of the queries at ``place``; whether thresholds were made anew."""
+        self.held.append((place, d, ids))
+        self.n += len(d)
+        return self.merge() if self.n > self.room else False
+
+    def merge(self) -> bool:
+        if not self.n:
+            return False
+        place, d, ids = (np.concatenate(x) for x in zip(*self.held, strict=True))
+        order = np.argsort(place, kind="stable")
+        ends = np.searchsorted(place[order], np.arange(len(self.best) + 1))
+        for i in np.flatnonzero(np.diff(ends)).tolist():
+            rows = order[ends[i] : ends[i + 1]]
+            self.best[i].add(d[rows], ids[rows])
+        self.held, self.n = [], 0
+        self.refresh()
+        return True
+
+
+def product_blocks(codes: DataFrame, batch: Batch, model: PQModel, r: int, make: Callable, number: str, tops: dict | None = None) -> DataFrame:
+    """As ``scan_blocks``, for scans that take runs of queries: ``make()`` gives a function of a block
+    which gives one of (queries, place of the first query, their Best)."""
+    shared = codes.sparkSession.sparkContext.broadcast((batch, tops))
+    schema = pa.schema([("qid", pa.int64()), ("vec_id", pa.int64()), ("dist", ARROW[number])])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        (own, top), opened = shared.value, make()
+        best = [Best(r, None if top is None else top.get(int(q))) for q in own.ids]
+        for block in blocks(batches, model.m, model.b, PRODUCT_ROWS):
+            each = opened(block)
+            for first in range(0, len(best), CHUNK):
+                each(own, first, best[first : first + CHUNK])
+        yield from emitted(dict(enumerate(best)), own.ids, schema)
+
+    return codes.select("vec_id", "code").mapInArrow(run, f"qid long, vec_id long, dist {number}")
+
+
 # -- bounded scan ------------------------------------------------------------------------------
 
 
@@ -433,116 +505,102 @@ def prefix_tops(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, sh
     return {row["qid"]: row["top"] for row in near.groupBy("qid").agg(F.max("dist").alias("top"), F.count("*").alias("n")).where(F.col("n") >= r).collect()}  # a row for each query of a batch
 
 
-class GroupedBlock:
-    """Runs of one group in a block, and the high parts of all codes as words."""
+class BoundedBlock:
+    """A block's portions as ones and zeros, and where its runs of one group begin."""
 
     def __init__(self, block: Block, g: int, low_bits: int):
         c = block.codes
         high = c >> low_bits
+        self.block, self.g, self.low_bits, self.portions = block, g, low_bits, 1 << (8 - low_bits)
+        self.rest = one_hot(high[:, g:], self.portions)
         edge = (high[1:, :g] != high[:-1, :g]).any(axis=1) if g else np.zeros(max(0, block.n - 1), bool)
         self.first = np.flatnonzero(np.concatenate(([True], edge)))
-        self.size = np.diff(np.append(self.first, block.n))
-        self.high = high[self.first, :g].astype(np.intp)
-        self.rest = words_of(high[:, g:], 8 - low_bits) if g < block.m else np.zeros((0, block.n), np.intp)
-
-
-def scan_groups(block: Block, runs: GroupedBlock, t: np.ndarray, best: Best, g: int, low_bits: int, model: PQModel, tally: np.ndarray | None = None) -> None:
-    """The three sieves of the bounded scan for one query and block; ``tally`` counts what each leaves."""
-    width, portions = 1 << low_bits, 1 << (8 - low_bits)
-    if best.top is None:  # no threshold yet: the first rows give one
-        best.offer(distances(t, block, 0, block.n, model.b), block.ids)
-        return
-    least = t.reshape(model.m, portions, width).min(axis=2)
-    floor = least[g:].min(axis=1).sum() if g < model.m else 0
-    bound = np.zeros(len(runs.first), t.dtype)
-    for j in range(g):
-        bound += least[j].take(runs.high[:, j])
-    near = bound + floor <= best.top
-    kept = np.flatnonzero(near)
-    tally = np.zeros(5, np.int64) if tally is None else tally
-    tally += (block.n, len(runs.first), len(kept), 0, 0)
-    if not len(kept):
-        return
-    size = runs.size[kept]
-    total = int(size.sum())
-    tally[3] += total
-    whole = 4 * total > block.n  # most groups are left: walking over all codes is cheaper than naming rows
-    rows = None if whole else np.repeat(runs.first[kept] - (np.cumsum(size) - size), size) + np.arange(total)
-    if len(runs.rest):
-        gap = best.top - floor - bound
-        room = gap[kept].max()
-        step = max(1, -(-(int(room) + 1) // 127)) if t.dtype.kind == "i" else max(float(room), 1e-9) / 126
-        bins = np.minimum((least[g:] - least[g:].min(axis=1)[:, None]) // step, 127)
-        # One more than the bins that a code may still use: 0 for groups that are skipped, a byte each.
-        spare = np.where(near, np.minimum(np.floor(gap / step), 127) + 1, 0).astype(np.uint8)
-        small = saturated_words(bins, 8 - low_bits, 127)
-        if len(small) == 1:
-            low_sum = small[0].take(runs.rest[0] if whole else runs.rest[0][rows])
-        else:
-            wide = small if len(small) == 2 else [w.astype(np.uint16) for w in small]  # a byte holds two words
-            low_sum = np.minimum(summed(wide, runs.rest, rows), 127)
-        mine = np.repeat(spare, runs.size) if whole else np.repeat(spare[kept], size)
-        # A sum that saturated says no more than that it is 127 at least.
-        passed = np.flatnonzero(low_sum < mine)
-        rows = passed if whole else rows[passed]
-    elif whole:
-        rows = np.flatnonzero(np.repeat(near, runs.size))
-    tally[4] += len(rows)
-    if len(rows):
-        if len(rows) >= PAIRED_ROWS:
-            d = summed(word_tables(t, model.b), block.words, rows)
-        else:
-            c = block.codes[rows]
-            d = t[0].take(c[:, 0])
-            for j in range(1, block.m):
-                d += t[j].take(c[:, j])
-        best.offer(d, block.ids[rows])
+        self.group = one_hot(high[self.first, :g], self.portions)
+        self.places = c + (np.arange(block.m) * (1 << block.b))  # in a query's tables
+
+    def scan(self, own: Batch, model: PQModel, start: int, best: list[Best], tally: np.ndarray | None = None) -> None:
+        """The three sieves of the bounded scan for a run of queries; ``tally`` counts what each leaves."""
+        block, t = self.block, narrow(own.run(model, start))
+        count, m, k = t.shape
+        at, tally = 0, np.zeros((count, 5), np.int64) if tally is None else tally
+        tally[:, :2] += (block.n, len(self.first))
+        if any(b.top is None for b in best):  # the first rows give thresholds
+            at = min(block.n, max(TILE, best[0].r))
+            for i, b in enumerate(best):
+                b.offer(distances(t[i], block, 0, at, model.b), block.ids[:at])
+            tally[:, 3:] += at
+            tally[:, 2] += np.searchsorted(self.first, at)
+        run, flat = Run(best), t.reshape(-1)
+        least = t.reshape(count, m, self.portions, 1 << self.low_bits).min(axis=3)
+        lows = least.min(axis=2)
+        floor, span = lows.sum(axis=1), (least.max(axis=2) - lows).sum(axis=1)
+        # Minima above the least, in steps so wide that no sum reaches 2^21; rounded down, they stay bounds.
+        whole = t.dtype.kind == "i"
+        step = np.maximum(1, -(-span // (1 << 20))) if whole else np.maximum(span, 1e-30) / (1 << 20)
+        bins = ((least - lows[:, :, None]) // step[:, None, None]).reshape(count, -1).astype(np.float32)
+        spare = (run.top - floor) // step + (0 if whole else 1)
+        near_bins, far_bins = bins[:, : self.g * self.portions].T, bins[:, self.g * self.portions :]
+        while at < block.n:
+            end = min(block.n, at + TILE)
+            # The tile's runs of one group; the first may have begun before it.
+            low, upto = np.searchsorted(self.first, at, "right") - 1, np.searchsorted(self.first, end)
+            size = np.diff(np.append(np.maximum(self.first[low:upto], at), end))
+            left = spare - self.group[low:upto] @ near_bins  # what each group leaves to a code's other parts
+            near = left >= 0
+            tally[:, 2] += near[int(self.first[low] < at) :].sum(axis=0)
+            active = np.flatnonzero(near.any(axis=0))
+            if len(active):
+                bound = self.rest[at:end] @ far_bins[active].T
+                rows, place = passed(bound <= np.repeat(left[:, active].astype(np.float32), size, axis=0))
+                place, rows = active.take(place), rows + at
+                tally[active, 3] += end - at
+                tally[:, 4] += np.bincount(place, minlength=count)
+                d = flat.take(self.places.take(rows, axis=0) + (place * (m * k))[:, None], mode="clip").sum(axis=1)
+                kept = np.flatnonzero(d <= run.top.take(place))
+                if len(kept) and run.offer(place[kept], d[kept], block.ids[rows[kept]]):
+                    spare = (run.top - floor) // step + (0 if whole else 1)
+            at = end
+        run.merge()
 
 
 def bounded_scan(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, g: int, tops: dict | None = None, low_bits: int = 4, stats: bool = False) -> DataFrame:
     """Exactly the plain scan's rows, from codes in the layout of ``grouped``.
 
-    Three sieves, each on what the one before left: a group whose least possible distance is beyond the
-    query's threshold is skipped whole; a code's bound is its group's part plus one look-up of the minima of
-    its other parts, quantized to 127 bins; only codes that both pass are summed. The threshold starts
+    Three sieves, each on what the one before left: a tile of codes all of whose groups are beyond a query's
+    threshold is skipped for it; a code's bound is the sum of the quantized minima of its portions, made
+    for a run of queries by one matrix product; only codes that both pass are summed. The threshold starts
     from a prefix's (``tops``) and falls as a task finds nearer codes. ``stats`` gives (qid, codes, groups,
     groups_kept, bounded, summed) instead.
     """
 
-    def make(counted: dict[int, np.ndarray] | None = None):
-        state: dict = {"block": None, "own": None}
-
-        def each(block: Block, low: int, high: int, own: Batch, best: Best, i: int, lst: int | None = None) -> None:
-            if state["block"] is not block:
-                state["block"], state["own"] = block, GroupedBlock(block, g, low_bits)
-            runs: GroupedBlock = state["own"]
-            tally = None if counted is None else counted.setdefault(i, np.zeros(5, np.int64))
-            scan_groups(block, runs, narrow(_tables(model, own, i, lst)), best, g, low_bits, model, tally)
+    def make():
+        def opened(block: Block):
+            held = BoundedBlock(block, g, low_bits)
+            return lambda own, first, best: held.scan(own, model, first, best)
 
-        return each
+        return opened
 
     if stats:
-        return _bounded_stats(codes, queries, model, r, make, tops)
-    parts = [scan_blocks(codes, b, model, r, make, model.number, tops) for b in batches_of(queries)]
+        return _bounded_stats(codes, queries, model, r, g, low_bits, tops)
+    parts = [product_blocks(codes, b, model, r, make, model.number, tops) for b in batches_of(queries)]
     return union_topk(parts or [empty_result(codes, model)], r)
 
 
-def _bounded_stats(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, make, tops: dict | None) -> DataFrame:
+def _bounded_stats(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, g: int, low_bits: int, tops: dict | None) -> DataFrame:
     names = ("codes", "groups", "groups_kept", "bounded", "summed")
     out = None
     for batch in batches_of(queries):
         shared = codes.sparkSession.sparkContext.broadcast((batch, tops))
 
         def run(batches, shared=shared):
-            (own, top), seen = shared.value, {}
-            each = make(seen)
-            best = {i: Best(r, None if top is None else top.get(int(q))) for i, q in enumerate(own.ids)}
-            for block in blocks(batches, model.m, model.b):
-                for i in best:
-                    each(block, 0, block.n, own, best[i], i)
-            if seen:
-                rows = np.array([np.append(own.ids[i], v) for i, v in seen.items()])
-                yield pa.RecordBatch.from_arrays([pa.array(rows[:, j]) for j in range(6)], names=["qid", *names])
+            own, top = shared.value
+            best = [Best(r, None if top is None else top.get(int(q))) for q in own.ids]
+            seen = np.zeros((len(best), 5), np.int64)
+            for block in blocks(batches, model.m, model.b, PRODUCT_ROWS):
+                held = BoundedBlock(block, g, low_bits)
+                for i in range(0, len(best), CHUNK):
+                    held.scan(own, model, i, best[i : i + CHUNK], seen[i : i + CHUNK])
+            yield pa.RecordBatch.from_arrays([pa.array(own.ids), *[pa.array(seen[:, j]) for j in range(5)]], names=["qid", *names])
 
         part = codes.select("vec_id", "code").mapInArrow(run, "qid long, " + ", ".join(f"{n} long" for n in names))
         out = part if out is None else out.unionByName(part)
@@ -665,9 +723,41 @@ def _nibble_part(codes: DataFrame, batch: Batch, model: PQModel, r: int, bins: i
 
         return each
 
+    if batch.probes is None and model.m * model.k <= PRODUCT_WIDTH:
+        return product_blocks(codes, batch, model, r, lambda: lambda block: _nibble_products(block, model, bins, shared.value), "long")
     return scan_blocks(codes, batch, model, r, make, "long")
 
 
+def _nibble_products(block: Block, model: PQModel, bins: int, tops: dict):
+    """Saturated sums of a block's codes for runs of queries: a product with the quantized tables, cut at ``bins``."""
+    hot = one_hot(block.codes, model.k)
+
+    def each(own: Batch, first: int, best: list[Best]) -> None:
+        t = own.run(model, first)
+        asked = [i for i in range(len(t)) if (first + i, None) in tops]
+        if not asked:
+            return
+        small = np.stack([quantized_tables(t[i], tops[first + i, None], bins).ravel() for i in asked]).T.astype(np.float32)
+        run, at = Run([best[i] for i in asked]), 0
+        while at < block.n:
+            unknown = np.isinf(run.top).any()  # the first rows, more of them, give thresholds
+            end = min(block.n, at + (4 * TILE if unknown else TILE))
+            acc = hot[at:end] @ small
+            if unknown:
+                for i, b in enumerate(run.best):
+                    b.offer(np.minimum(acc[:, i], bins).astype(np.int64), block.ids[at:end])
+                run.refresh()
+            else:
+                # At a threshold of ``bins`` saturated sums still count.
+                rows, place = passed(acc <= np.where(run.top >= bins, np.inf, run.top).astype(np.float32))
+                if len(rows):
+                    run.offer(place, np.minimum(acc[rows, place], bins).astype(np.int64), block.ids[at + rows])
+            at = end
+        run.merge()
+
+    return each
+
+
 # -- nested scan -------------------------------------------------------------------------------
 
 
