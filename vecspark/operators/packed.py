@@ -656,9 +656,13 @@ def nibble_scan(codes: DataFrame, queries: DataFrame, model: PQModel, r: int, co
     each probed list where lists are probed. ``dist`` is the saturated sum.
     """
     parts = []
-    for batch in batches_of(queries, probes, centers):
-        tops = list_tops(codes, batch, model, r, count)
-        parts.append(_nibble_part(codes, batch, model, r, bins, tops))
+    if probes is None and model.m * model.k <= PRODUCT_WIDTH and max(r, count) <= PRODUCT_ROWS:
+        head = _first_codes(codes, model, max(r, count))
+        for batch in batches_of(queries):
+            parts.append(product_blocks(codes, batch, model, r, lambda: lambda block: _nibble_products(block, model, bins, r, head), "long"))
+    else:
+        for batch in batches_of(queries, probes, centers):
+            parts.append(_nibble_part(codes, batch, model, r, bins, list_tops(codes, batch, model, r, count)))
     if not parts:
         return union_topk([empty_result(codes, model)], r)
     return union_topk(parts, r)
@@ -723,22 +727,29 @@ def _nibble_part(codes: DataFrame, batch: Batch, model: PQModel, r: int, bins: i
 
         return each
 
-    if batch.probes is None and model.m * model.k <= PRODUCT_WIDTH:
-        return product_blocks(codes, batch, model, r, lambda: lambda block: _nibble_products(block, model, bins, shared.value), "long")
     return scan_blocks(codes, batch, model, r, make, "long")
 
 
-def _nibble_products(block: Block, model: PQModel, bins: int, tops: dict):
-    """Saturated sums of a block's codes for runs of queries: a product with the quantized tables, cut at ``bins``."""
-    hot = one_hot(block.codes, model.k)
+def _first_codes(codes: DataFrame, model: PQModel, count: int) -> np.ndarray:
+    """The first ``count`` codes by id, n x m: as many rows as a result, which every task is given."""
+    rows = codes.select("vec_id", "code").orderBy("vec_id").limit(count).collect()  # each task sends its first ones only
+    raw = np.frombuffer(b"".join(bytes(x["code"]) for x in rows), np.uint8).reshape(len(rows), code_bytes(model.m, model.b))
+    return from_bytes(raw, model.m, model.b)
+
+
+def _nibble_products(block: Block, model: PQModel, bins: int, r: int, head: np.ndarray):
+    """Saturated sums of a block's codes for runs of queries: a product with the quantized tables, cut at ``bins``.
+    Bins reach to the r-th distance among the codes of ``head`` (the last, of fewer)."""
+    hot, nth = one_hot(block.codes, model.k), min(r, len(head)) - 1
 
     def each(own: Batch, first: int, best: list[Best]) -> None:
         t = own.run(model, first)
-        asked = [i for i in range(len(t)) if (first + i, None) in tops]
-        if not asked:
-            return
-        small = np.stack([quantized_tables(t[i], tops[first + i, None], bins).ravel() for i in asked]).T.astype(np.float32)
-        run, at = Run([best[i] for i in asked]), 0
+        near = t[:, 0, head[:, 0]]
+        for j in range(1, model.m):
+            near = near + t[:, j, head[:, j]]
+        tops = np.partition(near, nth, axis=1)[:, nth]
+        small = np.stack([quantized_tables(x, top, bins).ravel() for x, top in zip(t, tops, strict=True)]).T.astype(np.float32)
+        run, at = Run(best), 0
         while at < block.n:
             unknown = np.isinf(run.top).any()  # the first rows, more of them, give thresholds
             end = min(block.n, at + (4 * TILE if unknown else TILE))
