@@ -145,3 +145,18 @@ def test_products_of_small_tiles_find_what_sums_find(monkeypatch, g, low_bits, k
     for a, b in zip(best, want, strict=True):
         assert a.ids.tolist() == b.ids.tolist() and np.allclose(a.d, b.d)
     assert (tally[:, 0] == 3000).all() and (tally[:, 4] <= tally[:, 3]).all() and (tally[:, 2] <= tally[:, 1]).all()
+
+
+def test_listed_counts_equal_the_marks_without_making_pairs(spark, sf):
+    from vecspark.operators import encode, index, scan
+    from vecspark.queries import models, workloads
+
+    q, b = models.v1(spark, sf)
+    coarse, model = workloads.coarse1(spark, sf, 8), models.pq1(spark, sf, 8, 256)
+    ivf = index.IvfIndex(coarse, model, residual=False)
+    probes = index.probes(q, coarse, 1)
+    marks = scan.bounded_marks(scan.with_prefix(ivf.encode(b), 0.01, None, 10, ("list_id",)), ivf.tables(q, probes), 8, 10, 1, ("list_id",))
+    want = marks.groupBy("qid", "list_id").agg(F.count("*").alias("n_codes"), F.count_if("pruned").alias("n_pruned"))
+    got = workloads.listed_counts(spark, sf, 8)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    assert "bounded_marks" not in workloads.__dict__ and not hasattr(workloads, "listed_marks")
