@@ -10,6 +10,7 @@ from vecspark.functions import udfs, vectors
 from vecspark.functions.bits import interleave
 from vecspark.functions.ranking import ranked, top_k
 from vecspark.operators import encode, index, scan
+from vecspark.operators.exact import counts_within
 from vecspark.queries import models, oracle
 from vecspark.queries.core import ADC, EXACT_SQL, code_select, coded, exact, ivf_sql, long_codes, pq_sql
 from vecspark.queries.registry import query
@@ -65,9 +66,8 @@ def o_join_metadata(spark, sf):
 
 @query(oracle.v0().select(f"SELECT qid, count(*) AS n FROM ({EXACT_SQL}) WHERE dist < 26000000 GROUP BY qid"))
 def o_theta_radius_join(spark, sf):
-    q, b = models.v0(spark, sf)
-    joined = b.join(F.broadcast(q.withColumnRenamed("e", "q")), vectors.l2sq(F.col("q"), F.col("e"), 64) < 26_000_000)
-    return joined.groupBy("qid").agg(F.count("*").alias("n"))
+    """A join by a bound on distances, of which only counts are asked; distances are integers."""
+    return counts_within(*models.v0(spark, sf), 26_000_000 - 1).select("qid", F.col("inside").alias("n"))
 
 
 @query("SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a JOIN embeddings b ON b.vec_id BETWEEN a.vec_id + 1 AND a.vec_id + 3 WHERE a.label = b.label")
