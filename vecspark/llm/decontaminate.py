@@ -3,7 +3,7 @@
 Passages are weighted by TF-IDF over the benchmark's vocabulary, with document
 frequencies counted over every passage of the corpus; every word keeps a positive
 weight, however common its own leaks make it. A randomised SVD, whose products
-run on the executors, gives a latent basis; it is fitted on a bounded sample of
+run on the executors, gives a latent basis; it is fitted on all
 passages together with all items. Every window of every document is then compared
 by cosine with the items of like length. What the latent space misses comes by a
 second, exact route: a leak must hold some of its item's rarest words close together,
@@ -118,24 +118,43 @@ def _numbers(vocabulary: dict[bytes, int], words: list[bytes]) -> np.ndarray:
     return np.fromiter(map(get, words, repeat(0)), np.int32, len(words))
 
 
-def _frequencies(vocabulary: dict[bytes, int]):
-    schema = pa.schema([("term", pa.int32()), ("n", pa.int64())])
+def _numbered(vocabulary: dict[bytes, int]):
+    """Word numbers of each text, so that the products need not split texts again."""
+    schema = pa.schema([("ids", pa.binary())])
+    kind = np.uint16 if len(vocabulary) < 1 << 16 else np.int32
 
     def make():
         def each(batch: pa.RecordBatch):
-            seen = np.zeros(len(vocabulary) + 1, np.int64)
             for part in slices(batch):
-                rows = []
-                for text in part.column(0).to_pylist():
-                    ids = _ids(vocabulary, text)
-                    if len(ids):
-                        rows.append(np.pad(ids, (0, -len(ids) % PASSAGE)))
-                if rows:
-                    table = np.sort(np.concatenate(rows).reshape(-1, PASSAGE), axis=1)
-                    first = np.ones(table.shape, bool)
-                    first[:, 1:] = table[:, 1:] != table[:, :-1]
-                    seen += np.bincount(table[first & (table > 0)], minlength=len(seen))
-                    seen[0] += len(table)  # term 0 counts the passages
+                ids = [_ids(vocabulary, text).astype(kind) for text in part.column(0).to_pylist()]
+                yield pa.RecordBatch.from_arrays([pa.array([x.tobytes() for x in ids if len(x)], pa.binary())], schema=schema)
+
+        return each
+
+    return make
+
+
+def _passages(batch: pa.RecordBatch, size: int):
+    """Tables of passages, a row of sorted word numbers each (0: no word of the vocabulary)."""
+    kind = np.uint16 if size <= 1 << 16 else np.int32
+    for part in slices(batch):
+        rows = [np.frombuffer(x, kind) for x in part.column(0).to_pylist()]
+        rows = [np.pad(x, (0, -len(x) % PASSAGE)) for x in rows if len(x)]
+        if rows:
+            yield np.sort(np.concatenate(rows).reshape(-1, PASSAGE), axis=1).astype(np.int32)
+
+
+def _frequencies(size: int):
+    schema = pa.schema([("term", pa.int32()), ("n", pa.int64())])
+
+    def make():
+        def each(batch: pa.RecordBatch):
+            seen = np.zeros(size, np.int64)
+            for table in _passages(batch, size):
+                first = np.ones(table.shape, bool)
+                first[:, 1:] = table[:, 1:] != table[:, :-1]
+                seen += np.bincount(table[first & (table > 0)], minlength=size)
+                seen[0] += len(table)  # term 0 counts the passages
             terms = np.flatnonzero(seen)
             yield pa.RecordBatch.from_arrays([pa.array(terms, pa.int32()), pa.array(seen[terms], pa.int64())], schema=schema)
 
@@ -144,17 +163,16 @@ def _frequencies(vocabulary: dict[bytes, int]):
     return make
 
 
-def _product(vocabulary: dict[bytes, int], idf: np.ndarray, right: np.ndarray):
+def _product(idf: np.ndarray, right: np.ndarray):
     """Partial sums of AᵀA·right over a task's passages, one matrix for each batch."""
     schema = pa.schema([("sums", pa.binary())])
 
     def make():
         def each(batch: pa.RecordBatch):
             out = np.zeros_like(right)
-            for text in batch.column(0).to_pylist():
-                ids = _ids(vocabulary, text)
-                for at in range(0, len(ids), PASSAGE):
-                    _add_gram(out, ids[at : at + PASSAGE], idf, right)
+            for table in _passages(batch, len(idf)):
+                for at in range(0, len(table), 2048):
+                    _add_grams(out, table[at : at + 2048], idf, right)
             yield pa.RecordBatch.from_arrays([pa.array([out.tobytes()], pa.binary())], schema=schema)
 
         return each
@@ -162,6 +180,26 @@ def _product(vocabulary: dict[bytes, int], idf: np.ndarray, right: np.ndarray):
     return make
 
 
+def _add_grams(out: np.ndarray, table: np.ndarray, idf: np.ndarray, right: np.ndarray) -> None:
+    """``_add_gram`` of all rows of a table of sorted word numbers."""
+    ids, row = table.ravel(), np.repeat(np.arange(len(table)), table.shape[1])
+    weighs = idf[ids] > 0
+    ids, row = ids[weighs], row[weighs]
+    if not len(ids):
+        return
+    first = np.flatnonzero(np.concatenate(([True], (ids[1:] != ids[:-1]) | (row[1:] != row[:-1]))))
+    terms, row, tf = ids[first], row[first], np.diff(np.append(first, len(ids)))
+    weight = ((1 + np.log(tf)) * idf[terms]).astype(np.float32)
+    opens = np.flatnonzero(np.concatenate(([True], row[1:] != row[:-1])))
+    place = np.repeat(np.arange(len(opens)), np.diff(np.append(opens, len(row))))
+    weight /= np.sqrt(np.add.reduceat(weight * weight, opens))[place]
+    along = np.add.reduceat(weight[:, None] * right.take(terms, axis=0), opens, axis=0)
+    order = np.argsort(terms, kind="stable")
+    back = weight[order][:, None] * along.take(place[order], axis=0)
+    starts = np.flatnonzero(np.concatenate(([True], np.diff(terms[order]) != 0)))
+    out[terms[order][starts]] += np.add.reduceat(back, starts, axis=0)
+
+
 def _add_gram(out: np.ndarray, ids: np.ndarray, idf: np.ndarray, right: np.ndarray) -> None:
     ids = ids[idf[ids] > 0]
     if len(ids):
@@ -281,7 +319,7 @@ class Index:
 def fit_basis(gram, size: int, items: list[np.ndarray], idf: np.ndarray, rank: int, rounds: int, seed: int = 11) -> np.ndarray:
     """Orthonormal basis (terms x rank) of the leading right singular vectors.
 
-    ``gram(x)`` gives AᵀA·x over the sampled passages; the items add theirs here.
+    ``gram(x)`` gives AᵀA·x over all passages; the items add theirs here.
     """
     rank = min(rank, size)
 
@@ -299,7 +337,7 @@ def fit_basis(gram, size: int, items: list[np.ndarray], idf: np.ndarray, rank: i
     return np.ascontiguousarray((q @ vectors[:, np.argsort(-values)[:rank]]), np.float32)
 
 
-def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, items: list[tuple[int, str | None]], rank: int, sample: int, common: float, verbatim: float, paraphrase: float, rounds: int = 2) -> Index | None:
+def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, items: list[tuple[int, str | None]], rank: int, common: float, verbatim: float, paraphrase: float, rounds: int = 2) -> Index | None:
     queries = queries_of(items)
     vocabulary: dict[bytes, int] = {}
     for q in queries:
@@ -309,7 +347,8 @@ def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, ite
         return None
     size = len(vocabulary) + 1
     texts = documents.select(F.col("text").cast("string").alias("text"))
-    counts = arrow_rows(texts, _frequencies(vocabulary), "term int, n long").groupBy("term").agg(F.sum("n").alias("n"))
+    numbers = scratch.keep(arrow_rows(texts, _numbered(vocabulary), "ids binary"), "numbers")
+    counts = arrow_rows(numbers, _frequencies(size), "term int, n long").groupBy("term").agg(F.sum("n").alias("n"))
     df = np.zeros(size)
     for r in counts.collect():  # a row for each word of the benchmark at most
         df[r["term"]] = r["n"]
@@ -317,13 +356,9 @@ def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, ite
     idf = (np.log((passages + 1) / (df + 1)) + FLOOR).astype(np.float32)
     idf[df > common * passages] = FLOOR
     idf[0] = 0
-    # The basis is fitted on at most about ``sample`` passages, chosen by a hash of the text.
-    share = min(1.0, sample / passages)
-    chosen = scratch.keep(texts.where(F.pmod(F.xxhash64("text", F.lit("basis")), F.lit(1 << 20)) < int(share * (1 << 20))).coalesce(8), "sample")
-
     def gram(x: np.ndarray) -> np.ndarray:
         out = np.zeros_like(x)
-        for r in arrow_rows(chosen, _product(vocabulary, idf, x), "sums binary").toLocalIterator():
+        for r in arrow_rows(numbers, _product(idf, x), "sums binary").toLocalIterator():
             out += np.frombuffer(r["sums"], np.float32).reshape(x.shape)
         return out
 
@@ -396,11 +431,11 @@ def _search(index: Index, least: float, verbatim: float, paraphrase: float):
     return make
 
 
-def leaks(spark: SparkSession, documents: DataFrame, benchmark: DataFrame, rank: int = 64, sample: int = 20_000, common: float = 0.05, least: float = 0.6, verbatim: float = 0.8, paraphrase: float = 0.55, block: int = 5000) -> DataFrame:
+def leaks(spark: SparkSession, documents: DataFrame, benchmark: DataFrame, rank: int = 64, common: float = 0.05, least: float = 0.6, verbatim: float = 0.8, paraphrase: float = 0.55, block: int = 5000) -> DataFrame:
     """(doc_id, text) and (item_id, text) -> a row for each document row and item found in it; ``text_hash``
     (xxhash64) tells rows of one id apart.
 
-    ``rank``: latent dimensions; ``sample``: passages that the basis is fitted on; ``common``:
+    ``rank``: latent dimensions; ``common``:
     share of passages from which a word weighs the floor only; ``least``: cosine of a
     candidate of the latent route;
     ``verbatim``: share of the item's words in order that is a leak; ``paraphrase``: share
@@ -412,7 +447,7 @@ def leaks(spark: SparkSession, documents: DataFrame, benchmark: DataFrame, rank:
     out, part = spark.createDataFrame([], LEAKS), []
 
     def found(part: list) -> DataFrame | None:
-        index = build_index(spark, scratch, docs, part, rank, sample, common, verbatim, paraphrase)
+        index = build_index(spark, scratch, docs, part, rank, common, verbatim, paraphrase)
         return index and arrow_rows(docs, _search(index, least, verbatim, paraphrase), LEAKS)
 
     for r in items.toLocalIterator():
