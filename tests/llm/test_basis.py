@@ -24,3 +24,46 @@ def test_products_of_tables_equal_products_of_passages():
 def test_no_passage_is_left_out_of_the_fit():
     assert "sample" not in inspect.signature(d.leaks).parameters
     assert "sample" not in inspect.signature(d.build_index).parameters
+
+
+def test_frequent_words_as_a_dense_part_give_the_same_products():
+    rng = np.random.default_rng(4)
+    table = np.sort(rng.integers(0, 40, (300, d.PASSAGE)), axis=1).astype(np.int32)
+    table[5], table[6] = 0, 3
+    idf = rng.random(40).astype(np.float32)
+    idf[[0, 7]] = 0
+    right = rng.normal(size=(40, 6)).astype(np.float32)
+    plain = np.zeros_like(right)
+    d._add_grams(plain, table, idf, right)
+    for often in ([3], [1, 3, 5, 39], [i for i in range(40) if idf[i] > 0]):
+        out = np.zeros_like(right)
+        d._add_grams(out, table, idf, right, np.array(often))
+        assert np.allclose(plain, out, rtol=1e-3, atol=1e-3)
+
+
+def test_search_reads_the_kept_word_numbers(spark, sf):
+    """The search split every text a second time."""
+    docs, bench = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "benchmark"))
+    found = d.leaks(spark, docs.repartition(16), bench)
+    assert all("numbers" in f for f in found.inputFiles()), found.inputFiles()
+    assert found.count() == d.leaks(spark, docs.coalesce(1), bench).count() > 0
+
+
+def test_a_task_gives_one_matrix(spark):
+    """A task gave a matrix for each Arrow batch, and the driver fetched them in a job a partition."""
+    rng = np.random.default_rng(5)
+    rows = [(i, i, rng.integers(0, 30, 100).astype(np.uint16).tobytes()) for i in range(60)]
+    numbers = spark.createDataFrame(rows, d.NUMBERS).repartition(3).cache()
+    idf, right = np.ones(30, np.float32), rng.normal(size=(30, 4)).astype(np.float32)
+    idf[0] = 0
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "5")
+    try:
+        got = numbers.mapInArrow(d._product(idf, right, np.array([2, 4])), d.SUMS).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    want = np.zeros_like(right)
+    for _, _, ids in rows:
+        for part in np.pad(np.frombuffer(ids, np.uint16), (0, 28)).reshape(-1, d.PASSAGE).astype(np.int32):
+            d._add_gram(want, part, idf, right)
+    assert len(got) == 3
+    assert np.allclose(sum(np.frombuffer(r["sums"], np.float32).reshape(right.shape) for r in got), want, rtol=1e-3, atol=1e-3)

@@ -31,6 +31,7 @@ from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -43,6 +44,7 @@ SEGMENT = 96  # words; longer items are searched in parts
 LADDER = (4, 6, 8, 11, 14)  # window lengths in blocks
 RARE = 4  # rare words of an item that must stand close together
 FLOOR = 0.1  # weight of a word found in every passage
+OFTEN = 512  # words found in most passages: a dense part of the products
 
 
 def words_of(text: str) -> list[bytes]:
@@ -118,16 +120,25 @@ def _numbers(vocabulary: dict[bytes, int], words: list[bytes]) -> np.ndarray:
     return np.fromiter(map(get, words, repeat(0)), np.int32, len(words))
 
 
+NUMBERS = "doc_id long, text_hash long, ids binary"
+
+
+def _kind(size: int) -> type:
+    """Numbers of a vocabulary of ``size`` words, 0 included, as they are kept."""
+    return np.uint16 if size <= 1 << 16 else np.int32
+
+
 def _numbered(vocabulary: dict[bytes, int]):
-    """Word numbers of each text, so that the products need not split texts again."""
-    schema = pa.schema([("ids", pa.binary())])
-    kind = np.uint16 if len(vocabulary) < 1 << 16 else np.int32
+    """Word numbers of each text that has words: neither the products nor the search split texts again."""
+    schema = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("ids", pa.binary())])
+    kind = _kind(len(vocabulary) + 1)
 
     def make():
         def each(batch: pa.RecordBatch):
             for part in slices(batch):
-                ids = [_ids(vocabulary, text).astype(kind) for text in part.column(0).to_pylist()]
-                yield pa.RecordBatch.from_arrays([pa.array([x.tobytes() for x in ids if len(x)], pa.binary())], schema=schema)
+                ids = [_ids(vocabulary, text).astype(kind).tobytes() for text in part.column("text").to_pylist()]
+                held = pa.array([len(x) > 0 for x in ids], pa.bool_())
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_hash"), pa.array(ids, pa.binary())], schema=schema).filter(held)
 
         return each
 
@@ -136,9 +147,8 @@ def _numbered(vocabulary: dict[bytes, int]):
 
 def _passages(batch: pa.RecordBatch, size: int):
     """Tables of passages, a row of sorted word numbers each (0: no word of the vocabulary)."""
-    kind = np.uint16 if size <= 1 << 16 else np.int32
     for part in slices(batch):
-        rows = [np.frombuffer(x, kind) for x in part.column(0).to_pylist()]
+        rows = [np.frombuffer(x, _kind(size)) for x in part.column("ids").to_pylist()]
         rows = [np.pad(x, (0, -len(x) % PASSAGE)) for x in rows if len(x)]
         if rows:
             yield np.sort(np.concatenate(rows).reshape(-1, PASSAGE), axis=1).astype(np.int32)
@@ -163,25 +173,38 @@ def _frequencies(size: int):
     return make
 
 
-def _product(idf: np.ndarray, right: np.ndarray):
-    """Partial sums of AᵀA·right over a task's passages, one matrix for each batch."""
-    schema = pa.schema([("sums", pa.binary())])
+SUMS = "part long, sums binary"
+MERGES = 8  # tasks that add the tasks' sums
 
-    def make():
-        def each(batch: pa.RecordBatch):
-            out = np.zeros_like(right)
+
+def _product(idf: np.ndarray, right: np.ndarray, often: np.ndarray):
+    """Partial sums of AᵀA·right over a task's passages, one matrix for each task."""
+
+    def run(batches):
+        out = np.zeros_like(right)
+        for batch in batches:
             for table in _passages(batch, len(idf)):
                 for at in range(0, len(table), 2048):
-                    _add_grams(out, table[at : at + 2048], idf, right)
-            yield pa.RecordBatch.from_arrays([pa.array([out.tobytes()], pa.binary())], schema=schema)
+                    _add_grams(out, table[at : at + 2048], idf, right, often)
+        yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int64()), pa.array([out.tobytes()], pa.binary())], names=["part", "sums"])
 
-        return each
+    return run
 
-    return make
+
+def _added(batches):
+    """One sum of a task's matrices, in the order in which they come."""
+    first, out = None, None
+    for batch in batches:
+        for part, sums in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            x = np.frombuffer(sums, np.float32)
+            first, out = (part, x.copy()) if out is None else (first, np.add(out, x, out=out))
+    if out is not None:
+        yield pa.RecordBatch.from_arrays([pa.array([first], pa.int64()), pa.array([out.tobytes()], pa.binary())], names=["part", "sums"])
 
 
-def _add_grams(out: np.ndarray, table: np.ndarray, idf: np.ndarray, right: np.ndarray) -> None:
-    """``_add_gram`` of all rows of a table of sorted word numbers."""
+def _add_grams(out: np.ndarray, table: np.ndarray, idf: np.ndarray, right: np.ndarray, often: np.ndarray | None = None) -> None:
+    """``_add_gram`` of all rows of a table of sorted word numbers. The words ``often`` found make up a
+    dense matrix, which costs less than to gather their rows; the others are summed entry by entry."""
     ids, row = table.ravel(), np.repeat(np.arange(len(table)), table.shape[1])
     weighs = idf[ids] > 0
     ids, row = ids[weighs], row[weighs]
@@ -193,11 +216,25 @@ def _add_grams(out: np.ndarray, table: np.ndarray, idf: np.ndarray, right: np.nd
     opens = np.flatnonzero(np.concatenate(([True], row[1:] != row[:-1])))
     place = np.repeat(np.arange(len(opens)), np.diff(np.append(opens, len(row))))
     weight /= np.sqrt(np.add.reduceat(weight * weight, opens))[place]
-    along = np.add.reduceat(weight[:, None] * right.take(terms, axis=0), opens, axis=0)
-    order = np.argsort(terms, kind="stable")
-    back = weight[order][:, None] * along.take(place[order], axis=0)
-    starts = np.flatnonzero(np.concatenate(([True], np.diff(terms[order]) != 0)))
-    out[terms[order][starts]] += np.add.reduceat(back, starts, axis=0)
+    along, dense = np.zeros((len(opens), right.shape[1]), np.float32), None
+    if often is not None and len(often):
+        slot = np.full(len(idf), -1)
+        slot[often] = np.arange(len(often))
+        own = slot[terms]
+        held = own >= 0
+        dense = np.zeros((len(opens), len(often)), np.float32)
+        dense[place[held], own[held]] = weight[held]
+        along += dense @ right[often]
+        terms, place, weight = terms[~held], place[~held], weight[~held]
+    if len(terms):
+        opens = np.flatnonzero(np.concatenate(([True], place[1:] != place[:-1])))
+        along[place[opens]] += np.add.reduceat(weight[:, None] * right.take(terms, axis=0), opens, axis=0)
+        order = np.argsort(terms, kind="stable")
+        back = weight[order][:, None] * along.take(place[order], axis=0)
+        starts = np.flatnonzero(np.concatenate(([True], np.diff(terms[order]) != 0)))
+        out[terms[order][starts]] += np.add.reduceat(back, starts, axis=0)
+    if dense is not None:
+        out[often] += dense.T @ along
 
 
 def _add_gram(out: np.ndarray, ids: np.ndarray, idf: np.ndarray, right: np.ndarray) -> None:
@@ -247,9 +284,11 @@ class Index:
             length = np.maximum(np.sqrt(np.einsum("ij,ij->i", x, x)), 1e-4)
             cosine = x @ vectors
             cosine /= length[:, None]
-            which, place = np.nonzero(cosine.T >= least)
-            if not len(place):
+            hits = np.flatnonzero(cosine.ravel() >= least)
+            if not len(hits):
                 continue
+            hits = hits[np.argsort(hits % len(own), kind="stable")]
+            place, which = np.divmod(hits, len(own))
             value = cosine[place, which]
             opens = np.concatenate(([True], (np.diff(which) != 0) | (np.diff(place) != 1) | (np.diff(owner[place]) != 0)))
             run = np.cumsum(opens) - 1
@@ -337,7 +376,8 @@ def fit_basis(gram, size: int, items: list[np.ndarray], idf: np.ndarray, rank: i
     return np.ascontiguousarray((q @ vectors[:, np.argsort(-values)[:rank]]), np.float32)
 
 
-def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, items: list[tuple[int, str | None]], rank: int, common: float, verbatim: float, paraphrase: float, rounds: int = 2) -> Index | None:
+def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, items: list[tuple[int, str | None]], rank: int, common: float, verbatim: float, paraphrase: float, rounds: int = 2) -> tuple[Index, DataFrame] | None:
+    """The index of a block of items, and the documents' word numbers in its vocabulary."""
     queries = queries_of(items)
     vocabulary: dict[bytes, int] = {}
     for q in queries:
@@ -346,8 +386,7 @@ def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, ite
     if not vocabulary:
         return None
     size = len(vocabulary) + 1
-    texts = documents.select(F.col("text").cast("string").alias("text"))
-    numbers = scratch.keep(arrow_rows(texts, _numbered(vocabulary), "ids binary"), "numbers")
+    numbers = scratch.keep(arrow_rows(documents.select("doc_id", "text_hash", "text"), _numbered(vocabulary), NUMBERS), "numbers")
     counts = arrow_rows(numbers, _frequencies(size), "term int, n long").groupBy("term").agg(F.sum("n").alias("n"))
     df = np.zeros(size)
     for r in counts.collect():  # a row for each word of the benchmark at most
@@ -356,16 +395,21 @@ def build_index(spark: SparkSession, scratch: Scratch, documents: DataFrame, ite
     idf = (np.log((passages + 1) / (df + 1)) + FLOOR).astype(np.float32)
     idf[df > common * passages] = FLOOR
     idf[0] = 0
+    often = np.argsort(-df, kind="stable")[:OFTEN]
+    often = np.sort(often[idf[often] > 0])
+
     def gram(x: np.ndarray) -> np.ndarray:
         out = np.zeros_like(x)
-        for r in arrow_rows(numbers, _product(idf, x), "sums binary").toLocalIterator():
+        sums = numbers.select("ids").mapInArrow(_product(idf, x, often), SUMS)
+        merged = sums.repartition(MERGES, F.col("part") % MERGES).sortWithinPartitions("part").mapInArrow(_added, SUMS)
+        for r in sorted(merged.collect(), key=lambda r: r["part"]):  # a matrix for each merging task
             out += np.frombuffer(r["sums"], np.float32).reshape(x.shape)
         return out
 
     basis = fit_basis(gram, size, [_numbers(vocabulary, q.words) for q in queries], idf, rank, rounds)
     index = Index(vocabulary, basis * idf[:, None], queries)
     index.set_rare(df, verbatim, paraphrase)
-    return index
+    return index, numbers
 
 
 LEAKS = "doc_id long, text_hash long, item_id long, cosine double, common double, answered boolean, first_word long, last_word long, latent boolean"
@@ -399,14 +443,14 @@ def leaks_at(q: Query, ids: list[int], runs: list[tuple[int, int]], verbatim: fl
 
 def _search(index: Index, least: float, verbatim: float, paraphrase: float):
     fields = [("doc_id", pa.int64()), ("text_hash", pa.int64()), ("item_id", pa.int64()), ("cosine", pa.float64()), ("common", pa.float64()), ("answered", pa.bool_()), ("first_word", pa.int64()), ("last_word", pa.int64()), ("latent", pa.bool_())]
-    schema = pa.schema(fields)
+    schema, kind = pa.schema(fields), _kind(len(index.latent))
 
     def make():
         def each(batch: pa.RecordBatch):
             for part in slices(batch, 64):
-                ids, texts, hashes = (c.to_pylist() for c in part.columns)
+                ids, hashes, held = (c.to_pylist() for c in part.columns)
                 best: dict[tuple[int, int], tuple] = {}
-                numbers = [_ids(index.vocabulary, t) for t in texts]
+                numbers = [np.frombuffer(x, kind).astype(np.int32) for x in held]
                 near: dict[tuple[int, int], list[tuple[int, int]]] = {}
                 for at, query, first, last in index.rare(numbers):
                     near.setdefault((at, query), []).append((first, last))
@@ -447,8 +491,8 @@ def leaks(spark: SparkSession, documents: DataFrame, benchmark: DataFrame, rank:
     out, part = spark.createDataFrame([], LEAKS), []
 
     def found(part: list) -> DataFrame | None:
-        index = build_index(spark, scratch, docs, part, rank, common, verbatim, paraphrase)
-        return index and arrow_rows(docs, _search(index, least, verbatim, paraphrase), LEAKS)
+        built = build_index(spark, scratch, docs, part, rank, common, verbatim, paraphrase)
+        return built and arrow_rows(built[1], _search(built[0], least, verbatim, paraphrase), LEAKS)
 
     for r in items.toLocalIterator():
         part.append((r["item_id"], r["text"]))
