@@ -5,10 +5,11 @@ frequencies counted over every passage of the corpus; every word keeps a positiv
 weight, however common its own leaks make it. A randomised SVD, whose products
 run on the executors, gives a latent basis; it is fitted on all
 passages together with all items. Every window of every document is then compared
-by cosine with the items of like length. What the latent space misses comes by a
+by cosine with the items of like length, and every window that comes near one is a candidate.
+What the latent space misses comes by a
 second, exact route: a leak must hold some of its item's rarest words close together,
-so every place that holds them is a candidate too, and a latent candidate that holds them
-nowhere is none any more; ``latent`` tells whether the cosine found a leak. Candidates are held against the
+so every place that holds them is a candidate too. ``latent`` tells whether a candidate of the cosine
+is a leak itself. Candidates of either route are held against the
 item word by word: longest common subsequence, and whether the item's answer (its last
 sentence) is there too, which a paraphrase must have. Items of more than 96 words are held
 against the text whole, and in segments of which each alone is a leak if verbatim. An item of W window blocks is
@@ -41,10 +42,11 @@ MARKS = bytes(32 if chr(b) in string.punctuation else b for b in range(256))
 BLOCK = 8  # words; windows begin at multiples of it
 PASSAGE = 64  # words of the passages that frequencies and the basis are taken from
 SEGMENT = 96  # words; longer items are searched in parts
-LADDER = (4, 6, 8, 11, 14)  # window lengths in blocks
+LADDER = (4, 6, 8, 11, 14)  # window lengths in blocks, 15 at most
 RARE = 4  # rare words of an item that must stand close together
 FLOOR = 0.1  # weight of a word found in every passage
 OFTEN = 512  # words found in most passages: a dense part of the products
+PLACES = 25  # bits of the table of queries' words
 
 
 def words_of(text: str) -> list[bytes]:
@@ -274,22 +276,29 @@ class Index:
         held = np.zeros((n, self.latent.shape[1]), np.float32)
         for j in range(BLOCK):  # number 0, of words without weight, has the zero vector
             held += self.latent.take(ids[:, j], axis=0)
-        sums = np.zeros((n + 1, self.latent.shape[1]))
-        np.cumsum(held, axis=0, dtype=np.float64, out=sums[1:])
+        # Zero rows between documents end their windows; sums of 2, 4 and 8 blocks make those of any window.
         owner = np.repeat(np.arange(len(docs)), blocks)
-        last = (first + blocks)[owner]
+        rows = np.arange(n) + owner * LADDER[-1]
+        apart = np.zeros((n + len(docs) * LADDER[-1], held.shape[1]), np.float32)
+        apart[rows] = held
+        sums = {1: apart}
+        for size in (1, 2, 4):
+            sums[2 * size] = sums[size].copy()
+            sums[2 * size][:-size] += sums[size][size:]
         out = []
         for window, own, vectors in self.groups:
-            x = (sums[np.minimum(np.arange(n) + window, last)] - sums[:-1]).astype(np.float32)
+            sizes = [size for size in (8, 4, 2, 1) if window & size]
+            x = sums[sizes[0]].take(rows, axis=0)
+            for i, size in enumerate(sizes[1:], 1):
+                x += sums[size].take(rows + sum(sizes[:i]), axis=0)
             length = np.maximum(np.sqrt(np.einsum("ij,ij->i", x, x)), 1e-4)
             cosine = x @ vectors
-            cosine /= length[:, None]
-            hits = np.flatnonzero(cosine.ravel() >= least)
+            hits = np.flatnonzero((cosine >= (least * length)[:, None]).ravel())
             if not len(hits):
                 continue
             hits = hits[np.argsort(hits % len(own), kind="stable")]
             place, which = np.divmod(hits, len(own))
-            value = cosine[place, which]
+            value = cosine[place, which] / length[place]
             opens = np.concatenate(([True], (np.diff(which) != 0) | (np.diff(place) != 1) | (np.diff(owner[place]) != 0)))
             run = np.cumsum(opens) - 1
             order = np.lexsort((place, -value, run))
@@ -350,6 +359,35 @@ class Index:
         first = np.flatnonzero(opens)
         return list(zip(d[first].tolist(), q[first].tolist(), np.minimum.reduceat(low, first).tolist(), np.maximum.reduceat(high, first).tolist(), strict=True))
 
+    def set_words(self, verbatim: float, paraphrase: float) -> None:
+        """The words of each query as a table, and how many of its words a leak holds at least. Pairs of query and word
+        that share a place of the table, where they are many, only raise a count."""
+        self.size = len(self.vocabulary) + 1
+        self.least = np.array([least_words(len(q.ids), min(verbatim, paraphrase) if q.answer_ids else verbatim) for q in self.queries], np.int64)
+        pairs = np.concatenate([np.zeros(0, np.int64), *[i * self.size + np.array(sorted(q.distinct), np.int64) for i, q in enumerate(self.queries)]])
+        self.mask = (1 << min(PLACES, max(1, len(self.queries) * self.size - 1).bit_length())) - 1
+        self.holds = np.zeros(self.mask + 1, np.uint8)
+        self.holds[pairs & self.mask] = 1
+
+    def enough(self, docs: list[np.ndarray], found: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
+        """The candidates of ``near`` whose stretch, from block - 1 to block + window, holds as many words of the
+        query as its longest common subsequence must have; the others cannot be leaks."""
+        if not found:
+            return []
+        doc, query, block = np.array(found, np.int64).T
+        sizes = np.array([len(d) for d in docs])
+        ends = np.cumsum(sizes)
+        words, out = np.append(np.concatenate(docs), 0).astype(np.int64), np.zeros(len(found), bool)
+        low = (ends - sizes)[doc] + np.maximum(0, (block - 1) * BLOCK)
+        high = np.minimum(ends[doc], (ends - sizes)[doc] + (block + self.window[query] + 1) * BLOCK)
+        for window in np.unique(self.window[query]):
+            own = np.flatnonzero(self.window[query] == window)
+            for part in np.split(own, range(4096, len(own), 4096)):
+                at = low[part][:, None] + np.arange((window + 2) * BLOCK)
+                ids = words.take(np.where(at < high[part][:, None], at, len(words) - 1))  # 0, of no query, beyond the end
+                out[part] = self.holds.take(ids + (query[part] * self.size)[:, None] & self.mask).sum(axis=1, dtype=np.int32) >= self.least[query[part]]
+        return [found[i] for i in np.flatnonzero(out).tolist()]
+
     def cosine(self, ids: np.ndarray, query: int) -> float:
         x = self.latent[ids].sum(axis=0)
         return float(x @ self.vectors[query] / max(float(np.linalg.norm(x)), 1e-4))
@@ -446,27 +484,32 @@ def _search(index: Index, least: float, verbatim: float, paraphrase: float):
     schema, kind = pa.schema(fields), _kind(len(index.latent))
 
     def make():
+        index.set_words(verbatim, paraphrase)
+
         def each(batch: pa.RecordBatch):
             for part in slices(batch, 64):
                 ids, hashes, held = (c.to_pylist() for c in part.columns)
                 best: dict[tuple[int, int], tuple] = {}
                 numbers = [np.frombuffer(x, kind).astype(np.int32) for x in held]
-                near: dict[tuple[int, int], list[tuple[int, int]]] = {}
+                routes: dict[tuple[int, int, bool], list[tuple[int, int]]] = {}
+                for at, query, block in index.enough(numbers, index.near(numbers, least)):
+                    routes.setdefault((at, query, True), []).append((block, block))
                 for at, query, first, last in index.rare(numbers):
-                    near.setdefault((at, query), []).append((first, last))
-                # Latent candidates without enough of the item's rare words in any stretch hold no leak,
-                # so the words are compared in those stretches alone.
-                latent = {(at, index.queries[query].item_id) for at, query, _ in index.near(numbers, least) if (at, query) in near}
+                    routes.setdefault((at, query, False), []).append((first, last))
                 lists: dict[int, list[int]] = {}
-                for (at, query), runs in near.items():
+                latent: set[tuple[int, int]] = set()
+                for (at, query, by_cosine), runs in routes.items():
                     q = index.queries[query]
                     if at not in lists:
                         lists[at] = numbers[at].tolist()
                     for share, answered, block, low, high in leaks_at(q, lists[at], runs, verbatim, paraphrase):
-                        if best.get((at, q.item_id), (0,) * 5)[4] < share:
+                        if by_cosine:
+                            latent.add((at, q.item_id))
+                        old = best.get((at, q.item_id))
+                        if old is None or (old[4], -old[6], -old[7]) < (share, -low, -high):
                             cosine = index.cosine(numbers[at][block * BLOCK : (block + q.window) * BLOCK], query)
-                            best[at, q.item_id] = (ids[at], hashes[at], q.item_id, cosine, share, answered, low, high, (at, q.item_id) in latent)
-                rows = list(best.values())
+                            best[at, q.item_id] = (ids[at], hashes[at], q.item_id, cosine, share, answered, low, high)
+                rows = [(*row, key in latent) for key, row in best.items()]
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 
